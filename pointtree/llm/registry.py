@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .mixing import op7_mixing
 from .packing import op3_packing
+from .quality import op10_quality
 from .token_store import op9_token_store
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op3_packing, op9_token_store]
+    found = [op3_packing, op7_mixing, op9_token_store, op10_quality]
     return {f.__name__: f for f in found}
 
 
