@@ -10,10 +10,11 @@ from .mixing import op7_mixing
 from .packing import op3_packing
 from .quality import op10_quality
 from .token_store import op9_token_store
+from .toxicity import op6_toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op3_packing, op7_mixing, op9_token_store, op10_quality]
+    found = [op3_packing, op6_toxicity, op7_mixing, op9_token_store, op10_quality]
     return {f.__name__: f for f in found}
 
 
