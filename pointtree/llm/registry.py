@@ -6,17 +6,19 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import substring_dedup
 from .mixing import op7_mixing
 from .packing import op3_packing
 from .quality import op10_quality
+from .substring_dedup import op1_substring_dedup
 from .token_store import op9_token_store
 from .toxicity import op6_toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op3_packing, op6_toxicity, op7_mixing, op9_token_store, op10_quality]
+    found = [op1_substring_dedup, op3_packing, op6_toxicity, op7_mixing, op9_token_store, op10_quality]
     return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_substring_dedup": substring_dedup.ORACLE}
