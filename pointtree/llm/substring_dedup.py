@@ -92,7 +92,7 @@ def repeats(docs: DataFrame, window: int = WINDOW, edge: int = EDGE) -> tuple[Da
     repeated = store(edges.groupBy("edge").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select("edge"), "repeated")
     paths = edges.join(repeated, "edge").groupBy("doc_id").agg(F.collect_list("edge").alias("edges"))
     schema = "doc_id long, text string, starts array<int>, w1 array<long>, w2 array<int>"
-    candidates = store(docs.select("doc_id", "text").join(paths, "doc_id").mapInArrow(_windows(window, edge), schema).dropDuplicates(["doc_id"]), "windows")
+    candidates = store(docs.select("doc_id", "text").join(paths, "doc_id").mapInArrow(_windows(window, edge), schema), "windows")
     each = candidates.select("doc_id", F.explode(F.arrays_zip("starts", "w1", "w2")).alias("w")).select("doc_id", "w.*")
     least = store(each.groupBy("w1", "w2").agg(F.min("doc_id").alias("source"), F.max("doc_id").alias("last")).where("source < last").drop("last"), "least")
     again = each.join(least, ["w1", "w2"]).where("source < doc_id")
@@ -130,7 +130,7 @@ def dedup(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     share a doc_id don't repeat each other; they are taken to agree in their text, and each gets the same result. An empty table gives no rows.
     """
     heads, found = repeats(docs, window)
-    cut = found.mapInArrow(_result(window), RESULT).drop("kept_text").withColumnRenamed("doc_id", "cut_id")
+    cut = found.mapInArrow(_result(window), RESULT).drop("kept_text").withColumnRenamed("doc_id", "cut_id").dropDuplicates(["cut_id"])
     out = heads.join(cut, F.col("doc_id") == F.col("cut_id"), "left")
     none = F.coalesce("n_removed", F.lit(0)).cast("long")
     return out.select("doc_id", "n_words", F.when(F.col("copy"), F.col("n_words")).otherwise(none).alias("n_removed"),
@@ -140,7 +140,7 @@ def dedup(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 def deduped(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """``docs`` with the repeated words cut from ``text``; rows left without words go. Untouched texts stay as they are."""
     heads, found = repeats(docs, window)
-    cut = found.mapInArrow(_result(window), RESULT).select(F.col("doc_id").alias("cut_id"), F.col("kept_text").alias("cut_text"))
+    cut = found.mapInArrow(_result(window), RESULT).select(F.col("doc_id").alias("cut_id"), F.col("kept_text").alias("cut_text")).dropDuplicates(["cut_id"])
     gone = heads.where("copy").select(F.col("doc_id").alias("gone_id")).distinct()
     out = docs.join(gone, F.col("doc_id") == F.col("gone_id"), "left_anti").join(cut, F.col("doc_id") == F.col("cut_id"), "left")
     text = F.coalesce("cut_text", "text")
