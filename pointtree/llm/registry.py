@@ -6,7 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import substring_dedup
+from . import jaccard_join, substring_dedup
+from .jaccard_join import op4_jaccard_join
 from .mixing import op7_mixing
 from .packing import op3_packing
 from .quality import op10_quality
@@ -16,9 +17,9 @@ from .toxicity import op6_toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_substring_dedup, op3_packing, op6_toxicity, op7_mixing, op9_token_store, op10_quality]
+    found = [op1_substring_dedup, op3_packing, op4_jaccard_join, op6_toxicity, op7_mixing, op9_token_store, op10_quality]
     return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_substring_dedup": substring_dedup.ORACLE}
+    return {"op1_substring_dedup": substring_dedup.ORACLE, "op4_jaccard_join": jaccard_join.ORACLE}
