@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import corpus_pipeline
 from pyspark.sql import DataFrame, SparkSession
 
 from . import jaccard_join, substring_dedup
@@ -18,7 +19,7 @@ from .toxicity import op6_toxicity
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = [op1_substring_dedup, op3_packing, op4_jaccard_join, op6_toxicity, op7_mixing, op9_token_store, op10_quality]
-    return {f.__name__: f for f in found}
+    return {f.__name__: f for f in found} | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
