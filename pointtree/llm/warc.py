@@ -109,13 +109,19 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     sized = parts.select("file", "part", "no", "size", F.when(F.instr("value", "\r\n\r\n") > 0, F.octet_length("head").cast("long")).alias("head"), "body")
     chained = store(sized.groupBy("file").applyInArrow(_chain, "file string, part long, no long, first long, parts long"), "chain")
     alone = F.coalesce(F.octet_length("head") + 8 + F.col("body") == F.col("size"), F.lit(False))
-    parsed = parts.withColumn("alone", alone).select("file", "part", "no", "alone", F.when(F.col("alone"), F.col("head")).alias("head"), F.when(F.col("alone"), _payload("body")).alias("payload"), F.when(~F.col("alone"), F.col("value")).alias("value"))
+    parsed = parts.withColumn("alone", alone).select("file", "part", "no", "alone", "head", _payload("body").alias("payload"))
     parsed = parsed.withColumns({"digest": base32_sha1(F.col("payload")), "bytes": F.octet_length("payload").cast("long")})
-    kept = parsed.join(chained, ["file", "part", "no"])
-    several = kept.where("not alone").groupBy("file", "first").agg(F.sort_array(F.collect_list(F.struct("part", "no", "value"))).alias("v")).select(F.array_join("v.value", MAGIC).alias("value"))
+    keys = ["file", "part", "no"]
+    kept = parsed.where("alone").join(chained.where("parts = 1"), keys)
+    # records whose payload holds the magic are put together again, from the files that have any
+    torn = store(chained.where("parts > 1"), "torn")
+    files = torn.select("file").distinct()
+    if files.count() <= 10_000:
+        files = F.broadcast(files)
+    several = placed.join(files, "file", "left_semi").join(torn, keys).groupBy("file", "first").agg(F.sort_array(F.collect_list(F.struct("part", "no", "value"))).alias("v")).select(F.array_join("v.value", MAGIC).alias("value"))
     several = several.select(F.expr(HEAD).alias("head"), F.expr(BODY).alias("body"), "value").select("head", _payload("body").alias("payload"))
     several = several.select("head", "payload", base32_sha1(F.col("payload")).alias("digest"), F.octet_length("payload").cast("long").alias("bytes"))
-    r = kept.where("alone").select("head", "payload", "digest", "bytes").union(several)
+    r = kept.select("head", "payload", "digest", "bytes").union(several)
     named = lambda name: F.regexp_extract("head", rf"(?i)(?:^|\n){name}:[ \t]*([^\r\n]*)", 1)
     page = lambda name: F.expr("try_cast(" + rf"regexp_extract(head, '(?i)(?:^|\n){name}:[ \t]*<urn:page:(-?\\d+)>', 1) as long)")
     full = named("WARC-Type") != "revisit"
