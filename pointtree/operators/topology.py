@@ -134,23 +134,23 @@ def ordered_index(rows: DataFrame, *keys: str, name: str = "pos", first: str | N
     return placed.withColumn("inside", inside).join(F.broadcast(before), "range_no").withColumn(name, F.col("before") + F.col("inside")).drop("range_no", "in_range", "range_add", "before", "inside")
 
 
-def child_boxes(nodes: DataFrame, parts: tuple[int, ...]) -> DataFrame:
+def child_boxes(nodes: DataFrame, parts: tuple[int, ...], dims: int = 3) -> DataFrame:
     """All children of divided boxes, empty ones with count 0: ``level, path, cnt``. The root is divided always."""
     spark, h = nodes.sparkSession, len(parts)
     root = spark.createDataFrame([(0, "")], "level int, path string")
     divided = root.unionByName(nodes.where("kind = 'branch'").select("level", "path"))
-    width = F.element_at(F.array(*[F.lit(k**3) for k in parts]), F.col("level") + 1)
+    width = F.element_at(F.array(*[F.lit(k**dims) for k in parts]), F.col("level") + 1)
     children = divided.where(F.col("level") < h).select((F.col("level") + 1).alias("level"), F.explode(F.sequence(F.lit(0), width - 1)).alias("d"), F.col("path").alias("parent")).select("level", F.concat("parent", F.char(F.col("d") + 48)).alias("path"))
     return children.join(nodes.select("level", "path", "cnt"), ["level", "path"], "left").withColumn("cnt", F.coalesce("cnt", F.lit(0).cast("long")))
 
 
-def global_bits(nodes: DataFrame, parts: tuple[int, ...], limit: int, which: str) -> DataFrame:
+def global_bits(nodes: DataFrame, parts: tuple[int, ...], limit: int, which: str, dims: int = 3) -> DataFrame:
     """``pos, bit`` of the whole tree in breadth-first order: ``branch``, ``occupied`` or ``tally`` flags."""
     h = len(parts)
     if which == "tally":
         leaves = ordered_index(nodes.where("kind <> 'branch'").select("level", "path", "cnt"), "level", "path", name="start", first="cnt")
         return leaves.select(F.explode(F.sequence(F.lit(0).cast("long"), F.col("cnt") - 1)).alias("i"), "start", "cnt").select((F.col("start") + F.col("i")).alias("pos"), (F.col("i") == F.col("cnt") - 1).cast("int").alias("bit"))
-    boxes = child_boxes(nodes, parts)
+    boxes = child_boxes(nodes, parts, dims)
     divided = (F.col("cnt") > limit) & (F.col("level") < h)
     if which == "branch":
         return ordered_index(boxes.where(F.col("level") < h).withColumn("bit", divided.cast("int")), "level", "path").select("pos", "bit")
