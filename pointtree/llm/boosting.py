@@ -28,7 +28,7 @@ class Boosted:
         return np.stack([np.searchsorted(e, x[:, j], side="left") for j, e in enumerate(self.edges)], 1).astype(np.int16)
 
     def fit(self, x: np.ndarray, y: np.ndarray) -> Boosted:
-        self.edges = [np.unique(np.quantile(x[:, j], np.linspace(0, 1, BINS)[1:-1])) for j in range(x.shape[1])]
+        self.edges = [np.unique(np.quantile(x[:, j], np.linspace(0, 1, BINS)[1:-1])) for j in range(x.shape[1])] if len(y) else [np.zeros(0)] * x.shape[1]
         b, n = self._bin(x), len(y)
         rate = min(max(y.mean() if n else 0.0, 1e-4), 1 - 1e-4)
         self.base = float(np.log(rate / (1 - rate)))

@@ -151,7 +151,7 @@ def links(vectors: DataFrame, least: float = LEAST_COSINE, shard: int = SHARD) -
     sums = found.groupBy("rep").agg(F.sum("n_links").alias("n_links"))
     per = sums.join(joined.select(F.col("id").alias("rep"), "component"), "rep", "left").join(reps.select("rep", "label", "dim", "v", "n"), "rep")
     per = store(per.select("label", "dim", "v", (F.col("n_links") + F.col("n") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component")), "per")
-    out = units.join(per, ["label", "dim", "v"], "left").select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.when(F.col("vec_id").isNotNull(), F.coalesce("component", "vec_id")).alias("component_id"))
+    out = units.withColumn("v", F.when(F.col("vec_id").isNotNull(), F.col("v"))).join(per, ["label", "dim", "v"], "left").select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.when(F.col("vec_id").isNotNull(), F.coalesce("component", "vec_id")).alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
 
 
