@@ -288,12 +288,12 @@ def test_quality(spark, docs, none):
 def test_html_text(spark):
     page = lambda body: f"<html><head><title>t</title></head><body>{body}</body></html>"
     notice = "<div>this site is run by a club of friends since long ago</div>"
-    rows = [(i, f"http://h.org/{i}", page(f"{notice}<p>own text number {i} of this page alone</p>")) for i in range(5)]
+    rows = [(i, f"http://h.org/{i}", page(f"{notice}<p>page{i} has text of its own here</p>")) for i in range(5)]
     rows += [(9, "http://h.org/9", page("<article><p>a &lt; b</p>  <p>c\n d</p></article><footer>f</footer>")), (10, None, None), (11, "bad url", "plain"), (0, "http://h.org/0", rows[0][2]), (12, "http://other.org/", page(notice))]
     df = spark.createDataFrame([(*r, "c") for r in rows], "page_id long, url string, html string, host string")
     got = {r.page_id: r for r in html_text.extract(df).collect()}
     assert html_text.extract(df).count() == len(rows)
-    assert [got[i].text for i in range(5)] == [f"own text number {i} of this page alone" for i in range(5)]
+    assert [got[i].text for i in range(5)] == [f"page{i} has text of its own here" for i in range(5)]
     assert got[9].text == "a < b\nc d" and got[10].text == "" and got[11].text == "plain" and got[12].text.startswith("this site") and got[9].n_chars == 9
     assert html_text.extract(df.limit(0)).count() == 0
 
