@@ -28,7 +28,7 @@ W = "WITH "
 AIR = W + grid_sql("air")
 VOXEL = 400_000
 div = lambda c, n: F.call_function("div", F.col(c), F.lit(n))
-VOXELS = [div(a, VOXEL).alias(f"v{a}") for a in XYZ]
+voxels = lambda: [div(a, VOXEL).alias(f"v{a}") for a in XYZ]
 VOXELS_SQL = ", ".join(f"{a} // {VOXEL} AS v{a}" for a in "xyz")
 INSIDE = " AND ".join(f"c.{a} BETWEEN b.{a}i AND b.{a}e" for a in "xyz")
 
@@ -146,7 +146,7 @@ registered("box_left", _TINY_SQL + " SELECT q, n FROM n")(_counts_small)
 
 @registered("cloud_diff_outer", f"WITH {grid_sql('air')}, t AS ({TILES_SQL}), p AS (SELECT {VOXELS_SQL}, tile FROM c JOIN t ON point_source = s_suppkey), a AS (SELECT vx, vy, vz, count(*) AS n FROM p WHERE tile < 4 GROUP BY ALL), b AS (SELECT vx, vy, vz, count(*) AS n FROM p WHERE tile BETWEEN 4 AND 8 GROUP BY ALL) SELECT vx, vy, vz, coalesce(a.n, 0) AS before, coalesce(b.n, 0) AS after FROM a FULL JOIN b USING (vx, vy, vz)")
 def cloud_diff_outer(spark: SparkSession, d: str) -> DataFrame:
-    t = tiled(spark, d).select(*VOXELS, "tile")
+    t = tiled(spark, d).select(*voxels(), "tile")
     part = lambda c, n: t.where(c).groupBy("vx", "vy", "vz").agg(F.count("*").alias(n))
     j = part("tile < 4", "before").join(part("tile between 4 and 8", "after"), ["vx", "vy", "vz"], "full")
     zero = F.lit(0).cast("long")
@@ -178,7 +178,7 @@ def cross_boxes(spark: SparkSession, d: str) -> DataFrame:
     return b.select("q", e).select("q", "w.axis", "w.width")
 
 # ---- aggregation
-registered("voxel_stats", AIR + f" SELECT {VOXELS_SQL}, count(*) AS n, min(intensity) AS lo, max(intensity) AS hi, CAST(sum(intensity) AS BIGINT) AS total FROM c GROUP BY 1, 2, 3")(lambda spark, d: air(spark, d).groupBy(*VOXELS).agg(F.count("*").alias("n"), F.min("intensity").alias("lo"), F.max("intensity").alias("hi"), F.sum("intensity").alias("total")))
+registered("voxel_stats", AIR + f" SELECT {VOXELS_SQL}, count(*) AS n, min(intensity) AS lo, max(intensity) AS hi, CAST(sum(intensity) AS BIGINT) AS total FROM c GROUP BY 1, 2, 3")(lambda spark, d: air(spark, d).groupBy(*voxels()).agg(F.count("*").alias("n"), F.min("intensity").alias("lo"), F.max("intensity").alias("hi"), F.sum("intensity").alias("total")))
 registered("distinct_cells", W + grid_sql("grid") + " SELECT DISTINCT x, y, z FROM c")(lambda spark, d: cloud(spark, d, "grid")[0].select(*XYZ).distinct())
 registered("approx_cells")(lambda spark, d: cloud(spark, d, "grid")[0].agg(F.approx_count_distinct(F.struct(*XYZ), 0.02).alias("cells")))
 registered("approx_intensity")(lambda spark, d: air(spark, d).groupBy("classification").agg(F.percentile_approx("intensity", 0.5, 1000).alias("median")))
@@ -186,15 +186,15 @@ registered("gsets_class", AIR + f", t AS ({TILES_SQL}) SELECT classification, ti
 registered("rollup_zone", W + sql_points("air") + " SELECT substr(path, 1, 1) AS a, substr(path, 1, 2) AS b, count(*) AS n FROM pts GROUP BY ROLLUP (substr(path, 1, 1), substr(path, 1, 2))")(lambda spark, d: (lambda p, f: p.withColumn("path", path_of(f.parts(CONFIG))).rollup(F.substring("path", 1, 1).alias("a"), F.substring("path", 1, 2).alias("b")).agg(F.count("*").alias("n")))(*cloud(spark, d, "air")))
 registered("cube_class", AIR + " SELECT classification, return_number, count(*) AS n FROM c GROUP BY CUBE (classification, return_number)")(lambda spark, d: air(spark, d).cube("classification", "return_number").agg(F.count("*").alias("n")))
 registered("pivot_returns", AIR + " SELECT return_number, count(*) FILTER (classification = 1) AS c1, count(*) FILTER (classification = 2) AS c2, count(*) FILTER (classification = 3) AS c3 FROM c GROUP BY return_number")(lambda spark, d: air(spark, d).groupBy("return_number").pivot("classification", [1, 2, 3]).count().select("return_number", *[F.coalesce(F.col(str(i)), F.lit(0)).alias(f"c{i}") for i in (1, 2, 3)]))
-registered("having_dense", AIR + f" SELECT {VOXELS_SQL}, count(*) AS n FROM c GROUP BY 1, 2, 3 HAVING count(*) > 100")(lambda spark, d: air(spark, d).groupBy(*VOXELS).agg(F.count("*").alias("n")).where("n > 100"))
+registered("having_dense", AIR + f" SELECT {VOXELS_SQL}, count(*) AS n FROM c GROUP BY 1, 2, 3 HAVING count(*) > 100")(lambda spark, d: air(spark, d).groupBy(*voxels()).agg(F.count("*").alias("n")).where("n > 100"))
 registered("agg_filter", AIR + " SELECT point_source, count(*) FILTER (scan_angle < 0) AS left_, CAST(sum(intensity) FILTER (edge_of_flight_line = 1) AS BIGINT) AS edge FROM c GROUP BY point_source")(lambda spark, d: air(spark, d).groupBy("point_source").agg(F.count(F.when(F.col("scan_angle") < 0, 1)).alias("left_"), F.sum(F.when(F.col("edge_of_flight_line") == 1, F.col("intensity"))).alias("edge")))
 registered("top_intensity", W + grid_sql("events") + " SELECT event_code, max_by(pid, (z, pid)) AS pid, max(z) AS z FROM c GROUP BY event_code")(lambda spark, d: cloud(spark, d, "events")[0].groupBy("event_code").agg(F.max_by("pid", F.struct("z", "pid")).alias("pid"), F.max("z").alias("z")))
 registered("bit_or_flags", AIR + " SELECT point_source, bit_or(1 << classification) AS classes, bit_or(1 << return_number) AS returns FROM c GROUP BY point_source")(lambda spark, d: air(spark, d).groupBy("point_source").agg(F.bit_or(F.expr("shiftleft(1, classification)")).alias("classes"), F.bit_or(F.expr("shiftleft(1, return_number)")).alias("returns")))
 
 # ---- windows
 registered("win_positions", W + sql_points("orders") + " SELECT pid, CAST(row_number() OVER (PARTITION BY substr(path, 1, 4) ORDER BY path, pid) AS BIGINT) AS place FROM pts")(lambda spark, d: (lambda p, f: p.withColumn("path", path_of(f.parts(CONFIG))).select("pid", F.row_number().over(Window.partitionBy(F.substring("path", 1, 4)).orderBy("path", "pid")).cast("long").alias("place")))(*cloud(spark, d, "orders")))
-_WE = Window.partitionBy("event_code").orderBy("z", "pid")
-registered("win_rank", W + grid_sql("events") + " SELECT pid, CAST(rank() OVER w AS BIGINT) AS r, CAST(dense_rank() OVER (PARTITION BY event_code ORDER BY z) AS BIGINT) AS dr, CAST(ntile(4) OVER w AS BIGINT) AS quarter FROM c WINDOW w AS (PARTITION BY event_code ORDER BY z, pid)")(lambda spark, d: cloud(spark, d, "events")[0].select("pid", F.rank().over(_WE).cast("long").alias("r"), F.dense_rank().over(Window.partitionBy("event_code").orderBy("z")).cast("long").alias("dr"), F.ntile(4).over(_WE).cast("long").alias("quarter")))
+_we = lambda: Window.partitionBy("event_code").orderBy("z", "pid")
+registered("win_rank", W + grid_sql("events") + " SELECT pid, CAST(rank() OVER w AS BIGINT) AS r, CAST(dense_rank() OVER (PARTITION BY event_code ORDER BY z) AS BIGINT) AS dr, CAST(ntile(4) OVER w AS BIGINT) AS quarter FROM c WINDOW w AS (PARTITION BY event_code ORDER BY z, pid)")(lambda spark, d: cloud(spark, d, "events")[0].select("pid", F.rank().over(_we()).cast("long").alias("r"), F.dense_rank().over(Window.partitionBy("event_code").orderBy("z")).cast("long").alias("dr"), F.ntile(4).over(_we()).cast("long").alias("quarter")))
 registered("win_running", W + grid_sql("events") + " SELECT pid, CAST(sum(z) OVER (PARTITION BY event_code ORDER BY x, pid) AS BIGINT) AS total FROM c")(lambda spark, d: cloud(spark, d, "events")[0].select("pid", F.sum("z").over(Window.partitionBy("event_code").orderBy("x", "pid")).alias("total")))
 registered("win_range", W + grid_sql("events") + " SELECT pid, count(*) OVER (PARTITION BY event_code ORDER BY x RANGE BETWEEN 3600 PRECEDING AND 3600 FOLLOWING) AS near FROM c")(lambda spark, d: cloud(spark, d, "events")[0].select("pid", F.count("*").over(Window.partitionBy("event_code").orderBy("x").rangeBetween(-3600, 3600)).alias("near")))
 registered("win_first_last", W + grid_sql("events") + " SELECT DISTINCT y, first_value(pid) OVER w AS first_, last_value(pid) OVER w AS last_ FROM c WINDOW w AS (PARTITION BY y ORDER BY x, pid ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(lambda spark, d: cloud(spark, d, "events")[0].select("y", *[f("pid").over(Window.partitionBy("y").orderBy("x", "pid").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias(n) for f, n in ((F.first, "first_"), (F.last, "last_"))]).distinct())
@@ -207,7 +207,7 @@ registered("topk_global", W + grid_sql("orders") + " SELECT pid, y FROM c ORDER
 _SETS = f"WITH {grid_sql('air')}, t AS ({TILES_SQL}), p AS (SELECT {VOXELS_SQL}, tile FROM c JOIN t ON point_source = s_suppkey), a AS (SELECT vx, vy, vz FROM p WHERE tile < 4), b AS (SELECT vx, vy, vz FROM p WHERE tile BETWEEN 4 AND 8)"
 
 def _two(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
-    t = tiled(spark, d).select(*VOXELS, "tile")
+    t = tiled(spark, d).select(*voxels(), "tile")
     return t.where("tile < 4").drop("tile"), t.where("tile between 4 and 8").drop("tile")
 
 registered("union_cells", _SETS + " SELECT * FROM a UNION SELECT * FROM b")(lambda spark, d: (lambda a, b: a.union(b).distinct())(*_two(spark, d)))

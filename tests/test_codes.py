@@ -119,3 +119,13 @@ def test_parameters():
     assert TreeConfig().parts(0) == (2,) and sides((4, 2)) == [8, 2, 1]
     with pytest.raises(ValueError):
         TreeConfig(fanout=3)
+
+
+def test_entry_imports_without_a_session():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(__file__).resolve().parents[1]
+    out = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()) >= len(e.oracle_sql()) > 100)"], cwd=root, capture_output=True, text=True, timeout=120)
+    assert out.stdout.strip().endswith("True"), out.stderr[-2000:]
