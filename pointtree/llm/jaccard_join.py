@@ -7,7 +7,8 @@ global order are its region keys: two sets within the radius share a key for cer
 regions stay small). A region's pivot is its first set. Every set of the region is compared with the pivot; then
 regions whose sets are in one component already are done, and in the others only such sets are compared whose
 components differ and whose distances to the pivot and sizes differ by no more than the triangle inequality and
-the radius allow. These comparisons are dealt by blocks of a region. Every link is verified on the words themselves.
+the radius allow. These comparisons are dealt by blocks of a region. Sizes that no link can join are left out
+first; every link is verified on the whole sets.
 
 Equal sets are one row throughout; their members follow at the end.
 """
@@ -15,7 +16,6 @@ Equal sets are one row throughout; their members follow at the end.
 from __future__ import annotations
 
 import hashlib
-from collections import OrderedDict
 from collections.abc import Iterator
 
 import numpy as np
@@ -82,23 +82,18 @@ def _scan(k: int, percent: int, frequent: np.ndarray):
 
 
 def _verify(k: int):
-    """Pairs with both packed texts -> overlap of their shingles, counted on the words."""
+    """Pairs with both packed texts -> overlap of their shingles. Rows come by pivot, whose set is kept."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        unpacker, held = zstandard.ZstdDecompressor(), OrderedDict()
-
-        def words_of(doc: int, packed: bytes) -> set:
-            if doc in held:
-                held.move_to_end(doc)
-                return held[doc]
-            w = unpacker.decompress(packed).translate(FOLD).split()
-            held[doc] = s = {tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))}
-            if len(held) > 16:
-                held.popitem(last=False)
-            return s
-
+        unpacker, held = zstandard.ZstdDecompressor(), (None, np.empty(0, np.uint64))
         for b in batches:
-            overlap = [len(words_of(r["a"], r["pa"]) & words_of(r["b"], r["pb"])) for r in b.select(["a", "b", "pa", "pb"]).to_pylist()]
+            overlap = []
+            for doc, pivot, other in zip(b.column("a").to_pylist(), b.column("pa"), b.column("pb"), strict=True):
+                if doc != held[0]:
+                    held = doc, shingles(unpacker.decompress(pivot.as_py()), k)
+                s = np.concatenate([held[1], shingles(unpacker.decompress(other.as_py()), k)])
+                s.sort()
+                overlap.append(int((s[1:] == s[:-1]).sum()))
             yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), b.column("sa"), b.column("sb"), pa.array(overlap, pa.int64())], names=["a", "b", "sa", "sb", "overlap"])
 
     return run
@@ -107,7 +102,7 @@ def _verify(k: int):
 def _compare(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
     """Distinct ``pairs(a, b)`` -> ``a, b, sa, sb, overlap, near``."""
     side = lambda x: texts.select(F.col("doc_id").alias(x), F.col("size").alias(f"s{x}"), F.col("packed").alias(f"p{x}"))
-    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "sa", "sb", "pa", "pb")
+    both = pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "sa", "sb", "pa", "pb")
     got = both.mapInArrow(_verify(k), "a long, b long, sa long, sb long, overlap long")
     return got.withColumn("near", 100 * F.col("overlap") >= percent * (F.col("sa") + F.col("sb") - F.col("overlap")))
 
@@ -132,17 +127,18 @@ def join(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame
 
     sets = store(source.mapInArrow(scan, "doc_id long, size long, print binary, keys array<long>, packed binary"), "sets")
     named = sets.where("size > 0 and doc_id is not null")
-    heads = store(named.groupBy("print").agg(F.min("doc_id").alias("doc_id")).withColumn("head", F.lit(True)), "heads")
+    heads = store(named.groupBy("print").agg(F.min("doc_id").alias("doc_id"), F.first("size").alias("size")), "heads")
     entries = named.select("doc_id", F.explode("keys").alias("key"))
     # keys that two documents have at least; then first copies only, and regions with two of those
     repeated = store(entries.groupBy("key").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select("key"), "repeated")
-    mine = store(entries.join(repeated, "key").join(heads.select("doc_id"), "doc_id", "left_semi"), "entries")
-    pivots = store(mine.groupBy("key").agg(F.min("doc_id").alias("pivot"), F.max("doc_id").alias("last")).where("pivot < last").drop("last"), "pivots")
+    mine = store(entries.join(repeated, "key").join(heads.select("doc_id", "size"), "doc_id"), "entries")
+    pivots = store(mine.groupBy("key").agg(F.min(F.struct("doc_id", "size")).alias("p"), F.max("doc_id").alias("last")).where("p.doc_id < last").select("key", F.col("p.doc_id").alias("pivot"), F.col("p.size").alias("pivot_size")), "pivots")
     regions = store(mine.join(pivots, "key"), "regions")
     ids = store(regions.select("doc_id").distinct(), "ids")
     texts = store(named.select("doc_id", "size", "packed").join(ids, "doc_id"), "texts")
     release(repeated, mine, pivots)
-    star = regions.where("doc_id > pivot").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")).distinct()
+    alike = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
+    star = regions.where("doc_id > pivot").where(alike("size", "pivot_size")).select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")).distinct()
     first = store(_compare(star, texts, k, percent), "first")
     links = first.where("near").select("a", "b")
     found = store(components(links), "found")
@@ -151,13 +147,18 @@ def join(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame
     placed = store(placed, "placed")
     open_ = store(placed.groupBy("key").agg(F.min("component").alias("c"), F.max("component").alias("d"), F.count("*").alias("n")).where("c < d and n > 2").select("key", "n"), "open")
     left = placed.join(open_, "key").join(first.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), (1 - F.col("overlap") / (F.col("sa") + F.col("sb") - F.col("overlap"))).alias("far")), ["pivot", "doc_id"], "left").withColumn("far", F.when(F.col("doc_id") == F.col("pivot"), 0.0).otherwise(F.col("far")))
-    left = left.where("doc_id <> pivot").join(texts.select("doc_id", "size"), "doc_id").withColumn("blocks", F.ceil(F.col("n") / BLOCK)).withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")))
+    left = left.where("doc_id <> pivot").withColumn("blocks", F.ceil(F.col("n") / BLOCK)).withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")))
     left = store(left.select("key", "doc_id", "size", "component", "far", "block", "blocks"), "left")
     low = left.select("key", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"), F.col("doc_id").alias("a"), F.col("size").alias("sa"), F.col("component").alias("ca"), F.col("far").alias("fa"))
     high = left.select("key", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.col("block").alias("other"), F.col("doc_id").alias("b"), F.col("size").alias("sb"), F.col("component").alias("cb"), F.col("far").alias("fb"))
     radius = 1 - percent / 100
-    inside = low.join(high, ["key", "block", "other"]).where("a < b and ca <> cb").where((F.least("sa", "sb") * 100 >= F.greatest("sa", "sb") * percent) & (F.abs(F.col("fa") - F.col("fb")) <= radius + 1e-9))
-    second = _compare(inside.select("a", "b").distinct(), texts, k, percent)
+    inside = low.join(high, ["key", "block", "other"]).where("a < b and ca <> cb").where(alike("sa", "sb") & F.coalesce(F.abs(F.col("fa") - F.col("fb")) <= radius + 1e-9, F.lit(True)))
+    # two such sets share no region whose pivot is one of them, so these rows count all keys that they share; beyond the
+    # key at which the first of both prefixes ends, the overlap is no larger than what is left of that set
+    must = lambda n: F.ceil(n * percent / 100)
+    overlap = F.ceil((F.col("sa") + F.col("sb")) * percent / (100 + percent))
+    counted = inside.groupBy("a", "b", "sa", "sb").agg(F.count("*").alias("shared")).where(F.col("shared") >= overlap - F.greatest(must(F.col("sa")), must(F.col("sb"))))
+    second = _compare(counted.select("a", "b"), texts, k, percent)
     more = store(second.where("near").select("a", "b"), "more")
     if more.isEmpty():
         final = found
