@@ -4,7 +4,7 @@ Jaccard distance is a metric, but texts that share nothing all lie at distance 1
 pivots that are drawn from the corpus at random would each keep such a text as a boundary document. The regions
 here are therefore grown from what two near texts must share. Of each set the few shingles that come first in one
 global order are its region keys: two sets within the radius share a key for certain (rare shingles come first, so that
-regions stay small). A region's pivot is its first set. Every set of the region is compared with the pivot; then
+regions stay small). A region's pivot is its first set, and large regions have a few more. Every set of the region is compared with the pivots; then
 regions whose sets are in one component already are done, and in the others only such sets are compared whose
 components differ and whose distances to the pivot and sizes differ by no more than the triangle inequality and
 the radius allow. These comparisons are dealt by blocks of a region. Sizes that no link can join are left out
@@ -31,6 +31,8 @@ SHINGLE = 5
 PERCENT = 80
 #: Counters of the sketch by which frequent shingles come last; its size does not grow with the corpus.
 SKETCH_BITS = 17
+#: Sets from which on a region has further pivots, and how many: sets that miss one pivot mostly link with another.
+LARGE, MORE_PIVOTS = 32, 4
 #: Rows of a region that one comparison task holds on either side.
 BLOCK = 64
 FOLD = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
@@ -102,7 +104,7 @@ def _verify(k: int):
 def _compare(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
     """Distinct ``pairs(a, b)`` -> ``a, b, sa, sb, overlap, near``."""
     side = lambda x: texts.select(F.col("doc_id").alias(x), F.col("size").alias(f"s{x}"), F.col("packed").alias(f"p{x}"))
-    both = pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "sa", "sb", "pa", "pb")
+    both = pairs.join(side("b").hint("merge"), "b").join(side("a").hint("merge"), "a").select("a", "b", "sa", "sb", "pa", "pb")
     got = both.mapInArrow(_verify(k), "a long, b long, sa long, sb long, overlap long")
     return got.withColumn("near", 100 * F.col("overlap") >= percent * (F.col("sa") + F.col("sb") - F.col("overlap")))
 
@@ -132,13 +134,20 @@ def join(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame
     # keys that two documents have at least; then first copies only, and regions with two of those
     repeated = store(entries.groupBy("key").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select("key"), "repeated")
     mine = store(entries.join(repeated, "key").join(heads.select("doc_id", "size"), "doc_id"), "entries")
-    pivots = store(mine.groupBy("key").agg(F.min(F.struct("doc_id", "size")).alias("p"), F.max("doc_id").alias("last")).where("p.doc_id < last").select("key", F.col("p.doc_id").alias("pivot"), F.col("p.size").alias("pivot_size")), "pivots")
-    regions = store(mine.join(pivots, "key"), "regions")
+    # hashes of the ids alone choose the further pivots of large regions, so that regions of the same sets choose the same
+    drawn = [F.min(F.struct(F.xxhash64("doc_id", F.lit(i)), "doc_id", "size")) for i in range(MORE_PIVOTS)]
+    chosen = mine.groupBy("key").agg(F.min(F.struct("doc_id", "size")).alias("p"), F.max("doc_id").alias("last"), F.count("*").alias("n"), *[c.alias(f"q{i}") for i, c in enumerate(drawn)]).where("p.doc_id < last")
+    others = F.array(*[F.struct(F.col(f"q{i}.doc_id").alias("doc_id"), F.col(f"q{i}.size").alias("size")) for i in range(MORE_PIVOTS)])
+    pivots = store(chosen.select("key", F.col("p.doc_id").alias("pivot"), F.col("p.size").alias("pivot_size"), F.when(F.col("n") > LARGE, others).alias("others")), "pivots")
+    beside = store(mine.join(pivots, "key"), "regions")
+    regions = beside.drop("others")
     ids = store(regions.select("doc_id").distinct(), "ids")
     texts = store(named.select("doc_id", "size", "packed").join(ids, "doc_id"), "texts")
     release(repeated, mine, pivots)
     alike = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
-    star = regions.where("doc_id > pivot").where(alike("size", "pivot_size")).select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")).distinct()
+    star = regions.where("doc_id > pivot").where(alike("size", "pivot_size")).select(F.col("pivot").alias("a"), F.col("doc_id").alias("b"))
+    drawn_star = beside.where("others is not null").select("doc_id", "size", F.explode("others").alias("o")).where("doc_id <> o.doc_id").where(alike("size", "o.size"))
+    star = star.union(drawn_star.select(F.least("doc_id", "o.doc_id"), F.greatest("doc_id", "o.doc_id"))).distinct()
     first = store(_compare(star, texts, k, percent), "first")
     links = first.where("near").select("a", "b")
     found = store(components(links), "found")
@@ -166,7 +175,7 @@ def join(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame
         final = store(components(links.union(more)), "final")
     heads_named = heads.join(final.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("print", F.coalesce("component", "doc_id").alias("component"))
     out = sets.select("doc_id", F.col("size").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.col("print")).alias("print")).join(store(heads_named, "components"), "print", "left")
-    release(regions, placed, open_, left, first, texts)
+    release(beside, placed, open_, left, first, texts)
     return out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
 
 
