@@ -144,7 +144,7 @@ def links(vectors: DataFrame, least: float = LEAST_COSINE, shard: int = SHARD) -
     index = store(dealt.select("label", "dim", "shard", "rep", "n", "v").groupBy("label", "dim", "shard").applyInArrow(_build, "label string, dim int, shard int, reps array<long>, counts array<long>, vectors binary, graph binary"), "index")
     every = F.explode(F.sequence(F.lit(0), F.col("shards") - 1))
     queries = dealt.select("label", "dim", F.col("shard").alias("part"), every.alias("shard"), "rep", "v")
-    targets = index.join(shards, ["label", "dim"]).select("label", "dim", every.alias("part"), "shard", "reps", "counts", "vectors", "graph")
+    targets = index.hint("merge").join(shards, ["label", "dim"]).select("label", "dim", every.alias("part"), "shard", "reps", "counts", "vectors", "graph")
     keys = ["label", "dim", "part", "shard"]
     found = store(queries.groupBy(*keys).cogroup(targets.groupBy(*keys)).applyInArrow(_query(least), "rep long, n_links long, root long"), "found")
     joined = components(found.where("root is not null").select(F.col("rep").alias("a"), F.col("root").alias("b")))

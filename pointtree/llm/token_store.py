@@ -104,7 +104,8 @@ def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID) -> N
     starts = tasks.select("task", F.coalesce(F.sum("n").over(Window.orderBy("task").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("task_start"))
     within = blocks.select("task", "block", F.coalesce(F.sum("n").over(Window.partitionBy("task").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("block_start"))
     at = within.join(starts, "task").select("task", "block", (F.col("task_start") + F.col("block_start")).alias("start"))
-    per = spark.read.parquet(f"{path}/blocks").select("task", "block", "doc_ids", "sizes", "tokens").join(at, ["task", "block"])
+    # Spark takes binary and array columns for far smaller than they are: without the hint it would broadcast them
+    per = spark.read.parquet(f"{path}/blocks").select("task", "block", "doc_ids", "sizes", "tokens").hint("merge").join(at, ["task", "block"])
 
     def offsets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -121,7 +122,7 @@ def read(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
     found = spark.read.parquet(f"{path}/dictionary").first()
     frames_hash, shared = found["dictionary_hash"], spark.sparkContext.broadcast(bytes(found["dictionary"]))
     index = spark.read.parquet(f"{path}/index").groupBy("task", "block").agg(F.sort_array(F.collect_list(F.struct("at", "size", "doc_id", "start", "n_tokens", "dictionary_hash"))).alias("docs"))
-    blocks = spark.read.parquet(f"{path}/blocks").select("task", "block", "data").join(index, ["task", "block"])
+    blocks = spark.read.parquet(f"{path}/blocks").select("task", "block", "data").hint("merge").join(index, ["task", "block"])
     names = ["doc_id", "start", "n_tokens", "ids_crc32", *["ids"] * with_ids]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
