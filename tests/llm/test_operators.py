@@ -4,6 +4,7 @@ import hashlib
 import itertools
 import random
 import re
+import uuid
 import zlib
 
 import numpy as np
@@ -15,6 +16,10 @@ from pointtree.llm import embedding_dedup, html_text, jaccard_join, mixing, pack
 from pointtree.llm.common import components, shared_dir
 from pointtree.llm.encoding import encoder, tokenizer_path
 
+def folder(spark):
+    return f"{shared_dir(spark)}/test-{uuid.uuid4().hex}"
+
+
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, size int, key string, `first` string"
 
@@ -177,7 +182,7 @@ def test_packing(docs, none):
 
 
 def test_token_store(spark, docs, none):
-    path, at = tokenizer_path("word_bpe_49k.json"), shared_dir(spark) + "/t1"
+    path, at = tokenizer_path("word_bpe_49k.json"), folder(spark)
     token_store.write(docs, at, path)
     e = encoder(path)
     ids = {}
@@ -201,7 +206,7 @@ def test_warc(spark):
     rows = [(1, "http://a", odd), (2, None, None), (3, "u\r\nX: y", "same"), (4, "u", "same"), (None, "u", "same"), (5, "u", "WARC/1.1\r\n"), (6, "u", "é\r\n\r\nWARC/1.1\r\n\r\n"), (7, "x", ""), (4, "u", "same"), (8, "u", "z" * 100_000 + odd)]
     df = spark.createDataFrame([(*r, "c") for r in rows], "page_id long, url string, html string, digest string")
     for parts in (1, 4):
-        at = f"{shared_dir(spark)}/warc{parts}"
+        at = folder(spark)
         warc.write(df.repartition(parts), at)
         got = warc.read(spark, at).collect()
         assert len(got) == len(rows) and all(r.intact for r in got)
@@ -218,16 +223,17 @@ def test_warc(spark):
             want.append((i, len(b), base64.b32encode(hashlib.sha1(b).digest()).decode(), "revisit" if revisit else "response", last[h or ""] if revisit else None))
         assert sorted([(r.page_id, r.payload_bytes, r.payload_digest, r.record_type, r.refers_to) for r in got], key=str) == sorted(want, key=str)
         assert {bytes(r.payload) for r in got if r.record_type == "response"} == {(h or "").encode() for _, _, h in rows}
-    warc.write(df.limit(0), shared_dir(spark) + "/warc0")
-    assert warc.read(spark, shared_dir(spark) + "/warc0").count() == 0
+    at = folder(spark)
+    warc.write(df.limit(0), at)
+    assert warc.read(spark, at).count() == 0
 
 
 def test_torn_archive_keeps_only_what_the_start_reaches(spark):
     import pathlib
 
     record = lambda n: f"WARC/1.1\r\nWARC-Type: response\r\nWARC-Record-ID: <urn:page:{n}>\r\nContent-Length: 3\r\n\r\nabc\r\n\r\n"
-    at = pathlib.Path(shared_dir(spark).removeprefix("file:") + "/torn")
-    at.mkdir()
+    at = pathlib.Path(re.sub("^file:/*", "/", folder(spark)))
+    at.mkdir(parents=True)
     (at / "a.warc").write_bytes((record(1) + record(2) + "junk" + record(3)).encode())
     (at / "b.warc").write_bytes(("junk" + record(4)).encode())
     assert sorted(r.page_id for r in warc.read(spark, f"file://{at}").collect()) == [1]
