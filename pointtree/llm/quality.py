@@ -1,9 +1,13 @@
 """Quality rules: fixed base rules, then robust multivariate outliers per language and source.
 
 Each text is told by a few statistics on transformed scales. A minimum-covariance-determinant estimate is fitted
-to every group of language and source over all of its rows that pass the base rules: from medians and absolute
-deviations, concentration steps keep the part of the rows with the least distances and estimate centre and
-covariance anew. Every step is one aggregate with partial sums, so that a hot group costs no task more than others.
+to every group of language and source over all of its rows that pass the base rules: from medians and quartiles,
+concentration steps keep the part of the rows with the least distances and estimate centre and covariance anew.
+Every step is one aggregate with partial sums, so that a hot group costs no task more than others.
+
+Symbols, repeated lines and repeated words are 0 in most texts, so that the kept rows may not vary in them at all.
+Counts tell how much a rate is uncertain even so: the square root of a Poisson count varies by 1/4. The mean of that over
+the kept rows is the least variance of the three rates; the other two have a ridge against singular matrices only.
 """
 
 from __future__ import annotations
@@ -26,11 +30,15 @@ LEAST_WORDS, MOST_REPEATED = 20, 30
 LEAST_ROWS = 100
 #: Part of the rows that a concentration step keeps, the number of steps, and the largest squared distance kept (what one row in 10,000 of a normal cloud exceeds).
 KEPT_PART, STEPS, MOST_DISTANCE = 0.75, 3, 25.745
-#: Least standard deviation of each transformed statistic, so that one that hardly varies can't reject by itself.
-FLOORS = {"x_words": 1.0, "x_length": 0.15, "x_symbols": 0.08, "x_lines": 0.15, "x_repeats": 0.15}
-X = list(FLOORS)
-#: Median of the chi-squared distribution with five degrees of freedom.
-CHI_MEDIAN = 4.351460191095529
+X = ["x_words", "x_length", "x_symbols", "x_lines", "x_repeats"]
+#: Added to the least variances, so that every covariance has an inverse.
+RIDGE = 1e-6
+#: Distance between the quartiles of a standard normal distribution.
+QUARTILES = 1.3489795003921634
+#: Variance of the square root of a Poisson count.
+ROOT_VARIANCE = 0.25
+#: Medians of the chi-squared distributions with one to five degrees of freedom.
+CHI_MEDIANS = (0.454936423119573, 1.386294361119891, 2.365973884375338, 3.356693980033321, 4.351460191095529)
 CONT = bytes(range(0x80, 0xC0))
 
 
@@ -84,6 +92,8 @@ def base(docs: DataFrame) -> DataFrame:
         "x_symbols": F.sqrt(F.col("n_symbols") / F.greatest("word_chars", F.lit(1))),
         "x_lines": F.sqrt(F.col("n_dup_lines") / words),
         "x_repeats": F.sqrt(F.col("n_repeat_words") / words),
+        "per_word": 1 / words,
+        "per_char": 1 / F.greatest("word_chars", F.lit(1)),
     })
 
 
@@ -91,9 +101,16 @@ def _pairs() -> list[tuple[int, int]]:
     return [(i, j) for i in range(len(X)) for j in range(i, len(X))]
 
 
+def _least(per_word, per_char) -> list:
+    """Least variance of each statistic, from the means of 1/words and 1/characters; repeated words come by windows."""
+    return [RIDGE, RIDGE, ROOT_VARIANCE * per_char + RIDGE, ROOT_VARIANCE * per_word + RIDGE, ROOT_VARIANCE * REPEAT_WINDOW * per_word + RIDGE]
+
+
 def _invert(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of sums per group -> centre and inverse covariance, with the floors added where a scale is too small."""
-    floor = np.array(list(FLOORS.values()))
+    """Rows of sums per group -> centre and inverse covariance.
+
+    The kept rows' covariance is multiplied by the factor that makes ``median`` the chi-squared median of as many degrees.
+    """
     for b in batches:
         rows = b.to_pylist()
         centres, inverses = [], []
@@ -102,8 +119,11 @@ def _invert(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             cov = np.empty((len(X), len(X)))
             for i, j in _pairs():
                 cov[i, j] = cov[j, i] = r[f"s{i}_{j}"] / r["n"] - mean[i] * mean[j]
-            cov *= r["scale"]
-            cov += np.diag(np.maximum(0, floor**2 - np.diag(cov)))
+            least = np.array(_least(r["mean_per_word"], r["mean_per_char"]))
+            degrees = int((np.diag(cov) > least).sum())
+            if degrees and r["median"] is not None:
+                cov *= max(1.0, r["median"] / CHI_MEDIANS[degrees - 1])
+            cov += np.diag(np.maximum(0, least - np.diag(cov)) + RIDGE)
             centres.append(mean.tolist())
             inverses.append(np.linalg.inv(cov).ravel().tolist())
         kind = pa.list_(pa.float64())
@@ -120,6 +140,10 @@ def _beside(rows: DataFrame, terms: DataFrame) -> DataFrame:
     return rows.join(F.broadcast(terms) if terms.count() <= 20_000 else terms, "grp")
 
 
+def _terms(sums: DataFrame) -> DataFrame:
+    return store(sums.mapInArrow(_invert, "grp string, centre array<double>, inverse array<double>"), "terms")
+
+
 def rules(docs: DataFrame) -> DataFrame:
     """Base statistics and verdict per row of ``docs(doc_id, text, lang, source)``.
 
@@ -137,17 +161,19 @@ def rules(docs: DataFrame) -> DataFrame:
         F.when(F.col("n") >= LEAST_ROWS, F.concat_ws("\x00", F.lit("2"), name("lang"), name("source"))).when(F.col("n_lang") >= LEAST_ROWS, F.concat_ws("\x00", F.lit("1"), name("lang"))).otherwise("0").alias("grp"))
     groups = store(named, "groups")
     few = groups.count() <= 20_000
-    rows = store(good.join(F.broadcast(groups) if few else groups, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source"))).select("grp", *X), "rows")
-    half = rows.groupBy("grp").agg(F.count("*").alias("n"), *[F.percentile_approx(x, 0.5, 2000).alias(f"m_{x}") for x in X])
-    start = _beside(rows, store(half, "half")).withColumn("d", sum((((F.col(x) - F.col(f"m_{x}")) / f) ** 2 for x, f in FLOORS.items()), F.lit(0.0)))
-    for step in range(STEPS):
-        quantile = store(start.groupBy("grp").agg(F.percentile_approx("d", F.array(F.lit(KEPT_PART), F.lit(0.5)), 2000).alias("q")), "quantile")
-        kept = _beside(start, quantile).where(F.col("d") <= F.col("q")[0])
-        # the kept part's covariance is too small; after the first step the median distance tells by how much
-        scale = F.first(F.col("q")[1]) / CHI_MEDIAN if step else F.lit(1.5)
-        sums = kept.groupBy("grp").agg(F.count("*").alias("n"), *[F.sum(x).alias(f"s{i}") for i, x in enumerate(X)], *[F.sum(F.col(X[i]) * F.col(X[j])).alias(f"s{i}_{j}") for i, j in _pairs()], F.greatest(scale, F.lit(1.0)).alias("scale"))
-        terms = store(sums.mapInArrow(_invert, "grp string, centre array<double>, inverse array<double>"), "terms")
-        start = _beside(rows, terms).withColumn("d", _distance()).select("grp", *X, "d")
+    rows = store(good.join(F.broadcast(groups) if few else groups, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source"))).select("grp", *X, "per_word", "per_char"), "rows")
+    means = [F.avg("per_word").alias("mean_per_word"), F.avg("per_char").alias("mean_per_char")]
+    half = rows.groupBy("grp").agg(*[F.percentile_approx(x, F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)), 2000).alias(f"m_{x}") for x in X], *means)
+    spread = [F.greatest(((F.col(f"m_{x}")[2] - F.col(f"m_{x}")[0]) / QUARTILES) ** 2, F.lit(least)) for x, least in zip(X, _least(F.col("mean_per_word"), F.col("mean_per_char")), strict=True)]
+    start = _beside(rows, store(half, "half")).withColumn("d", sum(((F.col(x) - F.col(f"m_{x}")[1]) ** 2 / v for x, v in zip(X, spread, strict=True)), F.lit(0.0)))
+    for _ in range(STEPS):
+        quantile = store(start.groupBy("grp").agg(F.percentile_approx("d", KEPT_PART, 2000).alias("q")), "quantile")
+        kept = _beside(start, quantile).where(F.col("d") <= F.col("q"))
+        sums = store(kept.groupBy("grp").agg(F.count("*").alias("n"), *means, *[F.sum(x).alias(f"s{i}") for i, x in enumerate(X)], *[F.sum(F.col(X[i]) * F.col(X[j])).alias(f"s{i}_{j}") for i, j in _pairs()]), "sums")
+        terms = _terms(sums.withColumn("median", F.lit(None).cast("double")))
+        start = _beside(rows, terms).withColumn("d", _distance())
+    # the kept part's covariance is too small; the median distance of all rows tells by how much
+    terms = _terms(sums.join(store(start.groupBy("grp").agg(F.percentile_approx("d", 0.5, 2000).alias("median")), "median"), "grp"))
     verdict = groups.join(terms, "grp", "left")
     out = b.join(F.broadcast(verdict) if few else verdict, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source")), "left")
     enough = F.col("grp").isNotNull() & ((F.col("grp") != "0") | F.lit(rows.where("grp = '0'").count() >= LEAST_ROWS))

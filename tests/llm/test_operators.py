@@ -291,6 +291,16 @@ def test_quality(spark, docs, none):
     assert quality.rules(none).count() == 0
 
 
+def test_quality_of_moderate_symbol_rates(spark):
+    r = random.Random(9)
+    word = lambda: "".join(r.choice("abcdefghij") for _ in range(r.randrange(2, 10)))
+    rows = [(i, " ".join(word() for _ in range(r.randrange(60, 400))), "en", "s0") for i in range(600)]
+    pipes = [(1000 + i, " | ".join(word() for _ in range(r.randrange(60, 200))), "en", "s0") for i in range(15)]
+    marked = [(2000 + i, " ".join(word() + "$" * (j % 5 == 0) for j in range(r.randrange(60, 200))), "en", "s0") for i in range(15)]
+    got = {x.doc_id: x for x in quality.rules(spark.createDataFrame(rows + pipes + marked, "doc_id long, text string, lang string, source string")).collect()}
+    assert all(not got[i].kept and not got[i].base_failed for i, *_ in pipes + marked) and sum(not got[i].kept for i, *_ in rows) <= 3
+
+
 def test_html_text(spark):
     page = lambda body: f"<html><head><title>t</title></head><body>{body}</body></html>"
     notice = "<div>this site is run by a club of friends since long ago</div>"
