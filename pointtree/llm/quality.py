@@ -26,7 +26,7 @@ BLANK = b" \t\n\x0b\x0c\r"
 REPEAT_WINDOW = 8
 #: Fixed values of the base rules: least words, most per cent of words in repeated windows.
 LEAST_WORDS, MOST_REPEATED = 20, 30
-#: Rows that pass the base rules that a group needs for an estimate of its own; smaller ones pool by language, then over all.
+#: Rows that pass the base rules that a group needs for an estimate of its own; smaller ones are judged by that of all rows of their language, then of all rows.
 LEAST_ROWS = 100
 #: Part of the rows that a concentration step keeps, the number of steps, and the largest squared distance kept (what one row in 10,000 of a normal cloud exceeds).
 KEPT_PART, STEPS, MOST_DISTANCE = 0.75, 3, 25.745
@@ -154,14 +154,21 @@ def rules(docs: DataFrame) -> DataFrame:
     b = store(base(docs), "quality")
     good = b.where("not base_failed")
     by_both = good.groupBy("lang", "source").agg(F.count("*").alias("n"))
-    by_lang = by_both.groupBy("lang").agg(F.sum("n").alias("n_lang"))
+    by_lang = by_both.groupBy("lang").agg(F.sum("n").alias("n_lang"), F.min("n").alias("least"))
     name = lambda c: F.coalesce(F.concat(F.lit("="), c), F.lit("null"))
+    own, pooled = F.concat_ws("\x00", F.lit("2"), name("lang"), name("source")), F.concat_ws("\x00", F.lit("1"), name("lang"))
+    large, common = F.col("n") >= LEAST_ROWS, F.col("n_lang") >= LEAST_ROWS
     named = by_both.join(by_lang.withColumnRenamed("lang", "l"), F.col("lang").eqNullSafe(F.col("l"))).select(
-        F.col("lang").alias("g_lang"), F.col("source").alias("g_source"),
-        F.when(F.col("n") >= LEAST_ROWS, F.concat_ws("\x00", F.lit("2"), name("lang"), name("source"))).when(F.col("n_lang") >= LEAST_ROWS, F.concat_ws("\x00", F.lit("1"), name("lang"))).otherwise("0").alias("grp"))
+        F.col("lang").alias("g_lang"), F.col("source").alias("g_source"), "n",
+        F.when(large, own).when(common, pooled).otherwise("0").alias("grp"),
+        F.when(large, own).alias("fit_own"), F.when(common & (F.col("least") < LEAST_ROWS), pooled).alias("fit_lang"))
     groups = store(named, "groups")
     few = groups.count() <= 20_000
-    rows = store(good.join(F.broadcast(groups) if few else groups, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source"))).select("grp", *X, "per_word", "per_char"), "rows")
+    enough = (groups.agg(F.sum("n")).first()[0] or 0) >= LEAST_ROWS
+    over_all = F.lit("0") if enough and groups.where("grp = '0'").limit(1).count() else F.lit(None).cast("string")
+    # a row counts in its own group's estimate and in those that smaller groups beside it are judged by
+    fits = F.explode(F.array_compact(F.array("fit_own", "fit_lang", over_all))).alias("grp")
+    rows = store(good.join(F.broadcast(groups) if few else groups, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source"))).select(fits, *X, "per_word", "per_char"), "rows")
     means = [F.avg("per_word").alias("mean_per_word"), F.avg("per_char").alias("mean_per_char")]
     half = rows.groupBy("grp").agg(*[F.percentile_approx(x, F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)), 2000).alias(f"m_{x}") for x in X], *means)
     spread = [F.greatest(((F.col(f"m_{x}")[2] - F.col(f"m_{x}")[0]) / QUARTILES) ** 2, F.lit(least)) for x, least in zip(X, _least(F.col("mean_per_word"), F.col("mean_per_char")), strict=True)]
@@ -176,8 +183,7 @@ def rules(docs: DataFrame) -> DataFrame:
     terms = _terms(sums.join(store(start.groupBy("grp").agg(F.percentile_approx("d", 0.5, 2000).alias("median")), "median"), "grp"))
     verdict = groups.join(terms, "grp", "left")
     out = b.join(F.broadcast(verdict) if few else verdict, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source")), "left")
-    enough = F.col("grp").isNotNull() & ((F.col("grp") != "0") | F.lit(rows.where("grp = '0'").count() >= LEAST_ROWS))
-    out = out.withColumn("distance", F.when(enough & ~F.col("base_failed"), _distance()))
+    out = out.withColumn("distance", F.when(~F.col("base_failed"), _distance()))
     return out.select("doc_id", *BASE, "base_failed", (~F.col("base_failed") & (F.coalesce("distance", F.lit(0.0)) <= MOST_DISTANCE)).alias("kept"), "distance")
 
 

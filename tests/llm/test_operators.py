@@ -301,6 +301,18 @@ def test_quality_of_moderate_symbol_rates(spark):
     assert all(not got[i].kept and not got[i].base_failed for i, *_ in pipes + marked) and sum(not got[i].kept for i, *_ in rows) <= 3
 
 
+def test_quality_of_small_groups(spark):
+    r = random.Random(10)
+    word = lambda: "".join(r.choice("abcdefghij") for _ in range(r.randrange(2, 10)))
+    text = lambda: " ".join(word() for _ in range(r.randrange(60, 400)))
+    junk = lambda: " ".join(word() + "$$$" for _ in range(100))
+    rows = [(i, text(), "en", "s0") for i in range(300)] + [(300, text(), "en", "rare"), (301, text(), "es", "s0"), (302, text(), None, None)]
+    bad = [(1000, junk(), "en", "rare"), (1001, junk(), "es", "s0"), (1002, junk(), None, None)]
+    got = {x.doc_id: x for x in quality.rules(spark.createDataFrame(rows + bad, "doc_id long, text string, lang string, source string")).collect()}
+    assert all(x.distance is not None for x in got.values())
+    assert all(not got[i].kept and not got[i].base_failed for i, *_ in bad) and all(got[i].kept for i in (300, 301, 302))
+
+
 def test_html_text(spark):
     page = lambda body: f"<html><head><title>t</title></head><body>{body}</body></html>"
     notice = "<div>this site is run by a club of friends since long ago</div>"
