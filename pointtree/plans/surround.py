@@ -254,15 +254,20 @@ registered("sql_attr_box", AIR + _THIRD + " AND intensity BETWEEN 10 AND 20")(la
 # ---- functions
 registered("fn_math", W + grid_sql("orders") + " SELECT pid, CAST(floor(y / 7.0) AS BIGINT) AS f, CAST(ceil(y / 7.0) AS BIGINT) AS c, y // 13 AS d, y % 13 AS r, CAST(bit_count(y) AS INTEGER) AS ones, x << 3 AS up, greatest(x, z) AS big, least(x, z) AS small, CAST(round(sqrt(x * x + z * z)) AS BIGINT) AS dist FROM c")(lambda spark, d: cloud(spark, d, "orders")[0].select("pid", F.floor(F.col("y") / 7.0).alias("f"), F.ceil(F.col("y") / 7.0).alias("c"), div("y", 13).alias("d"), (F.col("y") % 13).alias("r"), F.bit_count("y").alias("ones"), F.shiftleft("x", 3).alias("up"), F.greatest("x", "z").alias("big"), F.least("x", "z").alias("small"), F.round(F.sqrt(F.col("x") * F.col("x") + F.col("z") * F.col("z"))).cast("long").alias("dist")))
 
-@registered("fn_path", W + sql_points("orders") + ", n AS (SELECT pid, path, h, lead(path) OVER (ORDER BY pid) AS nxt FROM pts) SELECT pid, substr(path, 1, 5) AS head, CAST(instr(path, '7') AS INTEGER) AS seven, rpad(substr(path, 1, 3), 8, '*') AS pad, translate(substr(path, 1, 6), '01', 'ab') AS named, CAST((SELECT coalesce(max(i), 0) FROM range(1, 40) r(i) WHERE i <= h AND substr(path, 1, i) = substr(nxt, 1, i)) AS INTEGER) AS common FROM n WHERE pid < 2000 AND nxt IS NOT NULL")
-def fn_path(spark: SparkSession, d: str) -> DataFrame:
+@registered("fn_path_all", W + sql_points("orders") + ", n AS (SELECT pid, path, h, lead(path) OVER (ORDER BY pid) AS nxt FROM pts) SELECT pid, substr(path, 1, 5) AS head, CAST(instr(path, '7') AS INTEGER) AS seven, rpad(substr(path, 1, 3), 8, '*') AS pad, translate(substr(path, 1, 6), '01', 'ab') AS named, CAST((SELECT coalesce(max(i), 0) FROM range(1, 40) r(i) WHERE i <= h AND substr(path, 1, i) = substr(nxt, 1, i)) AS INTEGER) AS common FROM n WHERE nxt IS NOT NULL")
+def fn_path_all(spark: SparkSession, d: str) -> DataFrame:
+    """Each path beside the next one; the next row is found by its place in the order, which ranges give."""
     p, f = cloud(spark, d, "orders")
     parts = f.parts(CONFIG)
-    p = p.where("pid <= 2000").withColumn("path", path_of(parts))
-    w = Window.orderBy("pid")  # two thousand rows
-    far = p.withColumns({f"n{a}": F.lead(a).over(w) for a in XYZ}).where("nx is not null and pid < 2000")
+    p = ordered_index(p.select("pid", *XYZ), "pid", name="at")
+    far = p.withColumn("path", path_of(parts)).join(p.select((F.col("at") - 1).alias("at"), *[F.col(a).alias(f"n{a}") for a in XYZ]), "at")
     return far.select("pid", F.substring("path", 1, 5).alias("head"), F.instr("path", "7").alias("seven"), F.rpad(F.substring("path", 1, 3), 8, "*").alias("pad"), F.translate(F.substring("path", 1, 6), "01", "ab").alias("named"), common_levels(tuple(map(F.col, XYZ)), (F.col("nx"), F.col("ny"), F.col("nz")), parts).alias("common"))
 
+@registered("fn_path", W + sql_points("orders") + ", n AS (SELECT pid, path, h, lead(path) OVER (ORDER BY pid) AS nxt FROM pts) SELECT pid, substr(path, 1, 5) AS head, CAST(instr(path, '7') AS INTEGER) AS seven, rpad(substr(path, 1, 3), 8, '*') AS pad, translate(substr(path, 1, 6), '01', 'ab') AS named, CAST((SELECT coalesce(max(i), 0) FROM range(1, 40) r(i) WHERE i <= h AND substr(path, 1, i) = substr(nxt, 1, i)) AS INTEGER) AS common FROM n WHERE pid < 2000 AND nxt IS NOT NULL")
+def fn_path(spark: SparkSession, d: str) -> DataFrame:
+    """The rows of ``fn_path_all`` that its SQL asks for."""
+    return fn_path_all(spark, d).where("pid < 2000")
+
 registered("fn_time", "SELECT o_orderkey, CAST(date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS INTEGER) AS days, CAST(extract(year FROM o_orderdate) AS INTEGER) AS y, CAST(date_diff('day', CAST(date_trunc('month', o_orderdate) AS DATE), CAST(o_orderdate AS DATE)) AS INTEGER) AS dom FROM orders")(lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.datediff(F.col("o_orderdate").cast("date"), F.lit("1995-01-01").cast("date")).alias("days"), F.year("o_orderdate").alias("y"), F.datediff(F.col("o_orderdate").cast("date"), F.trunc(F.col("o_orderdate").cast("date"), "month")).alias("dom")))
 
 @registered("fn_array", "WITH e AS (SELECT vec_id, list_transform(embedding, lambda v: CAST(round(CAST(v AS DOUBLE) * 1000) AS BIGINT)) AS a FROM embeddings) SELECT vec_id, CAST(list_sum(a) AS BIGINT) AS total, CAST(len(list_filter(a, lambda v: v > 100)) AS INTEGER) AS big, a[3] AS third, CAST(list_sum(a[5:8]) AS BIGINT) AS middle FROM e")
@@ -271,10 +276,15 @@ def fn_array(spark: SparkSession, d: str) -> DataFrame:
     total = lambda c: F.aggregate(c, F.lit(0).cast("long"), lambda s, v: s + v)
     return a.select("vec_id", total("a").alias("total"), F.size(F.filter("a", lambda v: v > 100)).alias("big"), F.element_at("a", 3).alias("third"), total(F.slice("a", 5, 4)).alias("middle"))
 
+@registered("fn_map_all", AIR + " SELECT point_source, intensity, user_data, CAST((intensity > 25) AS INTEGER) + CAST((user_data > 25) AS INTEGER) AS over FROM c")
+def fn_map_all(spark: SparkSession, d: str) -> DataFrame:
+    m = air(spark, d).select("point_source", F.map_from_arrays(F.array(F.lit("intensity"), F.lit("user_data")), F.array("intensity", "user_data")).alias("m"))
+    return m.select("point_source", F.element_at("m", "intensity").alias("intensity"), F.element_at("m", "user_data").alias("user_data"), F.size(F.map_filter("m", lambda k, v: v > 25)).alias("over"))
+
 @registered("fn_map", AIR + " SELECT point_source, intensity, user_data, CAST((intensity > 25) AS INTEGER) + CAST((user_data > 25) AS INTEGER) AS over FROM c WHERE point_source < 5")
 def fn_map(spark: SparkSession, d: str) -> DataFrame:
-    m = air(spark, d).where("point_source < 5").select("point_source", F.map_from_arrays(F.array(F.lit("intensity"), F.lit("user_data")), F.array("intensity", "user_data")).alias("m"))
-    return m.select("point_source", F.element_at("m", "intensity").alias("intensity"), F.element_at("m", "user_data").alias("user_data"), F.size(F.map_filter("m", lambda k, v: v > 25)).alias("over"))
+    """The rows of ``fn_map_all`` that its SQL asks for."""
+    return fn_map_all(spark, d).where("point_source < 5")
 
 registered("fn_struct", f"WITH {grid_sql('air')}, {BOXES_SQL} SELECT q, xi, ye, (xe - xi) * 2 AS twice FROM b")(lambda spark, d: boxes(spark, cloud(spark, d, "air")[1]).select("q", F.struct("xi", "xe", "ye").alias("b")).select("q", F.col("b.xi").alias("xi"), F.col("b.ye").alias("ye"), ((F.col("b.xe") - F.col("b.xi")) * 2).alias("twice")))
 registered("fn_json", "SELECT event_id, CAST(props->>'$.k' AS INTEGER) AS k, CAST(props->>'$.k' AS INTEGER) + 1 AS k1 FROM events")(lambda spark, d: table(spark, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k"), (F.from_json("props", "k int")["k"] + 1).alias("k1")))

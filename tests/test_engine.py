@@ -1,5 +1,7 @@
 """The engine on a small cloud: methods agree, plans are what they should be, defects stay away."""
 
+import glob
+import os
 import random
 
 import pytest
@@ -129,3 +131,21 @@ def test_streams_equal_batches(spark, sf):
     assert [(r[0], r[1]) for r in rows(ingest.stream_split(spark, sf))] == want
     p, _ = clouds.gridded(spark, sf, "events")
     assert rows(ingest.stream_ingest(spark, sf)) == rows(p.where(F.col("x").between(500_000, 1_500_000)).select("x", "y", "z", "event_code"))
+
+
+def against_sql(spark, sf, name):
+    import duckdb
+    con = duckdb.connect()
+    for path in glob.glob(f"{sf}/*.parquet"):
+        con.execute(f"CREATE VIEW {os.path.basename(path)[:-8]} AS SELECT * FROM '{path}'")
+    found = registry.queries()[name](spark, sf)
+    want = con.execute(f"SELECT {', '.join(found.columns)} FROM ({registry.oracle_sql()[name]})").fetchall()
+    assert rows(found) == sorted(want)
+    return want
+
+
+def test_whole_tables_of_paths_and_maps(spark, sf):
+    orders, lines = (spark.read.parquet(f"{sf}/{t}.parquet").count() for t in ("orders", "lineitem"))
+    assert len(against_sql(spark, sf, "fn_path_all")) == orders - 1
+    assert len(against_sql(spark, sf, "fn_map_all")) == lines
+    against_sql(spark, sf, "fn_path"), against_sql(spark, sf, "fn_map")
