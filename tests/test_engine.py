@@ -149,3 +149,8 @@ def test_whole_tables_of_paths_and_maps(spark, sf):
     assert len(against_sql(spark, sf, "fn_path_all")) == orders - 1
     assert len(against_sql(spark, sf, "fn_map_all")) == lines
     against_sql(spark, sf, "fn_path"), against_sql(spark, sf, "fn_map")
+
+
+def test_every_value_out_of_codes(spark, sf):
+    assert len(against_sql(spark, sf, "mlv_access_all")) == spark.read.parquet(f"{sf}/orders.parquet").count()
+    against_sql(spark, sf, "mlv_access")
