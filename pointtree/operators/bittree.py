@@ -37,7 +37,7 @@ def bits(cells: DataFrame, parts: tuple[int, ...], dims: int = 2) -> DataFrame:
 
 
 def test(cells: DataFrame, probes: DataFrame, parts: tuple[int, ...], dims: int = 2) -> DataFrame:
-    """``probes`` with ``is_set``: down the tree level by level, as long as the flags say so."""
+    """``probes`` with ``is_set``, by a join on the paths of the last level; the flags and their ranks are not read."""
     n = nodes(cells, parts, dims)
     p = probes.withColumn("path", path_of(parts, dims))
     last = n.where(F.col("level") == len(parts)).select("path", F.lit(1).alias("is_set"))
@@ -45,7 +45,7 @@ def test(cells: DataFrame, probes: DataFrame, parts: tuple[int, ...], dims: int
 
 
 def report(cells: DataFrame, box: tuple[int, ...], parts: tuple[int, ...], dims: int = 2) -> DataFrame:
-    """Set cells of a closed box: only boxes that meet it are followed."""
+    """Set cells of a closed box, by a filter on the last level's cells; the flags and their ranks are not read."""
     axes, s = "xyz"[:dims], sides(parts)
     n = nodes(cells, parts, dims).where(F.col("level") == len(parts))
     found = n
