@@ -1,29 +1,33 @@
-"""Exact near-duplicate groups by Jaccard similarity of word shingles, with pivots instead of all pairs.
+"""Exact near-duplicate groups by Jaccard similarity of word shingles: a metric join over regions and pivots.
 
 Jaccard distance is a metric, but texts that share nothing all lie at distance 1 of each other: Voronoi regions around
-pivots that are drawn from the corpus at random would each keep such a text as a boundary document. The regions
-here are therefore grown from what two near texts must share. Of each set the few shingles that come first in one
+pivots that are drawn from the corpus at random would each keep such a text as a boundary document. The first
+regions are therefore grown from what two near texts must share. Of each set the few shingles that come first in one
 global order are its region keys: two sets within the radius share a key for certain (rare shingles come first, so that
-regions stay small). A region's pivot is its first set, and large regions have a few more. Every set of the region is compared with the pivots; then
-regions whose sets are in one component already are done, and in the others only such sets are compared whose
-components differ and whose distances to the pivot and sizes differ by no more than the triangle inequality and
-the radius allow. These comparisons are dealt by blocks of a region. Sizes that no link can join are left out
-first; every link is verified on the whole sets.
+regions stay small), and regions of the same sets are one. From there on a region is joined with pivots:
 
-Equal sets are one row throughout; their members follow at the end.
+1. Large regions choose a few pivots, the same ones wherever regions overlap; stars around these are joined first,
+   and what links is contracted to one label. Regions of one label are done.
+2. Large regions are cut by sizes (distances to the empty set), with windows of the triangle inequality, then
+   dealt by blocks; inside a cell Voronoi cells are split recursively (see ``regions``). This works on sketches, whose
+   distances never exceed the true ones, and leaves small groups of sets that may link.
+3. These groups get their whole sets and are joined exactly, with pivots and the triangle inequality.
+
+Equal sets are one node throughout; their members follow at the end.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import regions as metric
 from .common import by_batch, components, lists, release, rolling, signed, store, table, text_bytes, word_hashes
 
 SHINGLE = 5
@@ -31,10 +35,12 @@ SHINGLE = 5
 PERCENT = 80
 #: Counters of the sketch by which frequent shingles come last; its size does not grow with the corpus.
 SKETCH_BITS = 17
-#: Sets from which on a region has further pivots, and how many: sets that miss one pivot mostly link with another.
-LARGE, MORE_PIVOTS = 32, 4
-#: Rows of a region that one comparison task holds on either side.
-BLOCK = 64
+#: Sets from which on a region is joined with pivots first, how many, and the sets of a star that one task joins.
+LARGE, PIVOTS, STAR = 32, 4, 512
+#: Sets of a cell; larger regions are dealt to several cells.
+CELL = 1024
+#: Ids that are broadcast at most (8 bytes each); beyond, they are joined by shuffles.
+MOST_IDS = 1_000_000
 FOLD = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
 
@@ -64,11 +70,10 @@ def _sketch(k: int):
 
 
 def _scan(k: int, percent: int, frequent: np.ndarray):
-    """Texts -> size, fingerprint and keys of the set, and the text itself compressed."""
+    """Texts -> size, fingerprint, keys and sketch of the set."""
 
     def run(b: pa.RecordBatch) -> pa.RecordBatch:
-        sizes, prints, keys, packed = [], [], [], []
-        packer = zstandard.ZstdCompressor(level=1)
+        sizes, prints, keys, sketches = [], [], [], []
         for t in text_bytes(b.column(1)):
             s = shingles(t, k)
             n = len(s)
@@ -77,44 +82,88 @@ def _scan(k: int, percent: int, frequent: np.ndarray):
             least = -(-percent * n // 100)  # the overlap with any set that links
             order = np.argsort(frequent[_bucket(s)], kind="stable")
             keys.append(signed(s[order[: n - least + 1]]) if n else np.empty(0, np.int64))
-            packed.append(packer.compress(t) if n else None)
-        return pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(prints, pa.binary()), lists(keys, pa.int64()), pa.array(packed, pa.binary())], names=["doc_id", "size", "print", "keys", "packed"])
+            sketches.append(metric.parity(s, metric.width(n)) if n else None)
+        return pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(sizes, pa.int64()), pa.array(prints, pa.binary()), lists(keys, pa.int64()), pa.array(sketches, pa.binary())], names=["doc_id", "row", "size", "print", "keys", "sketch"])
 
     return by_batch(run)
 
 
-def _verify(k: int):
-    """Pairs with both packed texts -> overlap of their shingles. Rows come by pivot, whose set is kept."""
+def _groups(percent: int):
+    """Rows sorted by cell -> the groups of sets of each cell that may link."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        unpacker, held = zstandard.ZstdDecompressor(), (None, np.empty(0, np.uint64))
-        for b in batches:
-            overlap = []
-            for doc, pivot, other in zip(b.column("a").to_pylist(), b.column("pa"), b.column("pb"), strict=True):
-                if doc != held[0]:
-                    held = doc, shingles(unpacker.decompress(pivot.as_py()), k)
-                s = np.concatenate([held[1], shingles(unpacker.decompress(other.as_py()), k)])
-                s.sort()
-                overlap.append(int((s[1:] == s[:-1]).sum()))
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), b.column("sa"), b.column("sb"), pa.array(overlap, pa.int64())], names=["a", "b", "sa", "sb", "overlap"])
+        names, nodes = [], []
+        for t in metric.runs(batches, "cell"):
+            for name, members in metric.clusters(t.column("node").to_numpy(), t.column("size").to_numpy(), t.column("sketch").to_pylist(), t.column("label").to_numpy(), percent):
+                names += [name] * len(members)
+                nodes.append(members)
+            if len(names) > 20_000:
+                yield pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(np.concatenate(nodes))], names=["grp", "node"])
+                names, nodes = [], []
+        if names:
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(np.concatenate(nodes))], names=["grp", "node"])
 
     return run
 
 
-def _compare(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataFrame:
-    """Distinct ``pairs(a, b)`` -> ``a, b, sa, sb, overlap, near``."""
-    side = lambda x: texts.select(F.col("doc_id").alias(x), F.col("size").alias(f"s{x}"), F.col("packed").alias(f"p{x}"))
-    both = pairs.join(side("b").hint("merge"), "b").join(side("a").hint("merge"), "a").select("a", "b", "sa", "sb", "pa", "pb")
-    got = both.mapInArrow(_verify(k), "a long, b long, sa long, sb long, overlap long")
-    return got.withColumn("near", 100 * F.col("overlap") >= percent * (F.col("sa") + F.col("sb") - F.col("overlap")))
+def _links(percent: int):
+    """Rows sorted by group, with whole sets -> links."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in metric.runs(batches, "grp"):
+            sets = [np.frombuffer(s, np.uint64) for s in t.column("shingles").to_pylist()]
+            found = metric.links(t.column("node").to_numpy(), t.column("label").to_numpy(), sets, percent)
+            if found:
+                a, b = zip(*found, strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
-def join(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """``doc_id, n_shingles, component_id`` per row of ``docs(doc_id, text)``.
+    return run
 
-    Null, empty and blank texts have no shingles and link with nothing. Rows with a null doc_id link with nothing and
-    have a null component. Repeated rows have equal sets and get equal results. An empty table gives no rows.
+
+def _whole(source: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
+    """``print, shingles`` of the documents of ``wanted(doc_id, print)``."""
+
+    def run(b: pa.RecordBatch) -> pa.RecordBatch:
+        sets = [shingles(t, k).tobytes() for t in text_bytes(b.column(0))]
+        return pa.RecordBatch.from_arrays([pa.array([hashlib.blake2b(s, digest_size=16).digest() for s in sets], pa.binary()), pa.array(sets, pa.binary())], names=["print", "shingles"])
+
+    ids = store(wanted.select("doc_id").distinct(), "wanted")
+    few = ids.count() <= MOST_IDS
+    return source.join(F.broadcast(ids) if few else ids.hint("merge"), "doc_id", "left_semi").select("text").mapInArrow(by_batch(run), "print binary, shingles binary")
+
+
+def _join_cells(cells: DataFrame, heads: DataFrame, sketches: DataFrame, labels: DataFrame | None, source: DataFrame, k: int, percent: int) -> DataFrame:
+    """Links ``a, b`` that join what links join within each cell of ``cells(cell, node)``."""
+    named = lambda df: df.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")) if labels else df.withColumn("label", F.col("node"))
+    rows = named(cells.join(sketches.hint("merge"), "node")).select("cell", "node", "size", "label", "sketch")
+    found = rows.repartition("cell").sortWithinPartitions("cell").mapInArrow(_groups(percent), "grp binary, node long")
+    groups = store(found.distinct(), "groups")
+    members = store(heads.join(groups.select("node").distinct(), "node").select("node", "doc_id", "print"), "members")
+    sets = members.select("node", "print").join(_whole(source, members, k).hint("merge"), "print").select("node", "shingles")
+    rows = named(groups).join(sets.hint("merge"), "node").select("grp", "node", "label", "shingles")
+    out = store(rows.repartition("grp").sortWithinPartitions("grp").mapInArrow(_links(percent), "a long, b long"), "links")
+    release(groups, members)
+    return out
+
+
+def _deal(rows: DataFrame) -> DataFrame:
+    """``rows(region, node, size, n)`` -> ``cell, node``: small regions are cells; large ones are cut by sizes, then by blocks.
+
+    Sets that link have sizes of one class or of neighbouring classes, so each class is joined with the next one. If
+    that is too much for a task still, blocks of it are joined two by two.
     """
+    small = rows.where(F.col("n") <= CELL).select(F.xxhash64("region").alias("cell"), "node")
+    classes = rows.where(F.col("n") > CELL).withColumn("class", F.floor(F.log("size") / math.log(1.01 * 100 / PERCENT)))
+    wide = classes.select("region", "node", F.explode(F.array("class", F.col("class") - 1)).alias("class"))
+    counts = wide.groupBy("region", "class").agg(F.count("*").alias("m")).withColumn("blocks", F.ceil(F.col("m") / CELL))
+    wide = wide.join(counts.hint("merge"), ["region", "class"]).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")))
+    other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other")
+    pairs = wide.select("region", "class", "node", "block", other)
+    return small.union(pairs.select(F.xxhash64("region", "class", F.least("block", "other"), F.greatest("block", "other")), "node"))
+
+
+def groups(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """``doc_id, row, n_shingles, component_id, root`` per row of ``docs``; ``row`` is a hash of the text, ``root`` names the group."""
     spark = docs.sparkSession
     source = docs.select("doc_id", "text")
     counts = np.zeros(1 << SKETCH_BITS, np.int64)
@@ -127,63 +176,80 @@ def join(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from _scan(k, percent, shared.value)(batches)
 
-    sets = store(source.mapInArrow(scan, "doc_id long, size long, print binary, keys array<long>, packed binary"), "sets")
-    named = sets.where("size > 0 and doc_id is not null")
-    heads = store(named.groupBy("print").agg(F.min("doc_id").alias("doc_id"), F.first("size").alias("size")), "heads")
-    entries = named.select("doc_id", F.explode("keys").alias("key"))
-    # keys that two documents have at least; then first copies only, and regions with two of those
-    repeated = store(entries.groupBy("key").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select("key"), "repeated")
-    mine = store(entries.join(repeated, "key").join(heads.select("doc_id", "size"), "doc_id"), "entries")
-    # hashes of the ids alone choose the further pivots of large regions, so that regions of the same sets choose the same
-    drawn = [F.min(F.struct(F.xxhash64("doc_id", F.lit(i)), "doc_id", "size")) for i in range(MORE_PIVOTS)]
-    chosen = mine.groupBy("key").agg(F.min(F.struct("doc_id", "size")).alias("p"), F.max("doc_id").alias("last"), F.count("*").alias("n"), *[c.alias(f"q{i}") for i, c in enumerate(drawn)]).where("p.doc_id < last")
-    others = F.array(*[F.struct(F.col(f"q{i}.doc_id").alias("doc_id"), F.col(f"q{i}.size").alias("size")) for i in range(MORE_PIVOTS)])
-    pivots = store(chosen.select("key", F.col("p.doc_id").alias("pivot"), F.col("p.size").alias("pivot_size"), F.when(F.col("n") > LARGE, others).alias("others")), "pivots")
-    beside = store(mine.join(pivots, "key"), "regions")
-    regions = beside.drop("others")
-    ids = store(regions.select("doc_id").distinct(), "ids")
-    texts = store(named.select("doc_id", "size", "packed").join(ids, "doc_id"), "texts")
-    release(repeated, mine, pivots)
-    alike = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
-    star = regions.where("doc_id > pivot").where(alike("size", "pivot_size")).select(F.col("pivot").alias("a"), F.col("doc_id").alias("b"))
-    drawn_star = beside.where("others is not null").select("doc_id", "size", F.explode("others").alias("o")).where("doc_id <> o.doc_id").where(alike("size", "o.size"))
-    star = star.union(drawn_star.select(F.least("doc_id", "o.doc_id"), F.greatest("doc_id", "o.doc_id"))).distinct()
-    first = store(_compare(star, texts, k, percent), "first")
-    links = first.where("near").select("a", "b")
-    found = store(components(links), "found")
-    # regions whose sets are in different components still
-    placed = regions.join(found.withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-    placed = store(placed, "placed")
-    open_ = store(placed.groupBy("key").agg(F.min("component").alias("c"), F.max("component").alias("d"), F.count("*").alias("n")).where("c < d and n > 2").select("key", "n"), "open")
-    left = placed.join(open_, "key").join(first.select(F.col("a").alias("pivot"), F.col("b").alias("doc_id"), (1 - F.col("overlap") / (F.col("sa") + F.col("sb") - F.col("overlap"))).alias("far")), ["pivot", "doc_id"], "left").withColumn("far", F.when(F.col("doc_id") == F.col("pivot"), 0.0).otherwise(F.col("far")))
-    left = left.where("doc_id <> pivot").withColumn("blocks", F.ceil(F.col("n") / BLOCK)).withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")))
-    left = store(left.select("key", "doc_id", "size", "component", "far", "block", "blocks"), "left")
-    low = left.select("key", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"), F.col("doc_id").alias("a"), F.col("size").alias("sa"), F.col("component").alias("ca"), F.col("far").alias("fa"))
-    high = left.select("key", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.col("block").alias("other"), F.col("doc_id").alias("b"), F.col("size").alias("sb"), F.col("component").alias("cb"), F.col("far").alias("fb"))
-    radius = 1 - percent / 100
-    inside = low.join(high, ["key", "block", "other"]).where("a < b and ca <> cb").where(alike("sa", "sb") & F.coalesce(F.abs(F.col("fa") - F.col("fb")) <= radius + 1e-9, F.lit(True)))
-    # two such sets share no region whose pivot is one of them, so these rows count all keys that they share; beyond the
-    # key at which the first of both prefixes ends, the overlap is no larger than what is left of that set
-    must = lambda n: F.ceil(n * percent / 100)
-    overlap = F.ceil((F.col("sa") + F.col("sb")) * percent / (100 + percent))
-    counted = inside.groupBy("a", "b", "sa", "sb").agg(F.count("*").alias("shared")).where(F.col("shared") >= overlap - F.greatest(must(F.col("sa")), must(F.col("sb"))))
-    second = _compare(counted.select("a", "b"), texts, k, percent)
-    more = store(second.where("near").select("a", "b"), "more")
-    if more.isEmpty():
-        final = found
-    else:
-        final = store(components(links.union(more)), "final")
-    heads_named = heads.join(final.withColumnRenamed("id", "doc_id"), "doc_id", "left").select("print", F.coalesce("component", "doc_id").alias("component"))
-    out = sets.select("doc_id", F.col("size").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.col("print")).alias("print")).join(store(heads_named, "components"), "print", "left")
-    release(beside, placed, open_, left, first, texts)
-    return out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+    sets = store(source.select("doc_id", "text", F.xxhash64("text").alias("row")).mapInArrow(scan, "doc_id long, row long, size long, print binary, keys array<long>, sketch binary"), "sets")
+    slim = store(sets.select("doc_id", "row", "size", "print"), "slim")
+    # one node per set: its least doc_id, or a hash where sets that differ share that
+    heads = slim.where("size > 0 and doc_id is not null").groupBy("print").agg(F.min("doc_id").alias("doc_id"))
+    heads = store(heads, "heads")
+    twice = heads.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", F.lit(True).alias("twice"))
+    heads = store(heads.join(twice, "doc_id", "left").select("print", "doc_id", F.when(F.col("twice"), F.xxhash64("print")).otherwise(F.col("doc_id")).alias("node")), "nodes")
+    # rows equal in doc_id and set are one here
+    own = store(sets.join(heads.hint("merge"), ["print", "doc_id"]).select("node", "size", "keys", "sketch"), "own")
+    release(sets)
+    entries = own.select("node", "size", F.explode("keys").alias("key"))
+    shared_keys = entries.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
+    placed = store(entries.join(shared_keys, "key").distinct(), "placed")
+    marks = placed.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("node", F.lit(1))).alias("x"), F.bit_xor(F.xxhash64("node", F.lit(2))).alias("y")).where("n > 1")
+    # regions of the same sets are one
+    kept = store(marks.groupBy("n", "x", "y").agg(F.min("key").alias("key")).select("key", "n"), "kept")
+    regions = store(placed.join(kept, "key").select(F.col("key").alias("region"), "node", "size", "n"), "regions")
+    release(placed, kept)
+    sketches = store(own.select("node", "size", "sketch").join(regions.select("node").distinct(), "node").dropDuplicates(["node"]), "sketches")
+    release(own)
+
+    def joined(cells: DataFrame, labels: DataFrame | None) -> DataFrame:
+        return _join_cells(cells, heads, sketches, labels, source, k, percent)
+
+    # hashes of the nodes alone choose pivots, so that regions that overlap choose the same
+    large = regions.where(F.col("n") > LARGE)
+    drawn = [F.min(F.struct(F.xxhash64("node", F.lit(i)).alias("h"), F.col("node").alias("pivot"), F.col("size").alias("pivot_size"))).alias(f"q{i}") for i in range(PIVOTS)]
+    pivots = large.groupBy("region").agg(*drawn).select("region", F.explode(F.array_distinct(F.array(*[F.struct(f"q{i}.pivot", f"q{i}.pivot_size") for i in range(PIVOTS)]))).alias("q")).select("region", "q.*")
+    alike = F.least("size", "pivot_size") * 100 >= F.greatest("size", "pivot_size") * percent
+    stars = store(large.join(pivots, "region").where(alike & (F.col("node") != F.col("pivot"))).select("pivot", "node").distinct(), "stars")
+    spokes = stars.groupBy("pivot").agg(F.ceil(F.count("*") / STAR).alias("parts"))
+    dealt = stars.join(spokes.hint("merge"), "pivot").select(F.xxhash64("pivot", F.pmod(F.xxhash64("node"), F.col("parts"))).alias("cell"), "node")
+    centres = spokes.select(F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), "pivot").select(F.xxhash64("pivot", "part"), "pivot")
+    first = joined(dealt.union(centres), None)
+    labels = store(components(first).select(F.col("id").alias("node"), F.col("component").alias("label")), "labels")
+    # regions whose sets have different labels still
+    told = store(regions.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")), "told")
+    open_ = store(told.groupBy("region").agg(F.min("label").alias("c"), F.max("label").alias("d")).where("c < d").select("region"), "open")
+    second = joined(_deal(told.join(open_, "region").select("region", "node", "size", "n")), labels)
+    final = store(components(first.union(second)).select(F.col("id").alias("node"), "component"), "final")
+    named = heads.join(final, "node", "left").withColumn("root", F.coalesce("component", "node"))
+    named = store(named.select("print", "doc_id", "root"), "named")
+    least = named.groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    found = store(named.drop("doc_id").join(least, "root"), "found")
+    release(regions, sketches, stars, first, labels, told, open_, second, final, named, heads)
+    out = slim.withColumn("print", F.when(F.col("doc_id").isNotNull(), F.col("print"))).join(found, "print", "left")
+    return out.select("doc_id", "row", F.col("size").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"), "root")
+
+
+def join(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """``doc_id, n_shingles, component_id`` per row of ``docs(doc_id, text)``.
+
+    Null, empty and blank texts have no shingles and link with nothing. Rows with a null doc_id link with nothing and
+    have a null component. Repeated rows have equal sets and get equal results; rows that share a doc_id but not the
+    text are sets of their own. An empty table gives no rows.
+    """
+    return groups(docs, k, percent).select("doc_id", "n_shingles", "component_id")
 
 
 def firsts(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """One row of each group of near duplicates stays, that with the least doc_id; the columns of ``docs``."""
-    stay = join(docs, k, percent).where("doc_id = component_id").select(F.col("doc_id").alias("stay_id")).distinct()
-    known = docs.where("doc_id is not null").join(stay, F.col("doc_id") == F.col("stay_id"), "left_semi").dropDuplicates(["doc_id"])
-    return known.unionByName(docs.where("doc_id is null"))
+    """One row of each group of near duplicates stays, one with its least doc_id; the columns of ``docs``.
+
+    Rows without words or with a null doc_id are no duplicates and stay, however often they occur; an empty table
+    gives no rows. Of rows that share the least doc_id of their group, that with the least text hash stays.
+    """
+    found = groups(docs, k, percent).where("root is not null")
+    stay = found.groupBy("root").agg(F.min(F.struct("doc_id", "row")).alias("r")).select("r.*")
+    again = found.groupBy("doc_id", "row").agg(F.count("*").alias("n")).where("n > 1")
+    whole = docs.select("doc_id", F.xxhash64("text").alias("row"), F.struct(*docs.columns).alias("doc"))
+    lone = F.col("doc_id").isNull() | ~F.coalesce(F.col("doc.text").rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    kept = whole.where(~lone).join(stay, ["doc_id", "row"], "left_semi")
+    if not again.isEmpty():
+        kept = kept.dropDuplicates(["doc_id", "row"])
+    return kept.select("doc.*").union(whole.where(lone).select("doc.*"))
 
 
 def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

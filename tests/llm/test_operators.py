@@ -341,3 +341,31 @@ def test_registry():
     q = registry.queries()
     assert [n.split("_")[0] for n in q] == [f"op{i}" for i in range(1, 11)] + ["pipeline"] and set(registry.oracle_sql()) <= set(q)
     assert F is not None
+
+
+def test_jaccard_join_of_rows_that_share_an_id(spark):
+    r = random.Random(11)
+    make = lambda n: " ".join("v%d" % r.randrange(300) for _ in range(n))
+    a, b = make(50), make(50)
+    rows = [(1, a), (1, b), (2, a), (3, b + " more"), (4, make(40)), (4, make(40)), (5, a), (5, a)]
+    df = spark.createDataFrame([(*x, "c") for x in rows], "doc_id long, text string, row string")
+    got = sorted((x.doc_id, x.component_id) for x in jaccard_join.join(df).collect())
+    assert got == [(1, 1), (1, 1), (2, 1), (3, 1), (4, 4), (4, 4), (5, 1), (5, 1)]
+    stay = jaccard_join.firsts(df)
+    assert stay.columns == df.columns and sorted((x.doc_id, x.text) for x in stay.collect()) == sorted([rows[0], rows[1], rows[4], rows[5]])
+
+
+def test_jaccard_join_with_dealt_regions(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "CELL", 40)
+    monkeypatch.setattr(jaccard_join, "STAR", 16)
+    monkeypatch.setattr(jaccard_join.metric, "SMALL", 8)
+    r = random.Random(12)
+    base = ["b%d" % i for i in range(120)]
+    rows = []
+    for i in range(160):
+        w = list(base)
+        for _ in range(r.choice([0, 1, 4, 5])):
+            w[r.randrange(120)] = "e%d" % r.randrange(3000)
+        rows.append((i, " ".join(w[: r.choice([120, 110, 90])])))
+    got = sorted(map(tuple, jaccard_join.join(spark.createDataFrame(rows, "doc_id long, text string")).collect()))
+    assert got == sorted(brute_groups(rows))
