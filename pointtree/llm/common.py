@@ -103,6 +103,13 @@ def rolling(h: np.ndarray, k: int, which: int = 0) -> np.ndarray:
     return mix((sums[k:] - sums[:-k]) * inv[: n - k + 1])
 
 
+def stretches(h: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Hash of each run h[start:end], never 0; equal runs get equal hashes anywhere."""
+    p, inv = _power_tables(0, len(h) + 1)
+    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * p[: len(h)])])
+    return mix((sums[ends] - sums[starts]) * inv[starts] + mix((ends - starts).astype(np.uint64))) | np.uint64(1)
+
+
 def sliding_min(v: np.ndarray, w: int) -> np.ndarray:
     """Minimum of every w consecutive values, by doubling."""
     done, out = 1, v

@@ -80,6 +80,25 @@ def test_substring_dedup(docs, none):
     assert out.columns == docs.columns and out.where("doc_id = 1").count() == 0 and out.where("doc_id = 0").first()["text"] == corpus()[0][1]
 
 
+def test_substring_dedup_over_paths(spark):
+    """Long copies, shared passages, passages of passages, circles and rows that share an id."""
+    r = random.Random(13)
+    make = lambda n, m=900: [f"t{r.randrange(m)}" for _ in range(n)]
+    long_, passage, other = make(700), make(120), make(75)
+    rows = [(1, make(30) + passage + make(40)), (2, long_), (3, make(10) + long_[100:600] + make(20)), (4, long_[:300] + make(5) + long_[305:]), (5, passage + other), (6, other + make(9) + passage[20:100])]
+    rows += [(7, ["z"] * 200), (8, ["y", "z"] * 90), (9, make(60) + ["z"] * 130), (10, ["a", "b", "c"] * 60 + passage), (11, (["a", "b", "c"] * 60)[1:]), (1, other), (1, passage), (12, passage[:49]), (13, passage[:50])]
+    rows += [(20 + i, make(r.randrange(30)) + long_[50 * i : 50 * i + 160] + make(r.randrange(30)) + passage[: 60 + i]) for i in range(10)]
+    rows = [(d, " ".join(w)) for d, w in rows] + [(30, " ".join(long_)), (30, " ".join(long_))]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = substring_dedup.dedup(df)
+    assert sorted(map(tuple, got.drop("spans").collect()), key=str) == brute_repeats(rows)
+    text = dict(reversed(rows))
+    for x in got.where("spans is not null").collect():
+        for s in x.spans:
+            assert s.source < x.doc_id and any(d == s.source and " ".join(t.split()[s.there : s.there + s.words]) == " ".join(text[x.doc_id].split()[s.start : s.start + s.words]) for d, t in rows)
+    assert max(s.words for x in got.where("doc_id in (3, 4)").collect() for s in x.spans) > 250
+
+
 def brute_groups(rows, percent=80):
     def shingles(t):
         w = [x for x in words((t or "").translate({c: c + 32 for c in range(65, 91)}))]
