@@ -6,16 +6,18 @@ import atexit
 import shutil
 import tempfile
 import uuid
+import weakref
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Distinct words whose hashes a Python worker keeps before it starts over.
-HASH_CACHE = 600_000
+#: Bytes of words and their hashes that a Python worker keeps before it starts over, and what an entry takes besides its key.
+HASH_BYTES, ENTRY_BYTES = 48 << 20, 180
 _MASK = (1 << 64) - 1
 _BASES = (0x9E3779B97F4A7C13, 0xC2B2AE3D27D4EB4B)
 
@@ -54,17 +56,50 @@ def release(*tables: DataFrame) -> None:
             at.getFileSystem(sc._jsc.hadoopConfiguration()).delete(at, True)
 
 
-class WordHashes(dict):
+class Bounded(dict):
+    """A cache of a worker that starts over at a number of bytes, and whenever the worker comes to another stage."""
+
+    def __init__(self, most: int):
+        self.most, self.held = most, 0
+        _caches.add(self)
+
+    __hash__ = object.__hash__  # type: ignore[assignment]
+
+    def drop(self) -> None:
+        self.clear()
+        self.held = 0
+
+    def keep(self, key: bytes | str, value: object, size: int = 0) -> None:
+        self.held += ENTRY_BYTES + len(key) + size
+        if self.held > self.most:
+            self.drop()
+        self[key] = value
+
+
+_caches: weakref.WeakSet[Bounded] = weakref.WeakSet()
+_stage: list[int | None] = [None]
+
+
+def begin() -> None:
+    """To be called where a task begins: what the worker has cached for other stages goes."""
+    context = TaskContext.get()
+    stage = context.stageId() if context else None
+    if stage != _stage[0]:
+        _stage[0] = stage
+        for cache in list(_caches):
+            cache.drop()
+
+
+class WordHashes(Bounded):
     """bytes -> 64-bit hash, each word hashed once."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) >= HASH_CACHE:
-            self.clear()
-        self[word] = h = xxhash.xxh3_64_intdigest(word)
+        h = xxhash.xxh3_64_intdigest(word)
+        self.keep(word, h)
         return h
 
 
-_hashes = WordHashes()
+_hashes = WordHashes(HASH_BYTES)
 
 
 def word_hashes(words: list[bytes]) -> np.ndarray:
@@ -146,6 +181,7 @@ def small_batches(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterato
 
 def by_batch(fn: Callable[[pa.RecordBatch], pa.RecordBatch], rows: int = 512) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        begin()
         for b in small_batches(batches, rows):
             yield fn(b)
 

@@ -14,8 +14,10 @@ from collections.abc import Callable
 import numpy as np
 import regex
 
-#: Entries of a cache generation in a Python worker; two generations are kept.
-GENERATION = 600_000
+from .common import ENTRY_BYTES, Bounded, begin
+
+#: Bytes of a cache generation of words and of pieces in a Python worker; two generations are kept.
+WORD_BYTES, PIECE_BYTES = 64 << 20, 24 << 20
 #: Code points up to here have the same classes in every Unicode version that the libraries may carry.
 PLAIN = regex.compile(r"[\n\x20-\x7e¡-ɏ]*")
 #: How the two vocabularies cut a text into pieces.
@@ -24,18 +26,24 @@ WORD_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}
 _encoders: dict[str, Encoder] = {}
 
 
-class Generations(dict):
+class Generations(Bounded):
     """A bounded cache: a full generation becomes the old one; what is used again moves to the new one."""
 
-    def __init__(self, make: Callable[[str], bytes | None]):
+    def __init__(self, make: Callable[[str], bytes | None], most: int):
+        super().__init__(most)
         self.make, self.old = make, {}
 
+    def drop(self) -> None:
+        super().drop()
+        self.old = {}
+
     def __missing__(self, key: str) -> bytes | None:
         if (v := self.old.get(key)) is None:
             v = self.make(key)
-        if len(self) >= GENERATION:
-            self.old = dict(self)
+        if self.held >= self.most:
+            self.old, self.held = dict(self), 0
             self.clear()
+        self.held += 2 * ENTRY_BYTES + len(key) + len(v or b"")
         self[key] = v
         return v
 
@@ -59,7 +67,7 @@ class Encoder:
             b: s[1] for b in range(128, 192) if (s := seen.pre_tokenize_str(bytes([0xC3, b]).decode())[0][0])} | {
             b: s[0] for b in range(0xC3, 0xCA) if (s := seen.pre_tokenize_str(bytes([b, 0x81]).decode())[0][0])} | {0xC2: seen.pre_tokenize_str("¡")[0][0][0]}
         self.four = [i.to_bytes(4, "little") for i in range(self.tokenizer.get_vocab_size())]
-        self.word, self.piece = Generations(self._word), Generations(self._piece)
+        self.word, self.piece = Generations(self._word, WORD_BYTES), Generations(self._piece, PIECE_BYTES)
 
     def _piece(self, piece: str) -> bytes:
         raw = piece.replace(" ", self.alphabet[32]) if piece.isascii() and piece.isprintable() else piece.encode().decode("latin-1").translate(self.alphabet)
@@ -112,6 +120,8 @@ class Encoder:
 
 
 def encoder(path: str) -> Encoder:
+    """The worker's encoder of a vocabulary file."""
+    begin()
     if path not in _encoders:
         _encoders[path] = Encoder(path)
     return _encoders[path]

@@ -7,6 +7,7 @@ to be toxic), how near the second person stands to them, capitals, punctuation a
 from __future__ import annotations
 
 import re
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
@@ -14,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .boosting import Boosted, Isotonic
-from .common import by_batch, lists, table, text_bytes
+from .common import Bounded, begin, by_batch, lists, release, store, table, text_bytes
 
 #: Words of insult and of address in the languages of the corpus.
 INSULTS = frozenset("""
@@ -34,9 +35,12 @@ FEATURES = 16
 #: toxic rows, in which a learned word occurs at least: what only a group of copies holds is no sign of toxicity.
 SAMPLE_ROWS, LEARNED_WORDS, LEAST_ROWS, LEAST_PART = 20_000, 200, 8, 0.03
 THRESHOLD = 0.7
+#: Texts that are turned into Python objects at once.
+ROWS = 512
 #: Words between an insult and a second person that still count as near.
 NEAR = 5
-CACHE = 400_000
+#: Bytes of classified words that a worker keeps.
+CACHE_BYTES = 32 << 20
 UPPER = bytes(range(65, 91))
 LOWER = bytes(range(97, 123))
 PUNCTUATION = b".,;:!?'\"()-"
@@ -47,16 +51,15 @@ def plain(word: bytes) -> str:
     return EDGE.sub("", word.decode("utf-8", "replace").lower())
 
 
-class Classes(dict):
+class Classes(Bounded):
     """A raw word -> bits: 1 insult, 2 learned, 4 second person, 8 obfuscated insult, 16 obfuscated word, 32 all capitals."""
 
     def __init__(self, learned: frozenset[str]):
+        super().__init__(CACHE_BYTES)
         self.learned = learned
         self.hidden = INSULTS | learned
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) >= CACHE:
-            self.clear()
         p = plain(word)
         bits = (p in INSULTS) | 2 * (p in self.learned) | 4 * (p in YOU)
         if not bits and p and not p.isalpha():
@@ -65,7 +68,7 @@ class Classes(dict):
             bits |= 8 * (mixed and clean in self.hidden) | 16 * (mixed and bool(re.search(r"\w[^\w\s'’-]+\w|[a-z]\d+[a-z]", p)))
         if len(word) > 2 and word.isupper():
             bits |= 32
-        self[word] = bits
+        self.keep(word, bits)
         return bits
 
 
@@ -104,7 +107,9 @@ def held_out(doc_id: str = "doc_id") -> F.Column:
 def _sample(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """Up to ``SAMPLE_ROWS`` labelled rows that are not held out: those with the least hashes of their ids."""
     some = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_ROWS)
-    return docs.select("doc_id", "text").join(F.broadcast(some), "doc_id")
+    # of rows that share an id the least text is taken, so that the bound holds for texts as well
+    rows = docs.select("doc_id", "text").join(F.broadcast(some), "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))
+    return store(rows, "sample")
 
 
 def _distinct_words(b: pa.RecordBatch) -> pa.RecordBatch:
@@ -161,26 +166,35 @@ def fit(docs: DataFrame, labels: DataFrame) -> Scorer:
 
     rows = sample.select("doc_id", "text", F.col("toxic").cast("int").alias("toxic")).mapInArrow(by_batch(run, 2048), "doc_id long, x array<double>, toxic int").collect()
     rows.sort(key=lambda r: (r["doc_id"], r["x"]))
+    release(sample)
     x = np.array([r["x"] for r in rows]).reshape(-1, FEATURES)
     return Scorer(learned, x, np.array([r["toxic"] for r in rows], float))
 
 
-def score(docs: DataFrame, labels: DataFrame, keep: list[str]) -> DataFrame:
-    """Columns ``keep`` of ``docs`` with ``tox_score``. Null and empty texts are scored as texts without words."""
+def scorer(docs: DataFrame, labels: DataFrame) -> Callable[[str], F.Column]:
+    """A function from the name of a text column to its score, fitted on ``docs`` and ``labels``; only texts go to Python.
+
+    Null and empty texts are scored as texts without words.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(fit(docs, labels))
 
-    def run(b: pa.RecordBatch) -> pa.RecordBatch:
-        s = shared.value.score(text_bytes(b.column(0)))
-        return pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(s, pa.float64())], names=[*keep, "tox_score"])
+    @F.arrow_udf("double")
+    def run(texts: pa.Array) -> pa.Array:
+        begin()
+        at = range(0, len(texts), ROWS)
+        return pa.array(np.concatenate([shared.value.score(text_bytes(texts.slice(k, ROWS))) for k in at] or [np.zeros(0)]), pa.float64())
 
-    kept = docs.select(*keep)
-    fields = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields] + ["tox_score double"])
-    return docs.select(F.col("text").alias("tox_text"), *keep).mapInArrow(by_batch(run), fields)
+    return run
+
+
+def score(docs: DataFrame, labels: DataFrame, keep: list[str]) -> DataFrame:
+    """Columns ``keep`` of ``docs`` with ``tox_score``. Repeated rows get equal scores; an empty table gives no rows."""
+    return docs.select(*keep, scorer(docs, labels)("text").alias("tox_score"))
 
 
 def clean(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """Rows of ``docs`` that are not rejected, with the columns of ``docs``."""
-    return score(docs, labels, docs.columns).where(F.col("tox_score") < threshold).select(*docs.columns)
+    """Rows of ``docs`` that are not rejected, with the columns of ``docs``; null and empty texts have no words and stay."""
+    return docs.where(scorer(docs, labels)("text") < threshold)
 
 
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
