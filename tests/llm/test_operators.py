@@ -179,6 +179,25 @@ def test_embedding_dedup_over_several_shards(spark, monkeypatch):
     assert sum(min(got[i], want[i]) for i in range(300)) >= 0.9 * want.sum() and all(got[i] <= want[i] for i in range(300))
 
 
+def test_embedding_links_are_symmetric_over_shards_and_keys(spark, monkeypatch):
+    monkeypatch.setattr(embedding_dedup, "WIDEST", 60)
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(400, 12))
+    x[100:180] = x[0] + 0.02 * rng.normal(size=(80, 12))
+    x[200:300] = x[:100] + 0.2 * rng.normal(size=(100, 12))
+    rows = [(i, [float(v) for v in x[i]], i % 3) for i in range(400)] + [(7, [float(v) for v in x[8]], 5), (9, [float(v) for v in x[8]], 5), (7, [float(v) for v in x[11]], 1)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    u = np.array([v for _, v, _ in rows])
+    u /= np.linalg.norm(u, axis=1, keepdims=True)
+    label = np.array([la for _, _, la in rows])
+    link = ((u @ u.T) >= 0.93) & (label[:, None] == label[None, :])
+    np.fill_diagonal(link, False)
+    got = embedding_dedup.links(df, shard=40).collect()
+    assert sum(r.n_links for r in got) % 2 == 0 and sorted((r.vec_id, r.n_links) for r in got) == sorted((rows[i][0], int(link[i].sum())) for i in range(len(rows)))
+    seen = embedding_dedup.audits(df, shard=40).collect()
+    assert seen and all(r.found_links >= 0.99 * r.true_links for r in seen) and sum(r.true_links for r in seen) > 100
+
+
 def test_packing(docs, none):
     path = tokenizer_path("byte_bpe_50k.json")
     e = encoder(path)
