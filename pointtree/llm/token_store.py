@@ -20,20 +20,43 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import shared_dir, small_batches, table
+from .common import by_batch, shared_dir, small_batches, table
 from .encoding import encoder, tokenizer_path
 
 END_ID = 1
-#: Documents whose ids train the dictionary, bytes of the dictionary, and bytes after which a block is closed.
-SAMPLE_DOCS, DICTIONARY_BYTES, BLOCK_BYTES = 2000, 64 << 10, 1 << 20
+#: Documents whose ids train the dictionary, ids of each at most, in stretches spread over it, and how many.
+SAMPLE_DOCS, SAMPLE_IDS, STRETCHES = 2000, 8192, 16
+#: Bytes of the dictionary, and bytes after which a block is closed.
+DICTIONARY_BYTES, BLOCK_BYTES = 64 << 10, 1 << 20
 LEVEL = 1
 
 
+def spread(ids: np.ndarray) -> np.ndarray:
+    """All ids of a document, or stretches spread evenly over the whole of it."""
+    if len(ids) <= SAMPLE_IDS:
+        return ids
+    each = SAMPLE_IDS // STRETCHES
+    return np.concatenate([ids[at : at + each] for at in np.linspace(0, len(ids) - each, STRETCHES).astype(int)])
+
+
 def train(docs: DataFrame, tokenizer: str, sample: int = SAMPLE_DOCS) -> bytes:
-    """A dictionary from the ids of up to ``sample`` documents with the least hashes of their ids; empty if they give none."""
-    rows = docs.select("doc_id", "text").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).select(F.substring("text", 1, 20_000).alias("text")).collect()
-    arrays = [a.astype("<u2" if a.max(initial=0) < 1 << 16 else "<u4").tobytes() for a in encoder(tokenizer).encode([r["text"] or "" for r in rows])]
-    arrays = [a for a in arrays if len(a) >= 8]
+    """A dictionary from the ids of up to ``sample`` documents with the least hashes of id and text; empty if they give none.
+
+    The sample is chosen by hashes alone, its texts are encoded where they lie, and the driver gets at most
+    ``SAMPLE_IDS`` ids of each.
+    """
+    keyed = docs.select("text", F.xxhash64("doc_id", "text").alias("h"))
+    n = docs.count()
+    part = min(1.0, 4 * sample / max(1, n))  # tasks send no more hashes than are likely to be wanted
+    few = keyed.select("h").where(F.col("h") <= F.lit(int(part * (1 << 63)) * 2 - (1 << 63) - 1)).distinct().orderBy("h").limit(sample)
+
+    def run(b: pa.RecordBatch) -> pa.RecordBatch:
+        arrays = [spread(a) for a in encoder(tokenizer).encode([t or "" for t in b.column(1).to_pylist()])]
+        return pa.RecordBatch.from_arrays([b.column(0), pa.array([a.astype("<u2" if a.max(initial=0) < 1 << 16 else "<u4").tobytes() for a in arrays], pa.binary())], names=["h", "ids"])
+
+    wanted = keyed.join(F.broadcast(few), "h").select("h", "text").mapInArrow(by_batch(run, 256), "h long, ids binary")
+    rows = wanted.groupBy("h").agg(F.min("ids").alias("ids")).collect()  # equal rows are one document here
+    arrays = [bytes(r["ids"]) for r in sorted(rows, key=lambda r: r["h"]) if len(r["ids"]) >= 8]
     try:
         return zstandard.train_dictionary(min(DICTIONARY_BYTES, max(256, sum(map(len, arrays)) // 4)), arrays, level=LEVEL).as_bytes()
     except (zstandard.ZstdError, ValueError):
@@ -63,7 +86,8 @@ BLOCKS = "task int, block int, first_row long, data binary, doc_ids array<long>,
 def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID) -> None:
     """Encode ``docs(doc_id, text)``, append the end id to each, and write the store under ``path``.
 
-    Null texts are empty; rows with a null doc_id come first; repeated rows are kept, ties in any order.
+    Null texts are empty; rows with a null doc_id come first; repeated rows are kept, ties in any order. An empty
+    table gives a store without documents. Columns other than doc_id and text are ignored.
     """
     spark = docs.sparkSession
     dictionary = train(docs, tokenizer)
