@@ -8,6 +8,7 @@ end with other white space are glued to their neighbours first, so that every cu
 
 from __future__ import annotations
 
+import json
 import os
 from collections.abc import Callable
 
@@ -22,7 +23,8 @@ WORD_BYTES, PIECE_BYTES = 64 << 20, 24 << 20
 PLAIN = regex.compile(r"[\n\x20-\x7e¡-ɏ]*")
 #: How the two vocabularies cut a text into pieces.
 BYTE_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
-WORD_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+WORD_RULE = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+WORD_PIECES = regex.compile(WORD_RULE)
 _encoders: dict[str, Encoder] = {}
 
 
@@ -48,6 +50,21 @@ class Generations(Bounded):
         return v
 
 
+def style(config: dict) -> str | None:
+    """Which of the two known ways of cutting a text a vocabulary file states: "byte", "word" or neither."""
+    before, cut = config["normalizer"] or {}, config["pre_tokenizer"] or {}
+    if config["truncation"] or config["post_processor"] or any(t["normalized"] or t["lstrip"] or t["rstrip"] or t["single_word"] for t in config["added_tokens"]):
+        return None
+    if not before and (cut.get("type"), cut.get("add_prefix_space"), cut.get("use_regex")) == ("ByteLevel", False, True):
+        return "byte"
+    steps, cuts = [(n["type"], n.get("pattern"), n.get("content")) for n in before.get("normalizers", [])], cut.get("pretokenizers", [])
+    if steps == [("NFC", None, None), ("Replace", {"Regex": r"\s+"}, " "), ("Lowercase", None, None)] and [c["type"] for c in cuts] == ["Split", "ByteLevel"]:
+        split, level = cuts
+        if (split["pattern"], split["behavior"], split["invert"]) == ({"Regex": WORD_RULE}, "Removed", True) and not level["add_prefix_space"] and not level["use_regex"]:
+            return "word"
+    return None
+
+
 class Encoder:
     """Ids of texts as uint32 arrays, as ``encode(text, add_special_tokens=False)`` gives them."""
 
@@ -59,7 +76,8 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.model = self.tokenizer.model
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.lower = self.tokenizer.normalizer is not None
+        self.style = style(json.loads(self.tokenizer.to_str()))
+        self.lower = self.style == "word"
         self.pieces = (WORD_PIECES if self.lower else BYTE_PIECES).findall
         # the byte-level alphabet, as the library itself maps single bytes
         seen = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
@@ -103,6 +121,8 @@ class Encoder:
         return b"".join(map(self._stretch, out))
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
+        if self.style is None:  # a file that cuts texts otherwise: the library alone
+            return [np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint32) for t in texts]
         get, out = self.word.__getitem__, []
         for t in texts:
             if any(s in t for s in self.special):  # their strings are cut out before anything else
