@@ -63,7 +63,7 @@ def _sketch(k: int):
         counts = np.zeros(1 << SKETCH_BITS, np.int64)
         for b in batches:
             for t in text_bytes(b.column(0)):
-                counts += np.bincount(_bucket(shingles(t, k)), minlength=len(counts)) if t else 0
+                counts += np.bincount(_bucket(rolling(word_hashes((t or b"").translate(FOLD).split()), k)), minlength=len(counts))
         at = np.flatnonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], names=["bucket", "n"])
 

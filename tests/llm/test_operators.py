@@ -220,12 +220,14 @@ def test_packing(docs, none):
 
 
 def test_token_store(spark, docs, none):
+    from tokenizers import Tokenizer
+
     path, at = tokenizer_path("word_bpe_49k.json"), folder(spark)
     token_store.write(docs, at, path)
-    e = encoder(path)
+    library = Tokenizer.from_file(path)
     ids = {}
     for r in corpus():
-        ids.setdefault(r[0], []).append(np.append(e.encode([r[1] or ""])[0], 1).astype("<u4"))
+        ids.setdefault(r[0], []).append(np.append(library.encode(r[1] or "", add_special_tokens=False).ids, 1).astype("<u4"))
     got = token_store.read(spark, at).collect()
     assert sorted([(r.doc_id, r.n_tokens, r.ids_crc32) for r in got], key=str) == sorted([(d, len(a), zlib.crc32(a.tobytes())) for d, v in ids.items() for a in v], key=str)
     end = 0
@@ -269,7 +271,7 @@ def test_warc(spark):
 def test_torn_archive_keeps_only_what_the_start_reaches(spark):
     import pathlib
 
-    record = lambda n: f"WARC/1.1\r\nWARC-Type: response\r\nWARC-Record-ID: <urn:page:{n}>\r\nContent-Length: 3\r\n\r\nabc\r\n\r\n"
+    record = lambda n: f"WARC/1.1\r\nWARC-Type: response\r\nPage-ID: {n}\r\nContent-Length: 3\r\n\r\nabc\r\n\r\n"
     at = pathlib.Path(re.sub("^file:/*", "/", folder(spark)))
     at.mkdir(parents=True)
     (at / "a.warc").write_bytes((record(1) + record(2) + "junk" + record(3)).encode())
@@ -277,6 +279,24 @@ def test_torn_archive_keeps_only_what_the_start_reaches(spark):
     assert sorted(r.page_id for r in warc.read(spark, f"file://{at}").collect()) == [1]
 
 
+def test_archives_are_followed_over_splits(spark):
+    """Plain archives in many splits, with payloads that hold records and the ends of records, against a walk from the start."""
+    r = random.Random(14)
+    inner = lambda n: f"WARC/1.1\r\nPage-ID: {1000 + n}\r\nContent-Length: 4\r\n\r\nfake\r\n\r\n"
+    rows = [(i, "u%d" % i, r.choice(["", "x" * r.randrange(3000), inner(i) * r.randrange(60), "é" * r.randrange(900) + "\r\n\r\n" + inner(i), "WARC/1.1\r\n" * r.randrange(5)]) + str(i)) for i in range(300)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    before = spark.conf.get("spark.sql.files.maxPartitionBytes")
+    for size in (before, "2000", "700"):
+        at = folder(spark)
+        warc.write(df.coalesce(2), at, compression="none")
+        spark.conf.set("spark.sql.files.maxPartitionBytes", size)
+        try:
+            got = {x.page_id: bytes(x.payload).decode() for x in warc.read(spark, at).collect()}
+        finally:
+            spark.conf.set("spark.sql.files.maxPartitionBytes", before)
+        assert got == {i: h for i, _, h in rows}
+
+
 def test_toxicity(spark, docs):
     r = random.Random(5)
     plain = ["tree", "house", "river", "you", "green", "walk", "stone", "cloud"]
@@ -314,6 +334,10 @@ def test_mixing(spark, docs, none):
     again = {x.doc_id: x.mix_shards for x in mixing.draws(df.repartition(5), shard_words=5000).collect()}
     assert again == {x.doc_id: x.mix_shards for x in got}
     assert mixing.mix(df).count() == sum(len(x.mix_shards) for x in got)
+    mixed = [x.doc_id for x in mixing.mix(df).collect()]
+    assert sum(a == b for a, b in zip(mixed, mixed[1:])) <= 0.02 * len(mixed) and max(mixed.count(i) for i in range(50)) > 1
+    clash = mixing.mix(df.selectExpr("doc_id", "text", "source", "1 as mix_shard", "2 as mix_size", "3 as src"))
+    assert clash.columns[3:] == ["mix_shard", "mix_size", "src"] and clash.count() == len(mixed)
     assert mixing.draws(docs).count() == docs.count() and mixing.draws(none).count() == 0 and mixing.mix(docs).columns == docs.columns
 
 
