@@ -28,6 +28,13 @@ def path_of(parts: tuple[int, ...], x: str = "x", y: str = "y", z: str = "z") ->
     return F.concat(*[F.char(digit(j, parts, x, y, z) + 48) for j in range(1, len(parts) + 1)])
 
 
+def prefix_of(parts: tuple[int, ...], levels: int, from_path: bool = False) -> Column:
+    """The first digits of a point's path, from the coordinates or from ``path`` where rows have it."""
+    if from_path:
+        return F.substring("path", 1, levels) if levels else F.lit("")
+    return F.concat(F.lit(""), *[F.char(digit(j, parts) + 48) for j in range(1, levels + 1)])
+
+
 def with_path(df: DataFrame, parts: tuple[int, ...]) -> DataFrame:
     return df.withColumn("path", path_of(parts))
 

@@ -17,7 +17,7 @@ from ..functions.paths import path_of
 from ..functions.quantize import Box
 from ..sources.shared import shared_dir
 from .leaves import within
-from .topology import _beside, frontier, ordered_index
+from .topology import ordered_index, plan_boxes
 
 #: A raw record: 20 bytes.
 RECORD = np.dtype([("x", "<i4"), ("y", "<i4"), ("z", "<i4"), ("intensity", "<u2"), ("flags", "u1"), ("classification", "u1"), ("scan_angle", "i1"), ("user_data", "u1"), ("point_source", "<u2")])
@@ -113,8 +113,7 @@ def build_block_delta(points: DataFrame, parts: tuple[int, ...], order: Sequence
 def quad_cells(numbered: DataFrame, parts: tuple[int, ...], most: int) -> DataFrame:
     """Cells of a quadtree over x and y of up to ``most`` points, with their bounds and blocks."""
     flat = numbered.select("x", "y", F.lit(0).cast("long").alias("z"), "block").withColumn("path", path_of(parts))
-    cells = frontier(flat, parts, most).select("level", F.col("path").alias("box"))
-    by = _beside(flat, cells, "cell").groupBy("cell", "cell_level")
+    by = plan_boxes(flat, parts, most).beside(flat, "cell").groupBy("cell", "cell_level")
     return by.agg(F.min("x").alias("x_min"), F.max("x").alias("x_max"), F.min("y").alias("y_min"), F.max("y").alias("y_max"), F.collect_set("block").alias("blocks"))
 
 

@@ -25,14 +25,17 @@ def in_leaf_order(config: TreeConfig) -> list[str]:
 
 
 def build(points: DataFrame, config: TreeConfig, parts: tuple[int, ...], attributes: tuple[str, ...] = (), method: str = "window") -> DataFrame:
-    """``level, path, x0, y0, z0, side, cnt, xs, ys, zs, a_<attribute>, <attribute>_min, <attribute>_max`` per occupied leaf."""
+    """``level, path, x0, y0, z0, side, cnt, xs, ys, zs, a_<attribute>, <attribute>_min, <attribute>_max`` per occupied leaf.
+
+    A cell of the last level with more points than a shard (or, by the other methods, a leaf) should have is several rows of that leaf.
+    """
     keep = [*in_leaf_order(config), *[c for c in ("lx", "ly", "lz") if c not in in_leaf_order(config)], *attributes]
     p = leaf_points(points, config, parts, method)
     box = ["level", "path", "x0", "y0", "z0", "side"]
     held = F.sort_array(F.collect_list(F.struct(*keep)))
-    rows = p.groupBy(*box).agg(held.alias("held"), F.count("*").alias("cnt"), *[f(c).alias(f"{c}_{n}") for c in attributes for f, n in ((F.min, "min"), (F.max, "max"))])
+    rows = p.groupBy(*box, "piece").agg(held.alias("held"), F.count("*").alias("cnt"), *[f(c).alias(f"{c}_{n}") for c in attributes for f, n in ((F.min, "min"), (F.max, "max"))])
     arrays = {n: F.col(f"held.{c}") for n, c in (("xs", "lx"), ("ys", "ly"), ("zs", "lz"))} | {f"a_{c}": F.col(f"held.{c}") for c in attributes}
-    return rows.withColumns(arrays).drop("held")
+    return rows.withColumns(arrays).drop("held", "piece")
 
 
 def overlaps(box: Box) -> Column:

@@ -175,7 +175,7 @@ def point_at(store: Store, position: int) -> DataFrame:
             got = {k: np.array([v]) for k, v in kernel.point_at(kernel.from_row(row), at).items()}
             yield _result(got, row, columns)
 
-    return store.shards().where(F.col("shard") == mine["shard"]).select(*_components(columns)).mapInArrow(run, _types(columns))
+    return store.shards().where((F.col("shard") == mine["shard"]) & (F.col("piece") == mine["piece"])).select(*_components(columns)).mapInArrow(run, _types(columns))
 
 
 def knn(store: Store, x: int, y: int, z: int, k: int) -> DataFrame:

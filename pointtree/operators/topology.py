@@ -1,22 +1,26 @@
 """The boxes of a thresholded octree: counts, kinds, leaf levels, shards and the bits of the whole tree.
 
 A box is divided if it holds more points than the leaf limit and has a side above 1; the root always is. Counts are taken
-once at the finest level that is asked for and rolled up, so that only the first aggregate sees points.
+once at the finest level that is asked for and rolled up, so that only the first aggregate sees points. Points come to
+their boxes in one pass more, by equality of prefixes of their paths.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
 from functools import reduce
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..config import TreeConfig
-from ..functions.paths import common_levels, path_of
+from ..functions.paths import common_levels, path_of, prefix_of
 from ..sources.shared import cut
 
 #: Rows of a plan of boxes up to which it is broadcast (some 60 bytes each).
 BROADCAST_BOXES = 500_000
+#: Levels of a first look at points whose number is not known, and of any look (64 boxes a point of a plane, 2**21 in all at most).
+FIRST_LEVELS, MOST_LEVELS = 4, 7
 
 
 def with_paths(points: DataFrame, parts: tuple[int, ...]) -> DataFrame:
@@ -40,74 +44,109 @@ def classify_nodes(histogram: DataFrame, height: int, limit: int) -> DataFrame:
     return histogram.where("level = 1").select("level", "path", "cnt").unionByName(below.select("level", "path", "cnt")).withColumn("kind", kind)
 
 
-def _beside(points: DataFrame, boxes: DataFrame, name: str) -> DataFrame:
-    """Points with the box of ``boxes(level, box)`` that their path runs through; boxes don't overlap."""
-    levels = [r[0] for r in boxes.select("level").distinct().collect()]  # as many as the tree is high at most
-    if boxes.count() <= BROADCAST_BOXES:
-        boxes = F.broadcast(boxes)
-    by_level = [points.withColumns({"box": F.substring("path", 1, j) if j else F.lit(""), "level": F.lit(j)}).join(boxes, ["level", "box"]) for j in sorted(levels)]
-    empty = points.withColumns({"box": F.lit(""), "level": F.lit(0)}).where(F.lit(False))
-    return (reduce(DataFrame.unionByName, by_level) if by_level else empty).withColumnsRenamed({"box": name, "level": f"{name}_level"})
+@dataclass(frozen=True)
+class Boxes:
+    """The coarsest boxes of up to ``most`` points, found in rounds that each look ``depth`` levels deep.
 
+    A round's ``cells(cell, level, cnt)`` has every occupied cell of its depth below the boxes that were too heavy
+    before, with the level and the points of the box it belongs to; both are null where that is too heavy still.
+    """
 
-def leaf_levels_histogram(points: DataFrame, parts: tuple[int, ...], limit: int) -> DataFrame:
-    """Adds ``path`` and ``leaf_level``: counts of all boxes, then each point beside the leaf on its path."""
-    pts = with_paths(points, parts)
-    nodes = classify_nodes(level_histogram(pts, parts), len(parts), limit)
-    return _beside(pts, cut(nodes.where("kind <> 'branch'").select("level", F.col("path").alias("box"))), "leaf").drop("leaf")
-
-
-def frontier(points: DataFrame, parts: tuple[int, ...], most: int, step: int = 3, divide_root: bool = False) -> DataFrame:
-    """The coarsest boxes of up to ``most`` points, or single cells: ``level, path, cnt``.
-
-    Each round counts ``step`` levels deeper, below the boxes that are too heavy still; only boxes are kept, never points.
-    The whole cloud is one box, of level 0, if it is light enough and the root need not be divided.
+    rounds: tuple[tuple[int, DataFrame], ...]
+    parts: tuple[int, ...]
+    most: int
+
+    def boxes(self) -> DataFrame:
+        """``level, path, cnt`` of the boxes, one row each."""
+        found = [c.where("level is not null").select("level", F.expr("substring(cell, 1, level)").alias("path"), "cnt").distinct() for _, c in self.rounds]
+        return reduce(DataFrame.unionByName, found)
+
+    def beside(self, points: DataFrame, name: str) -> DataFrame:
+        """Points with ``name``, the path of their box, ``<name>_level`` and ``piece``, in one pass over the points.
+
+        Boxes don't overlap, so each round is one equality join by the prefix of its depth. A single cell with more
+        points than a box should have is dealt to pieces by pid; elsewhere ``piece`` is 0.
+        """
+        level, box, cnt, held = [], [], [], []
+        for i, (depth, cells) in enumerate(self.rounds):
+            own = cells.where("level is not null").select(F.col("cell").alias(f"cell{i}"), F.col("level").alias(f"level{i}"), F.col("cnt").alias(f"cnt{i}"))
+            own = F.broadcast(own) if own.count() <= BROADCAST_BOXES else own
+            points = points.withColumn(f"cell{i}", prefix_of(self.parts, depth)).join(own, f"cell{i}", "left")
+            level.append(F.col(f"level{i}"))
+            cnt.append(F.when(level[-1].isNotNull(), F.col(f"cnt{i}")))
+            box.append(F.when(level[-1].isNotNull(), F.expr(f"substring(cell{i}, 1, level{i})")))
+            held += [f"cell{i}", f"level{i}", f"cnt{i}"]
+        pieces = F.ceil(F.coalesce(*cnt) / self.most)
+        piece = F.when((F.coalesce(*level) == len(self.parts)) & (pieces > 1), F.pmod(F.xxhash64("pid"), pieces)).otherwise(0) if "pid" in points.columns else F.lit(0)
+        return points.withColumns({name: F.coalesce(*box), f"{name}_level": F.coalesce(*level), "piece": piece.cast("int")}).drop(*held)
+
+
+def plan_boxes(points: DataFrame, parts: tuple[int, ...], most: int, divide_root: bool = False, step: int | None = None, count: int | None = None) -> Boxes:
+    """Finds the coarsest boxes of up to ``most`` points, or single cells.
+
+    A round is one aggregate of points, at a depth that should be enough for the heaviest box left (``step`` fixes it);
+    coarser counts are rolled up from that, and the next round looks below the heavy cells only. The whole cloud is one
+    box, of level 0, if it is light enough and the root need not be divided.
     """
-    h = len(parts)
-    live = with_paths(points, parts).select("path")
-    total = live.count()
-    if total <= most and not divide_root or not total:
-        return points.sparkSession.createDataFrame([(0, "", total)] if total else [], "level int, path string, cnt long")
-    found, level = [], 0
+    h, bits = len(parts), [2 * (k.bit_length() - 1) for k in parts]
+    xyz = points.select(*[c for c in ("x", "y", "z", "path") if c in points.columns])
+    depth, heaviest, rounds, live = 0, count, [], xyz
     while True:
-        deeper = min(level + step, h)
-        nodes = level_histogram(live, parts, deeper, level + 1)
-        heavy = (F.col("cnt") > most) & (F.col("level") < h)
-        parents = nodes.where(heavy).select((F.col("level") + 1).alias("level"), F.col("path").alias("parent"))
-        tops = nodes.where(F.col("level") == level + 1)
-        below = nodes.where(F.col("level") > level + 1).withColumn("parent", F.expr("substring(path, 1, level - 1)")).join(parents, ["level", "parent"], "left_semi")
-        # counts never grow downwards, so a heavy parent has heavy boxes above it only
-        kept = cut(tops.select("level", "path", "cnt").unionByName(below.select("level", "path", "cnt")).withColumn("heavy", heavy))
-        found.append(kept.where("not heavy").select("level", "path", "cnt"))
-        again = kept.where(F.col("heavy") & (F.col("level") == deeper)).select(F.col("path").alias("over"))
-        n = again.count()
+        deeper, gain = depth, 1
+        # as if points filled a plane: cells of volumes are fewer points each, and a heavy box is looked at again
+        while deeper < h and ((deeper - depth < step) if step else deeper == depth or (gain * most < 4 * heaviest if heaviest else deeper - depth < FIRST_LEVELS)) and (step or deeper - depth < MOST_LEVELS):
+            gain <<= bits[deeper]
+            deeper += 1
+        cells = cut(live.groupBy(prefix_of(parts, deeper, "path" in live.columns).alias("cell")).agg(F.count("*").alias("n")))
+        if not rounds:
+            total = cells.agg(F.sum("n")).first()[0] or 0
+            if not total or total <= most and not divide_root:
+                return Boxes(((0, points.sparkSession.createDataFrame([("", 0, total)] if total else [], "cell string, level int, cnt long")),), parts, most)
+        each = cells.select("cell", "n", F.explode(F.sequence(F.lit(depth + 1), F.lit(deeper))).alias("level")).withColumn("path", F.expr("substring(cell, 1, level)"))
+        nodes = each.groupBy("level", "path").agg(F.sum("n").alias("cnt")).where((F.col("cnt") <= most) | (F.col("level") == h))
+        best = each.join(nodes, ["level", "path"]).groupBy("cell").agg(F.min(F.struct("level", "cnt")).alias("box"))
+        found = cut(cells.join(best, "cell", "left").select("cell", "n", F.col("box.level").alias("level"), F.col("box.cnt").alias("cnt")))
+        rounds.append((deeper, found.select("cell", "level", "cnt")))
+        heavy = found.where("level is null")
+        n, heaviest = heavy.agg(F.count("*"), F.max("n")).first()
         if not n:
-            return reduce(DataFrame.unionByName, found)
-        level = deeper
-        live = live.join(F.broadcast(again) if n <= BROADCAST_BOXES else again, F.substring("path", 1, level) == F.col("over"), "left_semi")
+            return Boxes(tuple(rounds), parts, most)
+        depth = deeper
+        over = heavy.select(F.col("cell").alias("over"))
+        live = xyz.join(F.broadcast(over) if n <= BROADCAST_BOXES else over, prefix_of(parts, depth, "path" in xyz.columns) == F.col("over"), "left_semi")
 
 
-def leaf_levels_iterative(points: DataFrame, parts: tuple[int, ...], limit: int, step: int = 3) -> DataFrame:
-    """Adds ``path`` and ``leaf_level`` by refinement: the leaves are the frontier of boxes of up to ``limit`` points."""
+def frontier(points: DataFrame, parts: tuple[int, ...], most: int, divide_root: bool = False) -> DataFrame:
+    """The coarsest boxes of up to ``most`` points, or single cells: ``level, path, cnt``."""
+    return plan_boxes(points, parts, most, divide_root).boxes()
+
+
+def leaf_levels_histogram(points: DataFrame, parts: tuple[int, ...], limit: int) -> DataFrame:
+    """Adds ``path``, ``leaf_level`` and ``piece``: one count of single cells serves all levels."""
     pts = with_paths(points, parts)
-    return _beside(pts, cut(frontier(pts, parts, limit, step, divide_root=True).select("level", F.col("path").alias("box"))), "leaf").drop("leaf")
+    return plan_boxes(pts, parts, limit, True, step=len(parts)).beside(pts, "leaf").drop("leaf")
 
 
-def assign_shards(points: DataFrame, parts: tuple[int, ...], most: int) -> DataFrame:
-    """Adds ``path``, ``shard`` (the path of its frontier box) and ``shard_level``."""
+def leaf_levels_iterative(points: DataFrame, parts: tuple[int, ...], limit: int, step: int = 3) -> DataFrame:
+    """Adds ``path``, ``leaf_level`` and ``piece`` by refinement: the leaves are the coarsest boxes of up to ``limit`` points."""
     pts = with_paths(points, parts)
-    return _beside(pts, cut(frontier(pts, parts, most).select("level", F.col("path").alias("box"))), "shard")
+    return plan_boxes(pts, parts, limit, True, step).beside(pts, "leaf").drop("leaf")
+
+
+def assign_shards(points: DataFrame, parts: tuple[int, ...], most: int, count: int | None = None) -> DataFrame:
+    """Adds ``shard`` (the path of its box), ``shard_level`` and ``piece``: up to ``most`` points share all three."""
+    return plan_boxes(points, parts, most, count=count).beside(points, "shard")
 
 
 def leaf_levels_window(points: DataFrame, parts: tuple[int, ...], limit: int, shard_points: int = 2_000_000) -> DataFrame:
-    """Adds ``path`` and ``leaf_level`` in one sort by path.
+    """Adds ``path``, ``leaf_level`` and ``piece`` in one sort by path.
 
     A box is heavy if and only if some run of limit + 1 neighbours in path order lies in it whole. A point's leaf is thus one
     level below the deepest box that such a run with the point shares. Sorts are per shard, a frontier box of bounded size.
     """
     h = len(parts)
-    pts = assign_shards(points, parts, max(shard_points, limit + 1))
-    order = Window.partitionBy("shard").orderBy("path", "pid")
+    pts = with_paths(assign_shards(points, parts, max(shard_points, limit + 1)), parts)
+    order = Window.partitionBy("shard", "piece").orderBy("path", "pid")
     ahead = [F.lead(a, limit).over(order) for a in "xyz"]
     shared = pts.withColumns({f"far_{a}": c for a, c in zip("xyz", ahead, strict=True)})
     run = F.when(F.col("far_x").isNotNull(), common_levels(tuple(map(F.col, "xyz")), (F.col("far_x"), F.col("far_y"), F.col("far_z")), parts))
