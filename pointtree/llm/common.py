@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import shutil
 import tempfile
 import uuid
@@ -88,6 +89,17 @@ def begin() -> None:
         _stage[0] = stage
         for cache in list(_caches):
             cache.drop()
+        give_back()
+
+
+def give_back() -> None:
+    """What allocators hold unused goes back to the system: a worker lives on through many stages."""
+    pa.default_memory_pool().release_unused()
+    if _trim is not None:
+        _trim(0)
+
+
+_trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc alone has it
 
 
 class WordHashes(Bounded):
