@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from ..config import sides
 from ..functions.quantize import div
+from ..sources.shared import cut
+from .bitvec import bit_and_rank, bit_blocks
 from .topology import classify_nodes, global_bits, level_histogram
 
 
@@ -36,23 +38,48 @@ def bits(cells: DataFrame, parts: tuple[int, ...], dims: int = 2) -> DataFrame:
     return inner.unionByName(flags.where(F.col("pos") >= zeros).select(F.lit("L").alias("part"), (F.col("pos") - zeros).alias("pos"), "bit"))
 
 
+def stored(cells: DataFrame, parts: tuple[int, ...], dims: int = 2) -> DataFrame:
+    """The tree as blocks of bits with ranks: T, then L behind it. All levels have the same number of parts."""
+    if len(set(parts)) > 1:
+        raise ValueError("navigation by rank needs the same parts at every level")
+    flags = bits(cells, parts, dims)
+    inner = flags.where("part = 'T'").count()
+    return cut(bit_blocks(flags.select(F.when(F.col("part") == "T", F.col("pos")).otherwise(F.col("pos") + inner).alias("i"), "bit")))
+
+
+def _digits(row: dict[str, F.Column], parts: tuple[int, ...], level: int):
+    """Which child of its box of level - 1 a place lies in."""
+    s, k, d = sides(parts), parts[level - 1], F.lit(0).cast("long")
+    for c in row.values():
+        d = d * k + div(c, F.lit(s[level])) % k
+    return d
+
+
 def test(cells: DataFrame, probes: DataFrame, parts: tuple[int, ...], dims: int = 2) -> DataFrame:
-    """``probes`` with ``is_set``, by a join on the paths of the last level; the flags and their ranks are not read."""
-    n = nodes(cells, parts, dims)
-    p = probes.withColumn("path", path_of(parts, dims))
-    last = n.where(F.col("level") == len(parts)).select("path", F.lit(1).alias("is_set"))
-    return p.join(last, "path", "left").select(*probes.columns, F.coalesce("is_set", F.lit(0)).alias("is_set"))
+    """``probes`` with ``is_set``: each goes down the stored bits by rank as long as the flags are set."""
+    tree, h, width = stored(cells, parts, dims), len(parts), parts[0] ** dims
+    axes = {a: F.col(a) for a in "xyz"[:dims]}
+    extent = sides(parts)[0]
+    there = F.lit(True)
+    for c in axes.values():
+        there = there & (c >= 0) & (c < extent)
+    p = probes.withColumn("pos", F.when(there, _digits(axes, parts, 1)))
+    for level in range(1, h + 1):
+        p = bit_and_rank(p, tree, "pos").withColumn("bit", F.coalesce("bit", F.lit(0)))
+        if level < h:  # the children of the set bit with number r, from 1, begin at r * width
+            p = p.withColumn("pos", F.when(F.col("bit") == 1, F.col("rank") * width + _digits(axes, parts, level + 1))).drop("bit", "rank")
+    return p.select(*probes.columns, F.col("bit").cast("int").alias("is_set"))
 
 
 def report(cells: DataFrame, box: tuple[int, ...], parts: tuple[int, ...], dims: int = 2) -> DataFrame:
-    """Set cells of a closed box, by a filter on the last level's cells; the flags and their ranks are not read."""
-    axes, s = "xyz"[:dims], sides(parts)
-    n = nodes(cells, parts, dims).where(F.col("level") == len(parts))
-    found = n
-    for i, a in enumerate(axes):
-        at = F.lit(0).cast("long")
-        for j, k in enumerate(parts, 1):
-            d = F.ascii(F.substring("path", j, 1)) - 48
-            at = at + (div(d, F.lit(k ** (dims - 1 - i))) % k).cast("long") * s[j]
-        found = found.withColumn(a, at).where(F.col(a).between(box[i], box[i + dims]))
-    return found.select(*axes)
+    """Set cells of a closed box: from the root, children that meet the box and whose flags are set are followed by rank."""
+    axes, s, width = "xyz"[:dims], sides(parts), parts[0] ** dims
+    tree = stored(cells, parts, dims)
+    row = cells.sparkSession.createDataFrame([(0, *[0] * dims)], "rank long, " + ", ".join(f"{a} long" for a in axes))
+    for level, k in enumerate(parts, 1):
+        child = row.withColumn("digit", F.explode(F.sequence(F.lit(0), F.lit(width - 1)))).withColumn("pos", F.col("rank") * width + F.col("digit"))
+        for i, a in enumerate(axes):
+            low = F.col(a) + div(F.col("digit"), F.lit(k ** (dims - 1 - i))) % k * s[level]
+            child = child.withColumn(a, low).where((F.col(a) <= box[i + dims]) & (F.col(a) + s[level] - 1 >= box[i]))
+        row = bit_and_rank(child, tree, "pos").where("bit = 1").select("rank", *axes)
+    return row.select(*axes)

@@ -95,7 +95,7 @@ def slab(store: Store, axis: str, low: int, high: int, columns: Sequence[str] =
 
 
 def count_in_box(store: Store, box: Box | None) -> DataFrame:
-    """One row ``n``: shards that lie fully inside add their count, and only those on the boundary are opened."""
+    """One row ``n``: shards that lie fully inside add their count; in others leaves inside do, and only those on the border are opened."""
     box = clamp(box, store.frame.extent) if box else None
     if box is None:
         return store.spark.createDataFrame([(0,)], "n long")
@@ -106,7 +106,7 @@ def count_in_box(store: Store, box: Box | None) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for row in _rows(batches):
-            yield pa.RecordBatch.from_arrays([pa.array([len(kernel.scan(kernel.from_row(row), _relative(box, row))["x"])], pa.int64())], names=["n"])
+            yield pa.RecordBatch.from_arrays([pa.array([kernel.count(kernel.from_row(row), _relative(box, row))], pa.int64())], names=["n"])
 
     counted = rows.where(inside).select(F.col("cnt").alias("n")).unionByName(rows.where(~inside).select(*_components(())).mapInArrow(run, "n long"))
     return counted.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
@@ -129,12 +129,13 @@ def points_in_boxes(store: Store, boxes: DataFrame, where: Ranges = (), columns:
             low, high = np.array([row[f"{a}_min"] for a in "xyz"]), np.array([row[f"{a}_max"] for a in "xyz"])
             mine = all_[((all_[:, 1:4] <= high) & (all_[:, 4:7] >= low)).all(1)]
             tree = kernel.from_row(row)
+            if counts:
+                n = [kernel.count(tree, _relative(tuple(box), row), where) for _, *box in mine.tolist()]
+                yield pa.RecordBatch.from_arrays([pa.array(mine[:, 0]), pa.array(n, pa.int64())], names=["q", "n"])
+                continue
             for q, *box in mine.tolist():
                 got = kernel.scan(tree, _relative(tuple(box), row), where, columns)
-                n = len(got["x"])
-                if counts:
-                    yield pa.RecordBatch.from_arrays([pa.array([q], pa.int64()), pa.array([n], pa.int64())], names=["q", "n"])
-                elif n:
+                if n := len(got["x"]):
                     yield _result(got, row, columns, {"q": pa.array(np.full(n, q))})
 
     rows = store.shards().select(*_components(need), *[f"{a}_{m}" for a in "xyz" for m in ("min", "max")])
@@ -147,14 +148,14 @@ def counts_in_boxes(store: Store, boxes: DataFrame, where: Ranges = ()) -> DataF
     return boxes.select("q").join(n, "q", "left").select("q", F.coalesce("n", F.lit(0).cast("long")).alias("n"))
 
 
-def explain_work(store: Store, box: Box, where: Ranges = ()) -> DataFrame:
-    """What a query looks at: shards, boxes, leaves, points, attribute reads."""
+def explain_work(store: Store, box: Box, where: Ranges = (), stop: str = "none") -> DataFrame:
+    """What a query looks at: shards, boxes, leaves, points, decoded coordinates, attribute reads; ``stop`` as in ``points_in_box``."""
     box = clamp(box, store.frame.extent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for row in _rows(batches):
             w = kernel.Work()
-            kernel.scan(kernel.from_row(row), _relative(box, row), where, stop="none", work=w)
+            kernel.scan(kernel.from_row(row), _relative(box, row), where, stop=stop, work=w)
             yield pa.RecordBatch.from_pylist([{"shards": 1} | asdict(w)])
 
     names = ["shards", *asdict(kernel.Work())]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -150,6 +150,7 @@ class Work:
     boxes_visited: int = 0
     leaves: int = 0
     points_checked: int = 0
+    coordinates_read: int = 0
     points_out: int = 0
     attr_reads: int = 0
 
@@ -211,66 +212,135 @@ def _starts(t: Tree, pos: np.ndarray, level: int) -> np.ndarray:
     return np.zeros(0, np.int64) + size
 
 
-def _code_ranks(lx: np.ndarray, ly: np.ndarray, lz: np.ndarray) -> np.ndarray:
-    """Interleaved codes of local coordinates below 2**21."""
-    out = np.zeros(len(lx), np.uint64)
-    for b in range(21):
-        for a, shift in ((lx, 2), (ly, 1), (lz, 0)):
-            out |= ((a.astype(np.uint64) >> np.uint64(b)) & np.uint64(1)) << np.uint64(3 * b + shift)
+def _codes(local: Sequence[np.ndarray], parts: Sequence[int], side: int) -> np.ndarray:
+    """Numbers that order local coordinates below ``side`` (2**21 at most) like their paths."""
+    x, y, z = (c.astype(np.uint64) for c in local)
+    out, shift = np.zeros(len(x), np.uint64), 0
+    for k in reversed(parts):
+        if 1 << shift >= side:
+            break
+        b, mask = k.bit_length() - 1, np.uint64(k - 1)
+        at = np.uint64(shift)
+        digit = (x >> at & mask) << np.uint64(2 * b) | (y >> at & mask) << np.uint64(b) | z >> at & mask
+        out |= digit << np.uint64(3 * shift)
+        shift += b
     return out
 
 
-def scan(t: Tree, box: Box, where: Sequence[tuple[str, int, int]] = (), columns: Sequence[str] = (), stop: str = "auto", work: Work | None = None) -> dict[str, np.ndarray]:
-    """Points of a closed box relative to the root, in closed ranges of attributes: coordinates and attribute values."""
+def _bound(key: Callable[[np.ndarray, np.ndarray], np.ndarray], start: np.ndarray, end: np.ndarray, least: np.ndarray) -> np.ndarray:
+    """In each sorted range the first position whose key is ``least`` or more, by halving; ``key`` gets positions and ranges."""
+    low, high = start.copy(), end.copy()
+    while len(on := np.flatnonzero(low < high)):
+        middle = (low[on] + high[on]) // 2
+        less = key(middle, on) < least[on]
+        low[on[less]], high[on[~less]] = middle[less] + 1, middle[~less]
+    return low
+
+
+def _narrowed(t: Tree, low: np.ndarray, high: np.ndarray, origin: np.ndarray, side: np.ndarray, start: np.ndarray, end: np.ndarray, stop: str, work: Work) -> tuple[np.ndarray, np.ndarray]:
+    """The part of each leaf's points that a box can hold, by the order they are in; only the probes are decoded."""
+    if not len(start):
+        return start, end
+    axes = 1 if t.order == "lex" else 3
+    long_ = end - start > 2 * axes * np.ceil(np.log2(np.maximum(2, end - start)))  # else halving reads more than it saves
+    if not long_.all():
+        if long_.any():
+            start, end = start.copy(), end.copy()
+            start[long_], end[long_] = _narrowed(t, low, high, origin[long_], side[long_], start[long_], end[long_], stop, work)
+        return start, end
+    corners = [np.clip(c - origin, 0, side[:, None] - 1) for c in (low, high)]
+    if stop == "x" and t.order == "lex":
+        def key(i: np.ndarray, _: np.ndarray) -> np.ndarray:
+            work.coordinates_read += len(i)
+            return t.coordinates[0].get(i).astype(np.int64)
+
+        first, last = (c[:, 0] for c in corners)
+    elif stop == "code" and t.order == "zorder" and (most := int(side.max())) <= 1 << 21:
+        def key(i: np.ndarray, _: np.ndarray) -> np.ndarray:
+            work.coordinates_read += 3 * len(i)
+            return _codes([c.get(i) for c in t.coordinates], t.parts, most)
+
+        first, last = (_codes(c.T, t.parts, most) for c in corners)
+    else:
+        return start, end
+    begin = _bound(key, start, end, first)
+    return begin, _bound(key, begin, end, last + last.dtype.type(1))
+
+
+def _runs(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which range, and all positions of the ranges."""
+    sizes = end - start
+    which = np.repeat(np.arange(len(start)), sizes)
+    return which, np.repeat(start - np.cumsum(sizes) + sizes, sizes) + np.arange(sizes.sum())
+
+
+def scan(t: Tree, box: Box, where: Sequence[tuple[str, int, int]] = (), columns: Sequence[str] = (), stop: str = "auto", work: Work | None = None, coordinates: bool = True) -> dict[str, np.ndarray]:
+    """Points of a closed box relative to the root, in closed ranges of attributes: coordinates and attribute values.
+
+    Without ``coordinates`` those of leaves that lie inside the box are not read at all.
+    """
     work = work or Work()
     ordinal, origin, side, inside = descend(t, box, work)
     start, end = leaf_range(t.tally, ordinal) if len(ordinal) else (np.zeros(0, np.int64),) * 2
     work.leaves += len(ordinal)
-    sizes = end - start
-    leaf = np.repeat(np.arange(len(ordinal)), sizes)
-    i = np.repeat(start - np.cumsum(sizes) + sizes, sizes) + np.arange(sizes.sum())
-    local = np.zeros((len(i), 3), np.int64)
-    has = i < t.stored
     low, high = np.array(box[:3]), np.array(box[3:])
-    alive = np.ones(len(i), bool)
-    test = has & ~inside[leaf]
     stop = {"auto": "x" if t.order == "lex" else "code"}.get(stop, stop)
-    local[has, 0] = t.coordinates[0].get(i[has])
-    if stop == "x" and t.order == "lex" and len(i):  # points behind the first with x beyond the box are not checked
-        beyond = test & (local[:, 0] + origin[leaf, 0] > high[0])
-        alive &= ~beyond
-        checked = alive | (beyond & ~np.concatenate([[False], (beyond[:-1] & (leaf[1:] == leaf[:-1]))]))
-        work.points_checked += int((checked & test).sum())
-    x_ok = ~test | ((local[:, 0] + origin[leaf, 0] >= low[0]) & (local[:, 0] + origin[leaf, 0] <= high[0]))
-    need = alive if stop == "none" or (stop == "code" and len(t.parts) and max(side, default=1) < 1 << 21) else alive & x_ok
-    for a in (1, 2):
-        on = need & has
-        local[on, a] = t.coordinates[a].get(i[on])
-    if stop == "code" and len(i) and side.max() <= 1 << 21 and all(k == 2 for k in t.parts):
-        code = _code_ranks(*local.T)
-        corner = lambda c: np.clip(c - origin, 0, side[:, None] - 1)
-        first, last = _code_ranks(*corner(low).T)[leaf], _code_ranks(*corner(high).T)[leaf]
-        window = (code >= first) & (code <= last)
-        work.points_checked += int((test & window).sum())
-        alive &= ~test | window
-    elif stop != "x" or t.order != "lex":
-        work.points_checked += int(test.sum())
-    place = local + origin[leaf]
-    hit = alive & (~test | ((place >= low) & (place <= high)).all(1))
-    i, place = i[hit], place[hit]
+    part = np.flatnonzero(~inside)  # leaves of single cells meet a box only inside it
+    which, i = _runs(*_narrowed(t, low, high, origin[part], side[part], start[part], end[part], stop, work))
+    leaf = part[which]
+    work.points_checked += len(i)
+    place = np.zeros((len(i), 3), np.int64)
+    for a in range(3):  # an axis is read for what the axes before have left
+        work.coordinates_read += len(i)
+        place[:, a] = t.coordinates[a].get(i).astype(np.int64) + origin[leaf, a]
+        ok = (place[:, a] >= low[a]) & (place[:, a] <= high[a])
+        i, leaf, place = i[ok], leaf[ok], place[ok]
+    full = np.flatnonzero(inside)
+    which, j = _runs(start[full], end[full])
+    if coordinates:
+        more = origin[full[which]].astype(np.int64).reshape(-1, 3)
+        has = j < t.stored
+        for a in range(3):
+            more[has, a] += t.coordinates[a].get(j[has]).astype(np.int64)
+        work.coordinates_read += 3 * int(has.sum())
+        place = np.concatenate([place, more])
+    i = np.concatenate([i, j])
     values: dict[str, np.ndarray] = {}
     for name, lo, hi in where:
         v = t.attributes[name].get(i)
         work.attr_reads += len(i)
         ok = (v >= lo) & (v <= hi)
-        i, place = i[ok], place[ok]
+        i, place = i[ok], place[ok] if coordinates else place
         values = {n: c[ok] for n, c in values.items()} | {name: v[ok]}
     for name in columns:
         if name not in values:
             values[name] = t.attributes[name].get(i)
             work.attr_reads += len(i)
     work.points_out += len(i)
-    return {"x": place[:, 0], "y": place[:, 1], "z": place[:, 2]} | {n: values[n] for n in columns} | {"_position": i}
+    return ({a: place[:, k] for k, a in enumerate("xyz")} if coordinates else {}) | {n: values[n] for n in columns} | {"_position": i}
+
+
+def count(t: Tree, box: Box, where: Sequence[tuple[str, int, int]] = (), work: Work | None = None) -> int:
+    """Points of a box: leaves inside it add the lengths of their ranges, and only those on its border are looked at."""
+    if where:
+        return len(scan(t, box, where, work=work, coordinates=False)["_position"])
+    work = work or Work()
+    ordinal, origin, side, inside = descend(t, box, work)
+    work.leaves += len(ordinal)
+    if not len(ordinal):
+        return 0
+    start, end = leaf_range(t.tally, ordinal)
+    n = int((end - start)[inside].sum())
+    low, high, part = np.array(box[:3]), np.array(box[3:]), np.flatnonzero(~inside)
+    which, i = _runs(*_narrowed(t, low, high, origin[part], side[part], start[part], end[part], "x" if t.order == "lex" else "code", work))
+    leaf = part[which]
+    work.points_checked += len(i)
+    for a in range(3):
+        work.coordinates_read += len(i)
+        v = t.coordinates[a].get(i).astype(np.int64) + origin[leaf, a]
+        ok = (v >= low[a]) & (v <= high[a])
+        i, leaf = i[ok], leaf[ok]
+    return n + len(i)
 
 
 def point_at(t: Tree, i: int) -> dict[str, int]:

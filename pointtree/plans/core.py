@@ -13,7 +13,7 @@ from ..config import TreeConfig
 from ..functions import mlv, quantize
 from ..functions.paths import packed_path, path_of, with_box
 from ..functions.quantize import Fixed, fit_frame
-from ..operators import baselines, bittree, leaves, measures, query, topology
+from ..operators import baselines, bittree, bitvec, leaves, measures, query, topology
 from ..operators.topology import ordered_index
 from ..sources import clouds
 from ..sources import store as stores
@@ -287,34 +287,31 @@ def _flags(spark: SparkSession, d: str) -> DataFrame:
 
 @registered("bitvec_blocks", BITS_SQL + " SELECT i // 32768 AS block, CAST(sum(bit) AS BIGINT) AS ones, CAST(coalesce(sum(sum(bit)) OVER (ORDER BY i // 32768 ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS ones_before FROM f GROUP BY i // 32768")
 def bitvec_blocks(spark: SparkSession, d: str) -> DataFrame:
-    b = bit_blocks(_flags(spark, d))
-    return b.select("block", F.bitmap_count("words").alias("ones"), "ones_before")
-
-
-def bit_blocks(flags: DataFrame) -> DataFrame:
-    """``flags(i, bit)`` as blocks of 32,768 bits with the ones before each; the directory is a window over blocks."""
-    on = flags.select(F.call_function("div", F.col("i"), F.lit(32768)).alias("block"), F.when(F.col("bit") == 1, F.bitmap_bit_position(F.col("i") + 1)).alias("p"))
-    words = on.groupBy("block").agg(F.bitmap_construct_agg("p").alias("words"))
-    return words.withColumn("ones_before", F.coalesce(F.sum(F.bitmap_count("words")).over(Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    return bitvec.bit_blocks(_flags(spark, d)).select("block", "ones", "ones_before")
 
 
 @registered("rank_probe", BITS_SQL + " SELECT p.range * 97 AS i, CAST((SELECT coalesce(sum(bit), 0) FROM f WHERE f.i < p.range * 97) AS BIGINT) AS rank1 FROM range(0, 100) p WHERE p.range * 97 < (SELECT count(*) FROM f)")
 def rank_probe(spark: SparkSession, d: str) -> DataFrame:
-    """Ones in [0, i): the ones before i's block, and those of its part of the block."""
+    """Ones in [0, i) for a few positions: the ones before i's block, and those of its part of the block."""
+    flags = _flags(spark, d)
+    probes = spark.range(100).select((F.col("id") * 97).alias("i")).join(flags.select("i"), "i", "left_semi")
+    return bitvec.bit_and_rank(probes, bitvec.bit_blocks(flags), "i").select("i", (F.col("rank") - F.col("bit")).alias("rank1"))
+
+
+@registered("rank_all", BITS_SQL + " SELECT i, bit, CAST(sum(bit) OVER (ORDER BY i) - bit AS BIGINT) AS rank1 FROM f")
+def rank_all(spark: SparkSession, d: str) -> DataFrame:
+    """Access and rank at every position, from the blocks alone."""
     flags = _flags(spark, d)
-    b = bit_blocks(flags)
-    n = flags.count()
-    probes = spark.range(100).select((F.col("id") * 97).alias("i")).where(F.col("i") < n).withColumn("block", F.call_function("div", F.col("i"), F.lit(32768)))
-    left = (F.col("i") % 32768).cast("int")
-    whole = F.call_function("div", left, F.lit(8)).cast("int")
-    ones = F.aggregate(F.transform(F.sequence(F.lit(1), F.greatest(whole, F.lit(1))), lambda k: F.when(k <= whole, F.bit_count(F.conv(F.hex(F.substring("words", k, F.lit(1))), 16, 10).cast("long"))).otherwise(0)), F.lit(0), lambda a, v: a + v)
-    part = F.bit_count(F.coalesce(F.conv(F.hex(F.substring("words", whole + 1, F.lit(1))), 16, 10).cast("long"), F.lit(0)).bitwiseAND(F.expr("cast(power(2, (i % 32768) % 8) as bigint)") - 1))
-    return probes.join(F.broadcast(b), "block").select("i", (F.col("ones_before") + ones + part).alias("rank1"))
+    got = bitvec.bit_and_rank(flags.select("i"), cut(bitvec.bit_blocks(flags)), "i")
+    return got.select("i", "bit", (F.col("rank") - F.col("bit")).alias("rank1"))
 
 
 @registered("select_probe", BITS_SQL + " SELECT CAST(row_number() OVER (ORDER BY i) - 1 AS BIGINT) AS j, i AS select1 FROM f WHERE bit = 1")
 def select_probe(spark: SparkSession, d: str) -> DataFrame:
-    return ordered_index(_flags(spark, d).where("bit = 1"), "i", name="j").select("j", F.col("i").alias("select1"))
+    """Every one by its number, from the blocks alone."""
+    blocks = cut(bitvec.bit_blocks(_flags(spark, d)))
+    n = blocks.agg(F.coalesce(F.sum("ones"), F.lit(0))).first()[0]
+    return bitvec.select(spark.range(n).withColumnRenamed("id", "j"), blocks)
 
 
 @registered("mlv_size", W + sql_leaf_points("flat") + " SELECT CAST(length(bin(lx)) AS INTEGER) AS bits, count(*) AS n FROM lp GROUP BY 1")

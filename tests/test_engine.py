@@ -154,3 +154,52 @@ def test_whole_tables_of_paths_and_maps(spark, sf):
 def test_every_value_out_of_codes(spark, sf):
     assert len(against_sql(spark, sf, "mlv_access_all")) == spark.read.parquet(f"{sf}/orders.parquet").count()
     against_sql(spark, sf, "mlv_access")
+
+
+def test_early_stop_decodes_less():
+    import numpy as np
+
+    from pointtree.operators import shards
+
+    rng = np.random.default_rng(1)
+    x, y, z = rng.integers(0, 256, (3, 4000))
+    for parts, order, stop in (((2,) * 8, "zorder", "code"), ((4,) * 4, "zorder", "code"), ((2,) * 8, "lex", "x"), ((4, 2, 4, 2, 4), "zorder", "code")):
+        t = shards.pack(x, y, z, np.arange(4000), {}, parts, 200, order)
+        read, checked = {"none": 0, stop: 0}, {"none": 0, stop: 0}
+        for _ in range(20):
+            low = rng.integers(0, 200, 3)
+            box = (*low.tolist(), *(low + 12).tolist())
+            want = sorted((a, b, c) for a, b, c in zip(x, y, z, strict=True) if all(lo <= v <= lo + 12 for lo, v in zip(low, (a, b, c), strict=True)))
+            for mode in ("none", stop):
+                w = shards.Work()
+                got = shards.scan(t, box, stop=mode, work=w)
+                assert sorted(zip(got["x"], got["y"], got["z"], strict=True)) == want and shards.count(t, box) == len(want) == w.points_out
+                read[mode] += w.coordinates_read
+                checked[mode] += w.points_checked
+        assert checked[stop] < 0.8 * checked["none"] and read[stop] < 0.95 * read["none"]
+
+
+def test_crowded_cells_are_dealt_to_pieces(spark):
+    rows_ = [(i, 3, 3, 3, i) for i in range(500)] + [(500 + i, i % 8, i // 8 % 8, 5, i) for i in range(64)]
+    p = spark.createDataFrame(rows_, "pid long, x long, y long, z long, v int")
+    c = TreeConfig(leaf_limit=4, shard_points=60)
+    frame = Frame(Fixed(), (0, 0, 0), (7, 7, 7), len(rows_))
+    s = store.build(p, frame, c, ("v",))
+    assert s.shards().agg(F.max("cnt")).first()[0] < 110 and s.shards().where("piece > 0").count() > 4
+    assert rows(query.scan_all(s)) == sorted(r[1:] for r in rows_)
+    assert query.count_in_box(s, (3, 3, 3, 3, 3, 5)).first()[0] == 501
+    table = leaves.build(p, c, frame.parts(c), ("v",))
+    assert table.agg(F.max("cnt")).first()[0] < 110 and rows(leaves.points_in_box(table, (0, 0, 0, 7, 7, 7), ("v",))) == sorted(r[1:] for r in rows_)
+
+
+def test_rank_and_select_over_blocks(spark):
+    from pointtree.operators import bitvec
+
+    r = random.Random(3)
+    on = sorted(r.sample(range(100_000), 700)) + list(range(70_000, 70_050))
+    on = sorted(set(on))
+    flags = spark.range(100_000).select(F.col("id").alias("i"), F.col("id").isin(on).cast("int").alias("bit"))
+    blocks = bitvec.bit_blocks(flags)
+    got = rows(bitvec.bit_and_rank(spark.createDataFrame([(i,) for i in (0, 32767, 32768, 65535, 70_020, 99_999, on[0], on[-1], 100_000 + 32768)], "i long"), blocks, "i").where("bit is not null").select("i", "bit", "rank"))
+    assert got == sorted((i, int(i in on), sum(j <= i for j in on)) for i in {0, 32767, 32768, 65535, 70_020, 99_999, on[0], on[-1]})
+    assert rows(bitvec.select(spark.range(len(on) + 5).withColumnRenamed("id", "j"), blocks)) == list(enumerate(on))
