@@ -19,11 +19,14 @@ from pyspark.sql import functions as F
 
 #: Bytes of words and their hashes that a Python worker keeps before it starts over, and what an entry takes besides its key.
 HASH_BYTES, ENTRY_BYTES = 48 << 20, 180
+#: A setting of the session that may be changed at any time.
+ARROW_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
 _MASK = (1 << 64) - 1
 _BASES = (0x9E3779B97F4A7C13, 0xC2B2AE3D27D4EB4B)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_arrow(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -38,9 +41,16 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
+def small_arrow(spark: SparkSession) -> None:
+    """Whole texts go to Python: unless the session says otherwise, in batches of fewer rows than Spark's usual 10,000."""
+    if spark.conf.get(ARROW_ROWS, "10000") == "10000":
+        spark.conf.set(ARROW_ROWS, "2000")
+
+
 def store(df: DataFrame, name: str = "table") -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it again: cuts lineage, survives lost executors."""
     spark = df.sparkSession
+    small_arrow(spark)
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
@@ -58,10 +68,13 @@ def release(*tables: DataFrame) -> None:
 
 
 class Bounded(dict):
-    """A cache of a worker that starts over at a number of bytes, and whenever the worker comes to another stage."""
+    """A cache of a worker that starts over at a number of bytes, and whenever the worker comes to another stage.
+
+    One that is ``quick`` to fill goes with each task: Spark keeps more workers than run at a time.
+    """
 
-    def __init__(self, most: int):
-        self.most, self.held = most, 0
+    def __init__(self, most: int, quick: bool = True):
+        self.most, self.held, self.quick = most, 0, quick
         _caches.add(self)
 
     __hash__ = object.__hash__  # type: ignore[assignment]
@@ -92,6 +105,14 @@ def begin() -> None:
         give_back()
 
 
+def end() -> None:
+    """To be called where a task ends: caches that are quick to fill go."""
+    for cache in list(_caches):
+        if cache.quick:
+            cache.drop()
+    give_back()
+
+
 def give_back() -> None:
     """What allocators hold unused goes back to the system: a worker lives on through many stages."""
     pa.default_memory_pool().release_unused()
@@ -196,6 +217,7 @@ def by_batch(fn: Callable[[pa.RecordBatch], pa.RecordBatch], rows: int = 512) ->
         begin()
         for b in small_batches(batches, rows):
             yield fn(b)
+        end()
 
     return run
 

@@ -31,8 +31,8 @@ _encoders: dict[str, Encoder] = {}
 class Generations(Bounded):
     """A bounded cache: a full generation becomes the old one; what is used again moves to the new one."""
 
-    def __init__(self, make: Callable[[str], bytes | None], most: int):
-        super().__init__(most)
+    def __init__(self, make: Callable[[str], bytes | None], most: int, quick: bool):
+        super().__init__(most, quick)
         self.make, self.old = make, {}
 
     def drop(self) -> None:
@@ -85,7 +85,7 @@ class Encoder:
             b: s[1] for b in range(128, 192) if (s := seen.pre_tokenize_str(bytes([0xC3, b]).decode())[0][0])} | {
             b: s[0] for b in range(0xC3, 0xCA) if (s := seen.pre_tokenize_str(bytes([b, 0x81]).decode())[0][0])} | {0xC2: seen.pre_tokenize_str("¡")[0][0][0]}
         self.four = [i.to_bytes(4, "little") for i in range(self.tokenizer.get_vocab_size())]
-        self.word, self.piece = Generations(self._word, WORD_BYTES), Generations(self._piece, PIECE_BYTES)
+        self.word, self.piece = Generations(self._word, WORD_BYTES, False), Generations(self._piece, PIECE_BYTES, False)
 
     def _piece(self, piece: str) -> bytes:
         raw = piece.replace(" ", self.alphabet[32]) if piece.isascii() and piece.isprintable() else piece.encode().decode("latin-1").translate(self.alphabet)

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import regions as metric
-from .common import begin, by_batch, components, lists, release, rolling, signed, small_batches, store, table, text_bytes, word_hashes
+from .common import begin, by_batch, components, end, lists, release, rolling, signed, small_batches, store, table, text_bytes, word_hashes
 
 SHINGLE = 5
 #: Similarity in per cent at which two sets link.
@@ -65,6 +65,7 @@ def _sketch(k: int):
             for t in text_bytes(b.column(0)):
                 counts += np.bincount(_bucket(rolling(word_hashes((t or b"").translate(FOLD).split()), k)), minlength=len(counts))
         at = np.flatnonzero(counts)
+        end()
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], names=["bucket", "n"])
 
     return run
