@@ -45,22 +45,16 @@ def _put(chunks: np.ndarray, width: int) -> np.ndarray:
 
 def _take(raw: np.ndarray, i: np.ndarray, width: int) -> np.ndarray:
     at = i * width
-    byte, shift = at >> 3, at & 7
-    out = np.zeros(len(i), np.uint64)
-    need = (width + 14) // 8
-    if need > 8:  # wide chunks in two halves
+    if width > 57:  # wide chunks in two halves
         half = width // 2
         return (_bits(raw, at, half) << np.uint64(width - half)) | _bits(raw, at + half, width - half)
-    for k in range(need):
-        out = (out << np.uint64(8)) | raw[byte + k].astype(np.uint64)
-    return (out >> (need * 8 - shift - width).astype(np.uint64)) & np.uint64((1 << width) - 1)
+    return _bits(raw, at, width)
 
 
 def _bits(raw: np.ndarray, at: np.ndarray, width: int) -> np.ndarray:
-    need, out = (width + 14) // 8, np.zeros(len(at), np.uint64)
-    for k in range(need):
-        out = (out << np.uint64(8)) | raw[(at >> 3) + k].astype(np.uint64)
-    return (out >> (need * 8 - (at & 7) - width).astype(np.uint64)) & np.uint64((1 << width) - 1)
+    """Up to 57 bits from any bit on: eight bytes are read as one number, and what is before and behind is shifted out."""
+    words = np.ndarray((max(0, len(raw) - 7),), ">u8", raw, strides=(1,))[at >> 3].astype(np.uint64)
+    return (words << (at & 7).astype(np.uint64)) >> np.uint64(64 - width)
 
 
 class Mlv:

@@ -117,6 +117,90 @@ def quad_cells(numbered: DataFrame, parts: tuple[int, ...], most: int) -> DataFr
     return by.agg(F.min("x").alias("x_min"), F.max("x").alias("x_max"), F.min("y").alias("y_min"), F.max("y").alias("y_max"), F.collect_set("block").alias("blocks"))
 
 
+def strips(points: DataFrame, extent: Sequence[int], count: int) -> DataFrame:
+    """Points with ``strip``, the flight strip over x that they lie in: acquisition goes strip by strip along y."""
+    return points.withColumn("strip", F.call_function("div", F.col("x") * count, F.lit(extent[0] + 1)))
+
+
+#: Acquisition order of points with strips; blocks of this order are compact in space.
+ACQUIRED = ("strip", "y", "x", "pid")
+#: Boxes of a batch at most: they are sent to all tasks.
+MOST_BOXES = 10_000
+
+
+def _asked(boxes: DataFrame) -> np.ndarray:
+    rows = [tuple(r) for r in boxes.select("q", "xi", "yi", "zi", "xe", "ye", "ze").limit(MOST_BOXES + 1).collect()]
+    if len(rows) > MOST_BOXES:
+        raise ValueError(f"more than {MOST_BOXES} boxes: join them with the leaf table (surround.join_boxes)")
+    return np.array(rows, np.int64).reshape(-1, 7)
+
+
+def count_each(asked: np.ndarray, columns: dict[str, np.ndarray], where: Sequence[tuple[str, int, int]] = ()) -> tuple[np.ndarray, np.ndarray]:
+    """``q`` and the points of each box among the given ones."""
+    on = np.ones(len(columns["x"]), bool)
+    for a, lo, hi in where:
+        on &= (columns[a] >= lo) & (columns[a] <= hi)
+    p = np.stack([columns[a][on] for a in "xyz"], 1)
+    if not len(p):
+        return asked[:0, 0], asked[:0, 0]
+    mine = asked[((asked[:, 1:4] <= p.max(0)) & (asked[:, 4:7] >= p.min(0))).all(1)]
+    n = [int(((p >= b[1:4]) & (p <= b[4:7])).all(1).sum()) for b in mine]
+    return mine[:, 0], np.array(n, np.int64)
+
+
+def _totals(boxes: DataFrame, found: DataFrame) -> DataFrame:
+    n = found.groupBy("q").agg(F.sum("n").alias("n"))
+    return boxes.select("q").join(n, "q", "left").select("q", F.coalesce("n", F.lit(0).cast("long")).alias("n"))
+
+
+def counts_in_points(points: DataFrame, boxes: DataFrame, where: Sequence[tuple[str, int, int]] = ()) -> DataFrame:
+    """``q, n`` for every box over plain points (raw records, sorted Parquet): every point is tested once, in batches."""
+    shared = points.sparkSession.sparkContext.broadcast(_asked(boxes))
+    names = [*"xyz", *dict.fromkeys(w[0] for w in where)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            q, n = count_each(shared.value, {c: b.column(c).to_numpy() for c in names}, where)
+            yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(n)], names=["q", "n"])
+
+    return _totals(boxes, points.select(*names).mapInArrow(run, "q long, n long"))
+
+
+def met_blocks(b: Blocks, asked: np.ndarray) -> DataFrame:
+    """``block, qs``: the boxes that lead to each block by cells that they meet in x and y."""
+    shared = b.spark.sparkContext.broadcast(asked)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for c in batches:
+            low, high = (np.stack([c.column(f"{a}_{m}").to_numpy() for a in "xy"], 1) for m in ("min", "max"))
+            blocks, qs = [], []
+            for i, held in enumerate(c.column("blocks").to_pylist()):
+                mine = np.flatnonzero(((shared.value[:, 1:3] <= high[i]) & (shared.value[:, 4:6] >= low[i])).all(1))
+                blocks.append(np.repeat(np.array(held, np.int64), len(mine)))
+                qs.append(np.tile(mine, len(held)))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(blocks)), pa.array(np.concatenate(qs).astype(np.int64))], names=["block", "at"])
+
+    pairs = b.cells().mapInArrow(run, "block long, at long").distinct()
+    return pairs.groupBy("block").agg(F.collect_list("at").alias("qs"))  # as many as there are boxes at most
+
+
+def counts_in_blocks(b: Blocks, boxes: DataFrame, where: Sequence[tuple[str, int, int]] = ()) -> DataFrame:
+    """``q, n`` for every box; each block that some box leads to is decoded once, and tested with its boxes."""
+    asked = _asked(boxes)
+    shared = b.spark.sparkContext.broadcast(asked)
+    names = [*"xyz", *dict.fromkeys(w[0] for w in where)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in batches:
+            for i in range(t.num_rows):
+                got = {n: _sums(t.column(f"d_{n}")[i].as_py()) for n in names}
+                q, n = count_each(shared.value[np.array(t.column("qs")[i].as_py())], got, where)
+                yield pa.RecordBatch.from_arrays([pa.array(q), pa.array(n)], names=["q", "n"])
+
+    rows = b.blocks().hint("merge").join(met_blocks(b, asked), "block").select("qs", *[f"d_{n}" for n in names])
+    return _totals(boxes, rows.mapInArrow(run, "q long, n long"))
+
+
 def candidate_blocks(b: Blocks, box: Box) -> DataFrame:
     """Blocks that a cell which meets the box in x and y leads to; the third axis is not indexed."""
     met = b.cells().where((F.col("x_min") <= box[3]) & (F.col("x_max") >= box[0]) & (F.col("y_min") <= box[4]) & (F.col("y_max") >= box[1]))
@@ -147,10 +231,10 @@ def block_work(b: Blocks, box: Box) -> DataFrame:
     return b.blocks().join(candidate_blocks(b, box), "block", "left_semi").agg(F.count("*").alias("blocks_decoded"), F.coalesce(F.sum("cnt"), F.lit(0)).alias("points_decoded"))
 
 
-def write_sorted(points: DataFrame, parts: tuple[int, ...], path: str | None = None, files: int = 8) -> str:
-    """Spark's own way: Parquet in path order, pruned by the bounds of its row groups."""
+def write_sorted(points: DataFrame, parts: tuple[int, ...], path: str | None = None, files: int | None = None) -> str:
+    """Spark's own way: Parquet in path order, pruned by the bounds of its row groups; as many files as shuffle partitions, or as asked for."""
     path = path or f"{shared_dir(points.sparkSession)}/sorted-{uuid.uuid4().hex}"
-    points.withColumn("path", path_of(parts)).repartitionByRange(files, "path").sortWithinPartitions("path").drop("path").write.option("parquet.block.size", 1 << 20).parquet(path)
+    points.withColumn("path", path_of(parts)).repartitionByRange(*([files] if files else []), "path").sortWithinPartitions("path").drop("path").write.option("parquet.block.size", 1 << 20).parquet(path)
     return path
 
 

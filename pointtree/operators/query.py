@@ -106,7 +106,7 @@ def count_in_box(store: Store, box: Box | None) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for row in _rows(batches):
-            yield pa.RecordBatch.from_arrays([pa.array([kernel.count(kernel.from_row(row), _relative(box, row))], pa.int64())], names=["n"])
+            yield pa.RecordBatch.from_arrays([pa.array(kernel.count(kernel.from_row(row), [_relative(box, row)]))], names=["n"])
 
     counted = rows.where(inside).select(F.col("cnt").alias("n")).unionByName(rows.where(~inside).select(*_components(())).mapInArrow(run, "n long"))
     return counted.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
@@ -130,8 +130,8 @@ def points_in_boxes(store: Store, boxes: DataFrame, where: Ranges = (), columns:
             mine = all_[((all_[:, 1:4] <= high) & (all_[:, 4:7] >= low)).all(1)]
             tree = kernel.from_row(row)
             if counts:
-                n = [kernel.count(tree, _relative(tuple(box), row), where) for _, *box in mine.tolist()]
-                yield pa.RecordBatch.from_arrays([pa.array(mine[:, 0]), pa.array(n, pa.int64())], names=["q", "n"])
+                origin = np.array([row[f"{a}0"] for a in "xyz"] * 2)
+                yield pa.RecordBatch.from_arrays([pa.array(mine[:, 0]), pa.array(kernel.count(tree, mine[:, 1:] - origin, where))], names=["q", "n"])
                 continue
             for q, *box in mine.tolist():
                 got = kernel.scan(tree, _relative(tuple(box), row), where, columns)

@@ -12,6 +12,8 @@ from ..functions.mlv import Mlv, encode, unzigzag, zigzag
 from ..functions.succinct import BitVec, leaf_range, tally
 
 Box = tuple[int, int, int, int, int, int]
+#: Boxes that are followed together.
+TOGETHER = 64
 
 
 def digits(x: np.ndarray, y: np.ndarray, z: np.ndarray, k: int, side: int) -> np.ndarray:
@@ -155,22 +157,23 @@ class Work:
     attr_reads: int = 0
 
 
-def descend(t: Tree, box: Box, work: Work) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Occupied leaves that meet a box given relative to the root: ordinals, origins (n, 3), sides, and whether fully inside."""
-    low, high = np.array(box[:3]), np.array(box[3:])
-    s = sides(t.parts)
+def descend(t: Tree, low: np.ndarray, high: np.ndarray, work: Work) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Occupied leaves that meet boxes ``low, high`` of shape (n, 3), given relative to the root, all boxes a level at a time.
+
+    Gives of each pair the box, the leaf's ordinal, origin and side, and whether it lies fully inside.
+    """
+    s, m = sides(t.parts), len(low)
     if t.root_leaf:
-        n = 1 if t.points else 0
-        work.boxes_visited += 1
-        side = np.full(n, s[0])
-        inside = np.full(n, bool((low <= 0).all() and (high >= s[0] - 1).all()))
-        return np.zeros(n, np.int64), np.zeros((n, 3), np.int64), side, inside
-    child, origin = np.array([0]), np.zeros((1, 3), np.int64)
+        q = np.arange(m if t.points else 0)
+        work.boxes_visited += m
+        inside = (low <= 0).all(1) & (high >= s[0] - 1).all(1)
+        return q, np.zeros(len(q), np.int64), np.zeros((len(q), 3), np.int64), np.full(len(q), s[0]), inside[: len(q)]
+    q, child, origin = np.arange(m), np.zeros(m, np.int64), np.zeros((m, 3), np.int64)
     found: list[tuple[np.ndarray, ...]] = []
     for level, k in enumerate(t.parts, 1):
         side = s[level]
-        a = np.clip((low - origin) // side, 0, k)
-        b = np.clip((high - origin) // side, -1, k - 1)
+        a = np.clip((low[q] - origin) // side, 0, k)
+        b = np.clip((high[q] - origin) // side, -1, k - 1)
         n = np.maximum(b - a + 1, 0)
         each = n.prod(1)
         box_of = np.repeat(np.arange(len(child)), each)
@@ -178,24 +181,25 @@ def descend(t: Tree, box: Box, work: Work) -> tuple[np.ndarray, np.ndarray, np.n
         nz, ny = n[box_of, 2], n[box_of, 1]
         d = np.stack([i // np.maximum(nz * ny, 1), i // np.maximum(nz, 1) % np.maximum(ny, 1), i % np.maximum(nz, 1)], 1) + a[box_of]
         pos = child[box_of] + d[:, 0] * k * k + d[:, 1] * k + d[:, 2]
-        at = origin[box_of] + d * side
+        at, q = origin[box_of] + d * side, q[box_of]
         work.boxes_visited += len(pos)
+        mine = q
         if level < len(t.parts):
             on = t.branch.get(pos) if len(pos) else np.zeros(0, bool)
             h = t.branch.rank0(pos[~on])
             child, origin = (t.branch.rank1(pos[on]) + 1) * t.parts[level] ** 3, at[on]
             if any(p != t.parts[0] for p in t.parts):  # children of earlier levels may be fewer or more
                 child = _starts(t, pos[on], level)
-            at = at[~on]
+            at, mine, q = at[~on], q[~on], q[on]
         else:
             h = pos - t.branch.ones
         keep = t.occupied.get(h) if len(h) else np.zeros(0, bool)
-        found.append((t.occupied.rank1(h[keep]), at[keep], np.full(keep.sum(), side)))
+        found.append((mine[keep], t.occupied.rank1(h[keep]), at[keep], np.full(keep.sum(), side)))
         if level < len(t.parts) and not len(child):
             break
-    ordinal, at, side = (np.concatenate(c) for c in zip(*found, strict=True))
-    inside = ((at >= low).all(1) & (at + side[:, None] - 1 <= high).all(1)) if len(at) else np.zeros(0, bool)
-    return ordinal, at, side, inside
+    q, ordinal, at, side = (np.concatenate(c) for c in zip(*found, strict=True))
+    inside = ((at >= low[q]).all(1) & (at + side[:, None] - 1 <= high[q]).all(1)) if len(at) else np.zeros(0, bool)
+    return q, ordinal, at, side, inside
 
 
 def _starts(t: Tree, pos: np.ndarray, level: int) -> np.ndarray:
@@ -212,9 +216,21 @@ def _starts(t: Tree, pos: np.ndarray, level: int) -> np.ndarray:
     return np.zeros(0, np.int64) + size
 
 
+#: Shifts and masks that move the 21 low bits of a number to every third place.
+SPREAD = ((32, 0x1F00000000FFFF), (16, 0x1F0000FF0000FF), (8, 0x100F00F00F00F00F), (4, 0x10C30C30C30C30C3), (2, 0x1249249249249249))
+
+
+def _spread(v: np.ndarray) -> np.ndarray:
+    for by, mask in SPREAD:
+        v = (v | v << np.uint64(by)) & np.uint64(mask)
+    return v
+
+
 def _codes(local: Sequence[np.ndarray], parts: Sequence[int], side: int) -> np.ndarray:
     """Numbers that order local coordinates below ``side`` (2**21 at most) like their paths."""
     x, y, z = (c.astype(np.uint64) for c in local)
+    if all(k == 2 for k in parts):
+        return _spread(x) << np.uint64(2) | _spread(y) << np.uint64(1) | _spread(z)
     out, shift = np.zeros(len(x), np.uint64), 0
     for k in reversed(parts):
         if 1 << shift >= side:
@@ -246,9 +262,9 @@ def _narrowed(t: Tree, low: np.ndarray, high: np.ndarray, origin: np.ndarray, si
     if not long_.all():
         if long_.any():
             start, end = start.copy(), end.copy()
-            start[long_], end[long_] = _narrowed(t, low, high, origin[long_], side[long_], start[long_], end[long_], stop, work)
+            start[long_], end[long_] = _narrowed(t, low[long_], high[long_], origin[long_], side[long_], start[long_], end[long_], stop, work)
         return start, end
-    corners = [np.clip(c - origin, 0, side[:, None] - 1) for c in (low, high)]
+    corners = [np.clip(c - origin, 0, side[:, None] - 1) for c in (low, high)]  # a row for each leaf
     if stop == "x" and t.order == "lex":
         def key(i: np.ndarray, _: np.ndarray) -> np.ndarray:
             work.coordinates_read += len(i)
@@ -280,13 +296,14 @@ def scan(t: Tree, box: Box, where: Sequence[tuple[str, int, int]] = (), columns:
     Without ``coordinates`` those of leaves that lie inside the box are not read at all.
     """
     work = work or Work()
-    ordinal, origin, side, inside = descend(t, box, work)
+    low, high = np.array(box[:3]), np.array(box[3:])
+    _, ordinal, origin, side, inside = descend(t, low[None], high[None], work)
     start, end = leaf_range(t.tally, ordinal) if len(ordinal) else (np.zeros(0, np.int64),) * 2
     work.leaves += len(ordinal)
-    low, high = np.array(box[:3]), np.array(box[3:])
     stop = {"auto": "x" if t.order == "lex" else "code"}.get(stop, stop)
     part = np.flatnonzero(~inside)  # leaves of single cells meet a box only inside it
-    which, i = _runs(*_narrowed(t, low, high, origin[part], side[part], start[part], end[part], stop, work))
+    wide = [np.broadcast_to(c, (len(part), 3)) for c in (low, high)]
+    which, i = _runs(*_narrowed(t, *wide, origin[part], side[part], start[part], end[part], stop, work))
     leaf = part[which]
     work.points_checked += len(i)
     place = np.zeros((len(i), 3), np.int64)
@@ -320,27 +337,44 @@ def scan(t: Tree, box: Box, where: Sequence[tuple[str, int, int]] = (), columns:
     return ({a: place[:, k] for k, a in enumerate("xyz")} if coordinates else {}) | {n: values[n] for n in columns} | {"_position": i}
 
 
-def count(t: Tree, box: Box, where: Sequence[tuple[str, int, int]] = (), work: Work | None = None) -> int:
-    """Points of a box: leaves inside it add the lengths of their ranges, and only those on its border are looked at."""
-    if where:
-        return len(scan(t, box, where, work=work, coordinates=False)["_position"])
-    work = work or Work()
-    ordinal, origin, side, inside = descend(t, box, work)
-    work.leaves += len(ordinal)
-    if not len(ordinal):
-        return 0
-    start, end = leaf_range(t.tally, ordinal)
-    n = int((end - start)[inside].sum())
-    low, high, part = np.array(box[:3]), np.array(box[3:]), np.flatnonzero(~inside)
-    which, i = _runs(*_narrowed(t, low, high, origin[part], side[part], start[part], end[part], "x" if t.order == "lex" else "code", work))
-    leaf = part[which]
-    work.points_checked += len(i)
-    for a in range(3):
-        work.coordinates_read += len(i)
-        v = t.coordinates[a].get(i).astype(np.int64) + origin[leaf, a]
-        ok = (v >= low[a]) & (v <= high[a])
-        i, leaf = i[ok], leaf[ok]
-    return n + len(i)
+def count(t: Tree, boxes: Sequence[Box], where: Sequence[tuple[str, int, int]] = (), work: Work | None = None) -> np.ndarray:
+    """Points of each of several boxes: leaves inside one add the lengths of their ranges, and only those on its border are looked at.
+
+    Boxes are followed together, a level of the tree at a time. With ranges of attributes those of inner leaves are read too.
+    """
+    work, asked = work or Work(), np.array(boxes, np.int64).reshape(-1, 6)
+    out = np.zeros(len(asked), np.int64)
+    for first in range(0, len(asked), TOGETHER):
+        low, high = asked[first : first + TOGETHER, :3], asked[first : first + TOGETHER, 3:]
+        q, ordinal, origin, side, inside = descend(t, low, high, work)
+        work.leaves += len(ordinal)
+        if not len(ordinal):
+            continue
+        start, end = leaf_range(t.tally, ordinal)
+        part = np.flatnonzero(~inside)
+        stop = "x" if t.order == "lex" else "code"
+        which, i = _runs(*_narrowed(t, low[q[part]], high[q[part]], origin[part], side[part], start[part], end[part], stop, work))
+        leaf = part[which]
+        work.points_checked += len(i)
+        for a in range(3):
+            work.coordinates_read += len(i)
+            v = t.coordinates[a].get(i).astype(np.int64) + origin[leaf, a]
+            ok = (v >= low[q[leaf], a]) & (v <= high[q[leaf], a])
+            i, leaf = i[ok], leaf[ok]
+        box = q[leaf]
+        if where:
+            which, j = _runs(start[inside], end[inside])
+            box, i = np.concatenate([box, q[inside][which]]), np.concatenate([i, j])
+            for name, lo, hi in where:
+                v = t.attributes[name].get(i)
+                work.attr_reads += len(i)
+                ok = (v >= lo) & (v <= hi)
+                box, i = box[ok], i[ok]
+        else:
+            out[first : first + TOGETHER] += np.bincount(q[inside], (end - start)[inside], len(low)).astype(np.int64)
+        out[first : first + TOGETHER] += np.bincount(box, minlength=len(low))
+    work.points_out += int(out.sum())
+    return out
 
 
 def point_at(t: Tree, i: int) -> dict[str, int]:

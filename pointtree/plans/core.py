@@ -478,11 +478,7 @@ def box_batch(spark: SparkSession, d: str) -> DataFrame:
 def failed_queries(spark: SparkSession, d: str) -> DataFrame:
     p, f = cloud(spark, d, "air")
     s, b = store_of(spark, d, "air"), boxes(spark, f)
-    inside = F.lit(True)
-    for a in XYZ:
-        inside = inside & F.col(a).between(F.col(f"{a}i"), F.col(f"{a}e"))
-    want = b.join(p.join(F.broadcast(b.drop("pm")), inside).groupBy("q").agg(F.count("*").alias("n")), "q", "left").select("q", F.coalesce("n", F.lit(0)).alias("n"))
-    return measures.failures(query.counts_in_boxes(s, b), want)
+    return measures.failures(query.counts_in_boxes(s, b), baselines.counts_in_points(p, b))
 
 
 @registered("knn_points", W + grid_sql("cube") + ", k AS (SELECT x, y, z, CAST(CAST(x - 500000000 AS HUGEINT) * (x - 500000000) + CAST(y - 500000000 AS HUGEINT) * (y - 500000000) + CAST(z - 500000000 AS HUGEINT) * (z - 500000000) AS BIGINT) AS d2 FROM c) SELECT * FROM k ORDER BY d2, x, y, z LIMIT 10")
@@ -624,7 +620,7 @@ def cloud_profile(spark: SparkSession, d: str) -> DataFrame:
     out = None
     for n in _PROFILED:
         p, _ = cloud(spark, d, n)
-        r = measures.describe_cloud(p, p).select(F.lit(n).alias("cloud"), "points", "max_x", "max_y", "max_z")
+        r = measures.describe_cloud(clouds.load(spark, d, n), p, CLOUDS[n].policy.inverse).select(F.lit(n).alias("cloud"), "points", "max_x", "max_y", "max_z")
         out = r if out is None else out.unionByName(r)
     return out
 
@@ -634,7 +630,7 @@ def density_grid(spark: SparkSession, d: str) -> DataFrame:
     return measures.density(cloud(spark, d, "air")[0], 500_000)
 
 
-@registered("rejects", "SELECT CAST(4 AS BIGINT) AS rejected, CAST(2 AS BIGINT) AS kept")
+@registered("rejects", "SELECT count(*) FILTER (NOT ok) AS rejected, count(*) FILTER (ok) AS kept FROM (SELECT coalesce(isfinite(x) AND isfinite(y) AND isfinite(z), false) AS ok FROM (VALUES (1.0::DOUBLE, 2.0::DOUBLE, 3.0::DOUBLE), (NULL, 2.0, 3.0), ('nan'::DOUBLE, 1.0, 1.0), (1.0, 'infinity'::DOUBLE, 1.0), (1.0, 1.0, '-infinity'::DOUBLE), (0.0, 0.0, 0.0)) v(x, y, z))")
 def rejects(spark: SparkSession, d: str) -> DataFrame:
     p = spark.createDataFrame([(1, 1.0, 2.0, 3.0), (2, None, 2.0, 3.0), (3, float("nan"), 1.0, 1.0), (4, 1.0, float("inf"), 1.0), (5, 1.0, 1.0, float("-inf")), (6, 0.0, 0.0, 0.0)], "pid long, rx double, ry double, rz double")
     return quantize.rejects(p).agg(F.count("*").alias("rejected")).crossJoin(p.where(quantize.valid(p)).agg(F.count("*").alias("kept")))

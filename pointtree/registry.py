@@ -7,10 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .operators import leaves
-from .plans import book, core, surround
+from .plans import book, core, experiments, surround
 from .plans.workloads import part_box
 
-__all__ = ["core", "entry", "oracle_sql", "queries", "surround"]
+__all__ = ["core", "entry", "experiments", "oracle_sql", "queries", "surround"]
 HALF = ((0, 0, 0), (500, 500, 500))
 
 

@@ -6,7 +6,7 @@ A cloud is ``pid, rx, ry, rz`` and attribute columns. Attributes follow the publ
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -28,6 +28,7 @@ class Cloud:
     policy: Fixed | Span
     attributes: tuple[str, ...]
     sql: str  # SELECT giving pid, integers rx, ry, rz after the inverse scale, and attributes
+    tiles: int | None = None  # points of tiles below this alone, on the grid of all
 
 
 def _days(c: str) -> Column:
@@ -104,6 +105,9 @@ PARTS_SQL = "SELECT p_partkey AS pid, p_size AS rx, CAST(round(p_retailprice * 1
 CLOUDS = {
     "flat": Cloud(lineitem, Fixed((1, 100, 1)), tuple(RECORD0), LINEITEM_SQL),
     "air": Cloud(lineitem, Span(AIR, (1, 100, 1)), tuple(RECORD0), LINEITEM_SQL),
+    "air_s": Cloud(lineitem, Span(AIR, (1, 100, 1)), tuple(RECORD0), LINEITEM_SQL, 4),
+    "air_m": Cloud(lineitem, Span(AIR, (1, 100, 1)), tuple(RECORD0), LINEITEM_SQL, 9),
+    "air_l": Cloud(lineitem, Span(AIR, (1, 100, 1)), tuple(RECORD0), LINEITEM_SQL, 23),
     "cube": Cloud(lineitem, Span((10**9,) * 3, (1, 100, 1)), tuple(RECORD0), LINEITEM_SQL),
     "grid": Cloud(grid, Fixed((1, 100, 100)), ("return_number",), GRID_SQL),
     "orders": Cloud(orders, Fixed((1, 100, 1)), (), ORDERS_SQL),
@@ -121,9 +125,14 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def gridded(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, Frame]:
     """The cloud on its natural grid, and its frame."""
-    raw = load(spark, sf_dir, name)
+    raw, tiles = load(spark, sf_dir, name), CLOUDS[name].tiles
     frame = fit_frame(raw, CLOUDS[name].policy)
-    return apply(raw, frame), frame
+    points = apply(raw, frame)
+    if tiles is not None:
+        own = table(spark, sf_dir, "supplier").where(F.col("s_nationkey") < tiles).select(F.col("s_suppkey").cast("int").alias("point_source"))
+        points = points.join(own, "point_source", "left_semi")
+        frame = replace(frame, count=points.count())
+    return points, frame
 
 
 def grid_sql(name: str, columns: str = "") -> str:
@@ -138,4 +147,5 @@ def grid_sql(name: str, columns: str = "") -> str:
         extent = ", ".join(f"CAST(max(r{a}) - min(r{a}) AS BIGINT) AS e{a}" for a in "xyz")
     attributes = "".join(f", {a}" for a in cloud.attributes)
     bounds = ", ".join(f"min(r{a}) AS l{a}, max(r{a}) AS h{a}" for a in "xyz")
-    return f"raw AS ({cloud.sql}),\nm AS (SELECT {bounds}, {extent} FROM raw),\nc AS (SELECT pid, {xyz}{attributes}, ex, ey, ez{columns} FROM raw, m)"
+    kept = "" if cloud.tiles is None else f" WHERE point_source IN (SELECT s_suppkey FROM supplier WHERE s_nationkey < {cloud.tiles})"
+    return f"raw AS ({cloud.sql}),\nm AS (SELECT {bounds}, {extent} FROM raw),\nc AS (SELECT pid, {xyz}{attributes}, ex, ey, ez{columns} FROM raw, m{kept})"
