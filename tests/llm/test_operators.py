@@ -431,3 +431,59 @@ def test_jaccard_join_with_dealt_regions(spark, monkeypatch):
         rows.append((i, " ".join(w[: r.choice([120, 110, 90])])))
     got = sorted(map(tuple, jaccard_join.join(spark.createDataFrame(rows, "doc_id long, text string")).collect()))
     assert got == sorted(brute_groups(rows))
+
+
+def brute_verdicts(x, per_word, per_char, tenth):
+    """Minimum covariance determinant of one group, all in memory."""
+    at = lambda v, p: np.sort(v)[int(np.ceil(p * len(v))) - 1]
+    floor = lambda on: np.array(quality._least(per_word[on].mean(), per_char[on].mean()))
+    everything = np.ones(len(x), bool)
+    middle = np.array([at(c, 0.5) for c in x.T])
+    off = np.abs(x - middle)
+    spread = lambda s: np.maximum(np.array(s) ** 2, floor(everything))
+    absolute = [at(c, 0.5) / quality.DEVIATIONS for c in off.T]
+    quartile = [(at(c, 0.75) - at(c, 0.25)) / quality.QUARTILES for c in x.T]
+    starts = [(off**2 / spread(absolute)).sum(1), (off**2 / spread(quartile)).sum(1), np.zeros(len(x)), np.where(tenth, 0.0, np.nan)]
+
+    def step(d):
+        there = ~np.isnan(d)
+        on = there & (d <= at(d[there], quality.KEPT_PART))
+        mean, cov = x[on].mean(0), np.cov(x[on].T, bias=True)
+        inverse, size = quality.estimate(mean, cov, floor(on))
+        return size, mean, cov, floor(on), np.einsum("ni,ij,nj->n", x - mean, inverse, x - mean)
+
+    fits = [step(d) for d in starts if not np.isnan(d).all()]
+    fits = [step(f[4]) for f in fits]
+    best = min(fits, key=lambda f: f[0])
+    while (new := step(best[4]))[0] < best[0] - quality.FALL:
+        best = new
+    _, mean, cov, least, d = best
+    inverse, _ = quality.estimate(mean, cov, least, at(d, 0.5))
+    return np.einsum("ni,ij,nj->n", x - mean, inverse, x - mean)
+
+
+def test_quality_against_brute_force(spark):
+    r = random.Random(15)
+    word = lambda: "".join(r.choice("abcdefghijklmn") for _ in range(r.randrange(2, 11)))
+    rows = []
+    for i in range(700):
+        lang, source = ("en", "a") if i % 3 else ("de", None)
+        w = [word() for _ in range(int(r.lognormvariate(5, 0.6)) + 25)]
+        kind = r.random()
+        if kind < 0.08:
+            w = [x + r.choice("#*$") * r.randrange(3) for x in w]
+        elif kind < 0.14:
+            w = [x * 4 for x in w]
+        text = " ".join(w)
+        if 0.14 <= kind < 0.2:
+            text += ("\n" + " ".join(w[:6])) * r.randrange(2, 9)
+        rows.append((i, text, lang, source))
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    got = {x.doc_id: x for x in quality.rules(df).collect()}
+    base = quality.base(df).withColumn("draw", F.pmod(F.xxhash64(*quality.X), F.lit(quality.TENTH))).collect()
+    for group in ("en", "de"):
+        of = [b for b in base if b.lang == group and not b.base_failed]
+        x = np.array([[b[c] for c in quality.X] for b in of])
+        d = brute_verdicts(x, np.array([b.per_word for b in of]), np.array([b.per_char for b in of]), np.array([b.draw == 0 for b in of]))
+        assert np.allclose(d, [got[b.doc_id].distance for b in of], rtol=1e-6, atol=1e-9)
+        assert [got[b.doc_id].kept for b in of] == (d <= quality.MOST_DISTANCE).tolist() and 0 < (d > quality.MOST_DISTANCE).sum() < len(of) / 3
