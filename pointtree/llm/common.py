@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of words and their hashes that a Python worker keeps before it starts over, and what an entry takes besides its key.
-HASH_BYTES, ENTRY_BYTES = 48 << 20, 180
+HASH_BYTES, ENTRY_BYTES = 32 << 20, 180
 #: A setting of the session that may be changed at any time.
 ARROW_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
 _MASK = (1 << 64) - 1

@@ -388,6 +388,41 @@ def test_html_text(spark):
     assert html_text.extract(df.limit(0)).count() == 0
 
 
+def test_html_repeats_against_brute_force(spark):
+    """Pages without marks: menus and notices of a host go, copies of a page keep their text, whatever the tasks."""
+    r = random.Random(16)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(4))
+    text = lambda n: [" ".join(word() for _ in range(r.randrange(3, 30))) for _ in range(n)]
+    rows, menus = [], {}
+    for h in range(3):
+        menu = ["M" + word() for _ in range(7)]
+        notice = " ".join(word() for _ in range(14))
+        menus[h] = menu
+        pages_ = [text(r.randrange(1, 6)) for _ in range(12)]
+        pages_[7] = pages_[3]  # a copy
+        for i, blocks in enumerate(pages_):
+            body = "<ul>" + "".join(f"<li>{m}</li>" for m in menu) + "</ul>" + "".join(f"<p>{b}</p>" for b in blocks) + f"<div>{notice}</div>"
+            rows.append((100 * h + i, f"https://h{h}.org:80/p{i}", f"<body>{body}</body>"))
+    rows.append(rows[3])
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = [{x.page_id: x.text for x in html_text.extract(df.repartition(n)).collect()} for n in (1, 5)]
+    assert got[0] == got[1]
+    streams = {(i, u): html_text.stream(html_text.blocks(h)) for i, u, h in rows}
+    for i, u, h in rows:
+        tokens, _ = streams[i, u]
+        parts = html_text.blocks(h)
+        found = []
+        for at in range(len(tokens) - html_text.DEPTH + 1):
+            piece = tokens[at : at + html_text.DEPTH]
+            held = [x for x in rows if x[1].split("/")[2] == u.split("/")[2] and any(streams[x[:2]][0][k : k + html_text.DEPTH] == piece for k in range(len(streams[x[:2]][0])))]
+            if len({x[:2] for x in held}) > 1:
+                found.append((at, len(held)))
+        assert got[0][i] == html_text.main_text(parts, found)
+        assert not any(m in got[0][i].split() for m in menus[i // 100]) and got[0][i]
+        if i % 100 not in (3, 7):
+            assert got[0][i] == "\n".join(t for _, t in parts[7:-1])
+
+
 def test_pipeline_stages_keep_the_columns(spark, docs, sf):
     from pointtree.llm.common import store
 
