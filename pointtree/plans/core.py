@@ -321,8 +321,8 @@ def mlv_size(spark: SparkSession, d: str) -> DataFrame:
     return t.select(F.explode("xs").alias("v")).groupBy(F.length(F.bin("v")).alias("bits")).agg(F.count("*").alias("n"))
 
 
-@registered("mlv_access_all", W + grid_sql("orders") + " SELECT pid, y AS v FROM c")
-def mlv_access_all(spark: SparkSession, d: str) -> DataFrame:
+@registered("mlv_access", W + grid_sql("orders") + " SELECT pid, y AS v FROM c")
+def mlv_access(spark: SparkSession, d: str) -> DataFrame:
     """Every value out of codes, in shuffled order, without decoding its neighbours."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -333,12 +333,6 @@ def mlv_access_all(spark: SparkSession, d: str) -> DataFrame:
     return cloud(spark, d, "orders")[0].select("pid", "y").mapInArrow(run, "pid long, v long")
 
 
-@registered("mlv_access", W + grid_sql("orders") + " SELECT pid, y AS v FROM c WHERE pid % 7 = 3")
-def mlv_access(spark: SparkSession, d: str) -> DataFrame:
-    """The rows of ``mlv_access_all`` that its SQL asks for."""
-    return mlv_access_all(spark, d).where("pid % 7 = 3")
-
-
 @registered("leaf_ranges", W + sql_tree("flat") + " SELECT level, path, CAST(sum(cnt) OVER (ORDER BY level, path) - cnt AS BIGINT) AS start, CAST(sum(cnt) OVER (ORDER BY level, path) AS BIGINT) AS stop FROM tree WHERE kind <> 'branch'")
 def leaf_ranges(spark: SparkSession, d: str) -> DataFrame:
     return leaves.leaf_ranges(leaves_of(spark, d, "flat")[0])

@@ -85,33 +85,41 @@ for _hint, _q in (("merge", "join_orders_smj"), ("shuffle_hash", "join_orders_sh
 
     registered(_q, "SELECT o_orderstatus, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS total FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderstatus")(_join)
 
-def join_boxes(leaf_rows: DataFrame, asked: DataFrame, side: int, how: str = "inner") -> DataFrame:
-    """Leaves beside the boxes they meet, as an equi-join on coarse cells: for more boxes than can be sent to all tasks.
+def join_boxes(leaf_rows: DataFrame, asked: DataFrame) -> DataFrame:
+    """Leaves beside the boxes they meet, as an equi-join on cells: for more boxes than can be sent to all tasks.
 
-    A pair that shares several cells is kept in the first of them alone.
+    Cells come in classes of sides 2**k. A box or leaf whose widest axis fits a side of 2**k covers eight cells of that
+    class at most; a pair meets in the larger class of the two, in the first cell that both cover.
     """
-    cells = lambda lo, hi: F.sequence(F.call_function("div", lo, F.lit(side)), F.call_function("div", hi, F.lit(side)))
-    a = leaf_rows
-    for ax in XYZ:
-        a = a.withColumn(f"g{ax}", F.explode(cells(F.col(f"{ax}0"), F.col(f"{ax}0") + F.col("side") - 1)))
-    b = asked
-    for ax in XYZ:
-        b = b.withColumn(f"g{ax}", F.explode(cells(F.col(f"{ax}i"), F.col(f"{ax}e"))))
-    j = a.join(b, [f"g{ax}" for ax in XYZ], how)
-    for ax in XYZ:
-        j = j.where((F.col(f"{ax}0") <= F.col(f"{ax}e")) & (F.col(f"{ax}0") + F.col("side") - 1 >= F.col(f"{ax}i")))
-        j = j.where(F.col(f"g{ax}") == F.call_function("div", F.greatest(f"{ax}0", f"{ax}i"), F.lit(side)))
-    return j.drop(*[f"g{ax}" for ax in XYZ])
-
-def _small_boxes(spark: SparkSession, d: str) -> DataFrame:
-    return boxes(spark, cloud(spark, d, "air")[1]).where("pm <= 200 and q < 100")
-
-_SMALL_SQL = f"WITH {grid_sql('air')}, {BOXES_SQL}, s AS (SELECT * FROM b WHERE pm <= 200 AND q < 100)"
-
-@registered("range_join_cells", _SMALL_SQL + f" SELECT b.q, count(*) AS n FROM s b JOIN c ON {INSIDE} GROUP BY b.q")
+    def placed(rows: DataFrame, low, high, classes: list[int]) -> DataFrame:  # noqa: ANN001
+        widest = F.greatest(*[high(a) - low(a) + 1 for a in XYZ])
+        rows = rows.withColumn("own", F.ceil(F.log2(F.greatest(widest, F.lit(1)))).cast("int"))
+        rows = rows.withColumn("k", F.explode(F.array_distinct(F.concat(F.array("own"), F.filter(F.array(*map(F.lit, classes)), lambda c: c > F.col("own"))))))
+        for a in XYZ:
+            rows = rows.withColumn(f"g{a}", F.explode(F.sequence(F.call_function("shiftright", low(a), F.col("k")), F.call_function("shiftright", high(a), F.col("k")))))
+        return rows
+
+    leaf_low, leaf_high = (lambda a: F.col(f"{a}0")), (lambda a: F.col(f"{a}0") + F.col("side") - 1)
+    box_low, box_high = (lambda a: F.col(f"{a}i")), (lambda a: F.col(f"{a}e"))
+    asked = asked.where(F.col("xi") <= F.col("xe")).where(F.col("yi") <= F.col("ye")).where(F.col("zi") <= F.col("ze"))
+    of = lambda rows, low, high: sorted({r[0] for r in rows.select(F.ceil(F.log2(F.greatest(*[high(a) - low(a) + 1 for a in XYZ]))).cast("int")).distinct().collect()})  # noqa: E731  64 at most
+    left = placed(leaf_rows, leaf_low, leaf_high, of(asked, box_low, box_high)).withColumnRenamed("own", "leaf_class")
+    right = placed(asked, box_low, box_high, of(leaf_rows, leaf_low, leaf_high)).withColumnRenamed("own", "box_class")
+    j = left.join(right, ["k", *[f"g{a}" for a in XYZ]]).where(F.col("k") == F.greatest("leaf_class", "box_class"))
+    for a in XYZ:
+        j = j.where((leaf_low(a) <= box_high(a)) & (leaf_high(a) >= box_low(a)))
+        j = j.where(F.col(f"g{a}") == F.call_function("shiftright", F.greatest(leaf_low(a), box_low(a)), F.col("k")))
+    return j.drop("k", "leaf_class", "box_class", *[f"g{a}" for a in XYZ])
+
+def _all_boxes(spark: SparkSession, d: str) -> DataFrame:
+    return boxes(spark, cloud(spark, d, "air")[1])
+
+_ALL_SQL = f"WITH {grid_sql('air')}, {BOXES_SQL}, s AS (SELECT * FROM b)"
+
+@registered("range_join_cells", _ALL_SQL + f" SELECT b.q, count(*) AS n FROM s b JOIN c ON {INSIDE} GROUP BY b.q")
 def range_join_cells(spark: SparkSession, d: str) -> DataFrame:
     t, _ = leaves_of(spark, d, "air")
-    met = join_boxes(t.select("level", "x0", "y0", "z0", "side", "xs", "ys", "zs"), _small_boxes(spark, d), 500_000)
+    met = join_boxes(t.select("level", "x0", "y0", "z0", "side", "xs", "ys", "zs"), _all_boxes(spark, d))
     p = met.select("q", *[f"{a}{e}" for a in XYZ for e in "ie"], "x0", "y0", "z0", F.explode(F.arrays_zip("xs", "ys", "zs")).alias("p"))
     for a in XYZ:
         p = p.where((F.col(f"{a}0") + F.coalesce(F.col(f"p.{a}s"), F.lit(0))).between(F.col(f"{a}i"), F.col(f"{a}e")))
@@ -123,12 +131,12 @@ def _within_asked() -> F.Column:
         cond = cond & F.col(a).between(F.col(f"{a}i"), F.col(f"{a}e"))
     return cond
 
-registered("range_join_bnlj", _SMALL_SQL + f" SELECT b.q, count(*) AS n FROM s b JOIN c ON {INSIDE} GROUP BY b.q")(lambda spark, d: air(spark, d).join(F.broadcast(_small_boxes(spark, d)), _within_asked()).groupBy("q").agg(F.count("*").alias("n")))
+registered("range_join_bnlj", _ALL_SQL + f" SELECT b.q, count(*) AS n FROM s b JOIN c ON {INSIDE} GROUP BY b.q")(lambda spark, d: air(spark, d).join(F.broadcast(_all_boxes(spark, d)), _within_asked()).groupBy("q").agg(F.count("*").alias("n")))
 
-@registered("box_batch_join", _SMALL_SQL + f" SELECT b.q, CAST(sum(c.intensity) AS BIGINT) AS total FROM s b JOIN c ON {INSIDE} GROUP BY b.q")
+@registered("box_batch_join", _ALL_SQL + f" SELECT b.q, CAST(sum(c.intensity) AS BIGINT) AS total FROM s b JOIN c ON {INSIDE} GROUP BY b.q")
 def box_batch_join(spark: SparkSession, d: str) -> DataFrame:
     s = store_of(spark, d, "air")
-    return query.points_in_boxes(s, _small_boxes(spark, d), columns=["intensity"]).groupBy("q").agg(F.sum("intensity").alias("total"))
+    return query.points_in_boxes(s, _all_boxes(spark, d), columns=["intensity"]).groupBy("q").agg(F.sum("intensity").alias("total"))
 
 def _counts_small(spark: SparkSession, d: str) -> DataFrame:
     s = store_of(spark, d, "air")
@@ -170,10 +178,10 @@ def interval_events(spark: SparkSession, d: str) -> DataFrame:
     near = F.expr("ts between at - interval 600 seconds and at + interval 600 seconds")
     return p.join(v, ["user_id", "b"]).where(near).groupBy("purchase").agg(F.count("*").alias("near"))
 
-@registered("cross_boxes", f"WITH {grid_sql('air')}, {BOXES_SQL} SELECT q, axis, CASE axis WHEN 'x' THEN xe - xi WHEN 'y' THEN ye - yi ELSE ze - zi END AS width FROM b, (VALUES ('x'), ('y'), ('z')) a(axis) WHERE q < 50")
+@registered("cross_boxes", f"WITH {grid_sql('air')}, {BOXES_SQL} SELECT q, axis, CASE axis WHEN 'x' THEN xe - xi WHEN 'y' THEN ye - yi ELSE ze - zi END AS width FROM b, (VALUES ('x'), ('y'), ('z')) a(axis)")
 def cross_boxes(spark: SparkSession, d: str) -> DataFrame:
     """Boxes beside the three axes, a constant."""
-    b = boxes(spark, cloud(spark, d, "air")[1], 50)
+    b = boxes(spark, cloud(spark, d, "air")[1])
     e = F.explode(F.array(*[F.struct(F.lit(a).alias("axis"), (F.col(f"{a}e") - F.col(f"{a}i")).alias("width")) for a in XYZ])).alias("w")
     return b.select("q", e).select("q", "w.axis", "w.width")
 
@@ -251,11 +259,45 @@ _THIRD = f" SELECT x, y, z, intensity FROM c WHERE {part_sql(*SINGLE['third'])}"
 registered("sql_box", AIR + _THIRD)(lambda spark, d: sql_box(spark, d))
 registered("sql_attr_box", AIR + _THIRD + " AND intensity BETWEEN 10 AND 20")(lambda spark, d: sql_box(spark, d, " and intensity between 10 and 20"))
 
+registered("sql_count", AIR + f" SELECT count(*) AS n FROM c WHERE {part_sql(*SINGLE['third'])}")(lambda spark, d: (sql_box(spark, d).createOrReplaceTempView("found"), spark.sql("select count(*) as n from found"))[1])
+
+@registered("sql_slab", AIR + f" SELECT x, y, z FROM c WHERE {part_sql(*SINGLE['slab'])}")
+def sql_slab(spark: SparkSession, d: str) -> DataFrame:
+    _views(spark, d)
+    b = part_box(cloud(spark, d, "air")[1], *SINGLE["slab"])
+    inner = f"select x0 + p.xs as x, y0 + p.ys as y, z0 + p.zs as z from leaves lateral view explode(arrays_zip(xs, ys, zs)) e as p where z0 <= {b[5]} and z0 + side > {b[2]}"
+    return spark.sql(f"select x, y, z from ({inner}) where z between {b[2]} and {b[5]}")
+
+def box_points(spark: SparkSession) -> None:
+    """Registers the table function ``box_points``: points of a shard's components in a grid box, for SQL."""
+    from ..operators import shards as kernel
+
+    @F.udtf(returnType="x long, y long, z long")
+    class BoxPoints:
+        def eval(self, row: dict, xi: int, yi: int, zi: int, xe: int, ye: int, ze: int):
+            r = row.asDict()
+            o = [r[f"{a}0"] for a in "xyz"]
+            got = kernel.scan(kernel.from_row({k: bytes(v) if isinstance(v, (bytes, bytearray)) else v for k, v in r.items()}), (xi - o[0], yi - o[1], zi - o[2], xe - o[0], ye - o[1], ze - o[2]))
+            for x, y, z in zip(*[(got[a] + o[i]).tolist() for i, a in enumerate("xyz")], strict=True):
+                yield x, y, z
+
+    spark.udtf.register("box_points", BoxPoints)
+
+@registered("sql_box_points", AIR + f" SELECT x, y, z FROM c WHERE {part_sql(*SINGLE['third'])}")
+def sql_box_points(spark: SparkSession, d: str) -> DataFrame:
+    """The box query as SQL over packed shards, by a table function beside each shard that the box meets."""
+    _views(spark, d)
+    box_points(spark)
+    b = part_box(cloud(spark, d, "air")[1], *SINGLE["third"])
+    meets = " and ".join(f"s.{a}_min <= {b[i + 3]} and s.{a}_max >= {b[i]}" for i, a in enumerate(XYZ))
+    row = "struct(s.x0, s.y0, s.z0, s.parts, s.leaf_order, s.root_leaf, s.t_branch, s.t_occupied, s.t_tally, s.c_x, s.c_y, s.c_z)"
+    return spark.sql(f"select p.x, p.y, p.z from (select * from shards s where {meets}) s, lateral box_points({row}, {', '.join(map(str, b))}) p")
+
 # ---- functions
 registered("fn_math", W + grid_sql("orders") + " SELECT pid, CAST(floor(y / 7.0) AS BIGINT) AS f, CAST(ceil(y / 7.0) AS BIGINT) AS c, y // 13 AS d, y % 13 AS r, CAST(bit_count(y) AS INTEGER) AS ones, x << 3 AS up, greatest(x, z) AS big, least(x, z) AS small, CAST(round(sqrt(x * x + z * z)) AS BIGINT) AS dist FROM c")(lambda spark, d: cloud(spark, d, "orders")[0].select("pid", F.floor(F.col("y") / 7.0).alias("f"), F.ceil(F.col("y") / 7.0).alias("c"), div("y", 13).alias("d"), (F.col("y") % 13).alias("r"), F.bit_count("y").alias("ones"), F.shiftleft("x", 3).alias("up"), F.greatest("x", "z").alias("big"), F.least("x", "z").alias("small"), F.round(F.sqrt(F.col("x") * F.col("x") + F.col("z") * F.col("z"))).cast("long").alias("dist")))
 
-@registered("fn_path_all", W + sql_points("orders") + ", n AS (SELECT pid, path, h, lead(path) OVER (ORDER BY pid) AS nxt FROM pts) SELECT pid, substr(path, 1, 5) AS head, CAST(instr(path, '7') AS INTEGER) AS seven, rpad(substr(path, 1, 3), 8, '*') AS pad, translate(substr(path, 1, 6), '01', 'ab') AS named, CAST((SELECT coalesce(max(i), 0) FROM range(1, 40) r(i) WHERE i <= h AND substr(path, 1, i) = substr(nxt, 1, i)) AS INTEGER) AS common FROM n WHERE nxt IS NOT NULL")
-def fn_path_all(spark: SparkSession, d: str) -> DataFrame:
+@registered("fn_path", W + sql_points("orders") + ", n AS (SELECT pid, path, h, lead(path) OVER (ORDER BY pid) AS nxt FROM pts) SELECT pid, substr(path, 1, 5) AS head, CAST(instr(path, '7') AS INTEGER) AS seven, rpad(substr(path, 1, 3), 8, '*') AS pad, translate(substr(path, 1, 6), '01', 'ab') AS named, CAST((SELECT coalesce(max(i), 0) FROM range(1, 40) r(i) WHERE i <= h AND substr(path, 1, i) = substr(nxt, 1, i)) AS INTEGER) AS common FROM n WHERE nxt IS NOT NULL")
+def fn_path(spark: SparkSession, d: str) -> DataFrame:
     """Each path beside the next one; the next row is found by its place in the order, which ranges give."""
     p, f = cloud(spark, d, "orders")
     parts = f.parts(CONFIG)
@@ -263,11 +305,6 @@ def fn_path_all(spark: SparkSession, d: str) -> DataFrame:
     far = p.withColumn("path", path_of(parts)).join(p.select((F.col("at") - 1).alias("at"), *[F.col(a).alias(f"n{a}") for a in XYZ]), "at")
     return far.select("pid", F.substring("path", 1, 5).alias("head"), F.instr("path", "7").alias("seven"), F.rpad(F.substring("path", 1, 3), 8, "*").alias("pad"), F.translate(F.substring("path", 1, 6), "01", "ab").alias("named"), common_levels(tuple(map(F.col, XYZ)), (F.col("nx"), F.col("ny"), F.col("nz")), parts).alias("common"))
 
-@registered("fn_path", W + sql_points("orders") + ", n AS (SELECT pid, path, h, lead(path) OVER (ORDER BY pid) AS nxt FROM pts) SELECT pid, substr(path, 1, 5) AS head, CAST(instr(path, '7') AS INTEGER) AS seven, rpad(substr(path, 1, 3), 8, '*') AS pad, translate(substr(path, 1, 6), '01', 'ab') AS named, CAST((SELECT coalesce(max(i), 0) FROM range(1, 40) r(i) WHERE i <= h AND substr(path, 1, i) = substr(nxt, 1, i)) AS INTEGER) AS common FROM n WHERE pid < 2000 AND nxt IS NOT NULL")
-def fn_path(spark: SparkSession, d: str) -> DataFrame:
-    """The rows of ``fn_path_all`` that its SQL asks for."""
-    return fn_path_all(spark, d).where("pid < 2000")
-
 registered("fn_time", "SELECT o_orderkey, CAST(date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS INTEGER) AS days, CAST(extract(year FROM o_orderdate) AS INTEGER) AS y, CAST(date_diff('day', CAST(date_trunc('month', o_orderdate) AS DATE), CAST(o_orderdate AS DATE)) AS INTEGER) AS dom FROM orders")(lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.datediff(F.col("o_orderdate").cast("date"), F.lit("1995-01-01").cast("date")).alias("days"), F.year("o_orderdate").alias("y"), F.datediff(F.col("o_orderdate").cast("date"), F.trunc(F.col("o_orderdate").cast("date"), "month")).alias("dom")))
 
 @registered("fn_array", "WITH e AS (SELECT vec_id, list_transform(embedding, lambda v: CAST(round(CAST(v AS DOUBLE) * 1000) AS BIGINT)) AS a FROM embeddings) SELECT vec_id, CAST(list_sum(a) AS BIGINT) AS total, CAST(len(list_filter(a, lambda v: v > 100)) AS INTEGER) AS big, a[3] AS third, CAST(list_sum(a[5:8]) AS BIGINT) AS middle FROM e")
@@ -276,16 +313,11 @@ def fn_array(spark: SparkSession, d: str) -> DataFrame:
     total = lambda c: F.aggregate(c, F.lit(0).cast("long"), lambda s, v: s + v)
     return a.select("vec_id", total("a").alias("total"), F.size(F.filter("a", lambda v: v > 100)).alias("big"), F.element_at("a", 3).alias("third"), total(F.slice("a", 5, 4)).alias("middle"))
 
-@registered("fn_map_all", AIR + " SELECT point_source, intensity, user_data, CAST((intensity > 25) AS INTEGER) + CAST((user_data > 25) AS INTEGER) AS over FROM c")
-def fn_map_all(spark: SparkSession, d: str) -> DataFrame:
+@registered("fn_map", AIR + " SELECT point_source, intensity, user_data, CAST((intensity > 25) AS INTEGER) + CAST((user_data > 25) AS INTEGER) AS over FROM c")
+def fn_map(spark: SparkSession, d: str) -> DataFrame:
     m = air(spark, d).select("point_source", F.map_from_arrays(F.array(F.lit("intensity"), F.lit("user_data")), F.array("intensity", "user_data")).alias("m"))
     return m.select("point_source", F.element_at("m", "intensity").alias("intensity"), F.element_at("m", "user_data").alias("user_data"), F.size(F.map_filter("m", lambda k, v: v > 25)).alias("over"))
 
-@registered("fn_map", AIR + " SELECT point_source, intensity, user_data, CAST((intensity > 25) AS INTEGER) + CAST((user_data > 25) AS INTEGER) AS over FROM c WHERE point_source < 5")
-def fn_map(spark: SparkSession, d: str) -> DataFrame:
-    """The rows of ``fn_map_all`` that its SQL asks for."""
-    return fn_map_all(spark, d).where("point_source < 5")
-
 registered("fn_struct", f"WITH {grid_sql('air')}, {BOXES_SQL} SELECT q, xi, ye, (xe - xi) * 2 AS twice FROM b")(lambda spark, d: boxes(spark, cloud(spark, d, "air")[1]).select("q", F.struct("xi", "xe", "ye").alias("b")).select("q", F.col("b.xi").alias("xi"), F.col("b.ye").alias("ye"), ((F.col("b.xe") - F.col("b.xi")) * 2).alias("twice")))
 registered("fn_json", "SELECT event_id, CAST(props->>'$.k' AS INTEGER) AS k, CAST(props->>'$.k' AS INTEGER) + 1 AS k1 FROM events")(lambda spark, d: table(spark, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k"), (F.from_json("props", "k int")["k"] + 1).alias("k1")))
 registered("fn_null", W + grid_sql("documents") + " SELECT pid, coalesce(toxic, -1) AS t, nullif(quality, 0) AS q, CASE WHEN quality IS NULL THEN 'none' WHEN quality = 1 THEN 'good' ELSE 'bad' END AS named FROM c")(lambda spark, d: cloud(spark, d, "documents")[0].select("pid", F.coalesce("toxic", F.lit(-1)).alias("t"), F.nullif(F.col("quality"), F.lit(0)).alias("q"), F.when(F.col("quality").isNull(), "none").when(F.col("quality") == 1, "good").otherwise("bad").alias("named")))
@@ -302,6 +334,17 @@ def udf_mlv_bits(spark: SparkSession, d: str) -> DataFrame:
     t, _ = leaves_of(spark, d, "air")
     return t.select("path", bits("xs").alias("bits_x"))
 
+@registered("udf_decode_leaf", W + sql_leaf_points("air") + " SELECT " + ", ".join(f"CAST(sum(l{a}) AS BIGINT) AS sum_{a}" for a in "xyz") + ", count(lx) AS stored FROM lp")
+def udf_decode_leaf(spark: SparkSession, d: str) -> DataFrame:
+    """Coordinates of leaves out of the stored codes, shard by shard, as arrays."""
+    @F.arrow_udf("array<long>")
+    def decode_leaf(code: pa.Array) -> pa.Array:
+        return pa.array([m.slice(0, m.n).astype(np.int64) for m in map(mlv.Mlv.from_bytes, code.to_pylist())], pa.list_(pa.int64()))
+
+    got = store_of(spark, d, "air").shards().select(*[decode_leaf(f"c_{a}").alias(a) for a in XYZ])
+    total = lambda a: F.aggregate(a, F.lit(0).cast("long"), lambda s, v: s + v)
+    return got.agg(*[F.sum(total(a)).alias(f"sum_{a}") for a in XYZ], F.sum(F.size("x")).alias("stored"))
+
 @registered("udaf_bitlen", W + grid_sql("orders") + " SELECT CAST(length(bin(y)) AS BIGINT) AS bits, count(*) AS n FROM c GROUP BY 1")
 def udaf_bitlen(spark: SparkSession, d: str) -> DataFrame:
     """The histogram of bit lengths by Arrow batches with partial sums, then one small aggregate."""
@@ -314,7 +357,7 @@ def udaf_bitlen(spark: SparkSession, d: str) -> DataFrame:
 
     return cloud(spark, d, "orders")[0].select("y").mapInArrow(run, "bits long, n long").groupBy("bits").agg(F.sum("n").alias("n"))
 
-@registered("udtf_boxes", f"WITH {grid_sql('air')}, {BOXES_SQL} SELECT q, xi, xe FROM b WHERE q < 40")
+@registered("udtf_boxes", f"WITH {grid_sql('air')}, {BOXES_SQL} SELECT q, xi, xe FROM b")
 def udtf_boxes(spark: SparkSession, d: str) -> DataFrame:
     f = cloud(spark, d, "air")[1]
 
@@ -326,7 +369,7 @@ def udtf_boxes(spark: SparkSession, d: str) -> DataFrame:
                 low = (q * 389 + 13) % 1009 * extent // 1009
                 yield q, low, min(low + extent * sizes[q % 10] // 1000, extent)
 
-    return Boxes(F.lit(40), F.lit(f.extent[0]))
+    return Boxes(F.lit(500), F.lit(f.extent[0]))
 
 # ---- stream-shaped plans, run as batches, and streams
 _EV = "SELECT *, user_id // 10 AS zone FROM events"
@@ -334,7 +377,7 @@ registered("win_tumbling", f"WITH e AS ({_EV}) SELECT zone, CAST(date_diff('seco
 registered("win_sliding", f"WITH e AS ({_EV}), w AS (SELECT zone, date_diff('second', TIMESTAMP '2024-01-01', date_trunc('second', ts)) // 1800 AS b FROM e), x AS (SELECT zone, b - unnest(range(4)) AS b FROM w) SELECT zone, CAST(b * 1800 AS BIGINT) AS at, count(*) AS n FROM x GROUP BY 1, 2")(lambda spark, d: ingest.tumbling(ingest.zoned(table(spark, d, "events")), "2 hours", "30 minutes"))
 registered("win_session", "WITH e AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT user_id, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM e) SELECT user_id, n, count(*) AS sessions FROM (SELECT user_id, no, count(*) AS n FROM s GROUP BY 1, 2) GROUP BY 1, 2")(lambda spark, d: ingest.sessions(table(spark, d, "events")).groupBy("user_id", "n").agg(F.count("*").alias("sessions")))
 registered("stream_static", "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON c_custkey = user_id GROUP BY c_mktsegment")(ingest.stream_static)
-registered("stream_late")(ingest.stream_late)
+registered("stream_late", "WITH e AS (SELECT user_id // 10 AS zone, date_trunc('hour', ts) AS w FROM events), g AS (SELECT zone, w, count(*) AS n FROM e GROUP BY 1, 2) SELECT zone, n FROM g WHERE w + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR")(ingest.stream_late)
 registered("stream_dedup", "SELECT CAST(count(DISTINCT event_id) AS BIGINT) AS n FROM events")(ingest.stream_dedup)
 registered("stream_split", "SELECT zone, n, CAST(n > 100 AS BOOLEAN) AS divide FROM (SELECT user_id // 10 AS zone, count(*) AS n FROM events GROUP BY 1)")(ingest.stream_split)
 registered("stream_ingest", W + grid_sql("events") + " SELECT x, y, z, event_code FROM c WHERE x BETWEEN 500000 AND 1500000")(ingest.stream_ingest)
