@@ -81,6 +81,25 @@ def positions(points: DataFrame, config: TreeConfig, parts: tuple[int, ...], met
     return ordered_index(p, "level", "path", *in_leaf_order(config))
 
 
+def share_repeats(leaves: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Leaves with equal local coordinates share one payload: (leaf rows with ``payload``, a hash; ``payload, xs, ys, zs``).
+
+    Points of a leaf are in an order of their coordinates, so equal sets of points have equal arrays. Leaves of single
+    cells have no coordinates and no payload.
+    """
+    held = F.when(F.col("xs")[0].isNotNull(), F.sha2(F.to_json(F.arrays_zip("xs", "ys", "zs")), 256))
+    rows = leaves.withColumn("payload", held)
+    payloads = rows.where("payload is not null").groupBy("payload").agg(*[F.any_value(c).alias(c) for c in ("xs", "ys", "zs")])
+    return rows.drop("xs", "ys", "zs"), payloads
+
+
+def with_payloads(rows: DataFrame, payloads: DataFrame) -> DataFrame:
+    """Leaf rows with their coordinates again; cells get a null for each point."""
+    none = F.array_repeat(F.lit(None).cast("long"), F.col("cnt").cast("int"))
+    joined = rows.join(payloads, "payload", "left")
+    return joined.withColumns({c: F.coalesce(c, none) for c in ("xs", "ys", "zs")}).drop("payload")
+
+
 def leaf_ranges(leaves: DataFrame) -> DataFrame:
     """Half-open range of each leaf's points in the order of all arrays."""
     return ordered_index(leaves.select("level", "path", "cnt"), "level", "path", name="start", first="cnt").select("level", "path", "start", (F.col("start") + F.col("cnt")).alias("stop"))

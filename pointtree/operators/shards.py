@@ -150,6 +150,8 @@ class Work:
     """What a query has looked at."""
 
     boxes_visited: int = 0
+    branches: int = 0
+    empty: int = 0
     leaves: int = 0
     points_checked: int = 0
     coordinates_read: int = 0
@@ -194,6 +196,8 @@ def descend(t: Tree, low: np.ndarray, high: np.ndarray, work: Work) -> tuple[np.
         else:
             h = pos - t.branch.ones
         keep = t.occupied.get(h) if len(h) else np.zeros(0, bool)
+        work.branches += len(child) if level < len(t.parts) else 0
+        work.empty += int((~keep).sum())
         found.append((mine[keep], t.occupied.rank1(h[keep]), at[keep], np.full(keep.sum(), side)))
         if level < len(t.parts) and not len(child):
             break

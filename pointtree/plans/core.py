@@ -277,6 +277,24 @@ def repeat_census(spark: SparkSession, d: str) -> DataFrame:
     return t.where(F.col("xs")[0].isNotNull()).select(F.sha2(held, 256).alias("s")).groupBy("s").agg(F.count("*").alias("n")).agg(F.sum("n").alias("leaves"), F.count("*").alias("payloads"))
 
 
+@registered("repeat_store", W + grid_sql("events") + " SELECT x, y, z FROM c")
+def repeat_store(spark: SparkSession, d: str) -> DataFrame:
+    """Points out of leaves that share payloads: small leaves repeat each other."""
+    t, _ = leaves_of(spark, d, "events", TreeConfig(leaf_limit=1, shard_points=20_000))
+    rows, payloads = leaves.share_repeats(t)
+    return leaves.explode_points(leaves.with_payloads(cut(rows), cut(payloads)))
+
+
+@registered("repeat_saving", W + sql_leaf_points("grid", 3) + ", h AS (SELECT level, leaf, count(*) AS n, string_agg(printf('%d,%d,%d', lx, ly, lz), ';' ORDER BY path) AS held FROM lp WHERE level < h GROUP BY level, leaf), p AS (SELECT held, any_value(n) AS n FROM h GROUP BY held) SELECT (SELECT CAST(coalesce(sum(n), 0) AS BIGINT) FROM h) AS points, (SELECT CAST(coalesce(sum(n), 0) AS BIGINT) FROM p) AS kept")
+def repeat_saving(spark: SparkSession, d: str) -> DataFrame:
+    """Points with coordinates of their own, and those that are kept when repeats are shared."""
+    t, _ = leaves_of(spark, d, "grid", TreeConfig(leaf_limit=3, shard_points=20_000))
+    rows, payloads = leaves.share_repeats(t)
+    zero = F.lit(0).cast("long")
+    own = rows.where("payload is not null").agg(F.coalesce(F.sum("cnt"), zero).alias("points"))
+    return own.crossJoin(payloads.agg(F.coalesce(F.sum(F.size("xs")), zero).alias("kept")))  # one row each
+
+
 # ---- codes
 BITS_SQL = W + grid_sql("events") + ", f AS (SELECT pid AS i, CAST(event_code = 3 AS INTEGER) AS bit FROM c)"
 
@@ -411,6 +429,17 @@ def box_trace(spark: SparkSession, d: str) -> DataFrame:
     return t.where(leaves.overlaps(part_box(f, *SINGLE["third"]))).groupBy(F.when(F.col("level") == h, "cell").otherwise("leaf").alias("kind")).agg(F.count("*").alias("boxes"), F.sum("cnt").alias("points"))
 
 
+_LOW = {a: f"CAST(list_sum(list_transform(range(1, level + 1), lambda j: ((ascii(substr(path, CAST(j AS INTEGER), 1)) - 48) // {w} % 2) * (1 << CAST(h - j AS INTEGER)))) AS BIGINT)" for a, w in zip("xyz", (4, 2, 1), strict=True)}
+_MET = " AND ".join(f"{a}0 <= e{a} * {q} // 1000 AND {a}0 + (1 << CAST(h - level AS INTEGER)) - 1 >= e{a} * {p} // 1000" for a, p, q in zip("xyz", *SINGLE["third"], strict=True))
+
+
+@registered("box_trace_tree", _children_sql("grid", 100) + ", g AS (SELECT *, " + ", ".join(f"{c} AS {a}0" for a, c in _LOW.items()) + f" FROM boxes), met AS (SELECT g.* FROM g, m WHERE {_MET}) SELECT count(*) AS boxes_visited, count(*) FILTER (split) AS branches, count(*) FILTER (NOT split AND cnt = 0) AS empty, count(*) FILTER (NOT split AND cnt > 0) AS leaves FROM met")
+def box_trace_tree(spark: SparkSession, d: str) -> DataFrame:
+    """What a search of the whole tree comes to: divided, empty, and occupied undivided boxes."""
+    s = store_of(spark, d, "grid", TreeConfig(shard_points=1 << 40))
+    return query.explain_work(s, part_box(s.frame, *SINGLE["third"])).select("boxes_visited", "branches", "empty", "leaves")
+
+
 @registered("point_at", None)
 def point_at(spark: SparkSession, d: str) -> DataFrame:
     return query.point_at(store_of(spark, d, "air"), 1234)
