@@ -224,10 +224,11 @@ def by_batch(fn: Callable[[pa.RecordBatch], pa.RecordBatch], rows: int = 512) ->
     return run
 
 
-def components(edges: DataFrame, most_rounds: int = 40) -> DataFrame:
+def components(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
     """Connected components of ``edges(a, b)``: ``(id, component)`` with the smallest id, for every id in an edge.
 
-    Alternates two star contractions: each node links its larger neighbours to the smallest of its
+    Alternates two star contractions, as many rounds as it takes (some, then one for each doubling of the longest path;
+    ``most_rounds`` without an end are an error): each node links its larger neighbours to the smallest of its
     neighbourhood, then each node links its smaller neighbours likewise. Counts decide when the edges stop to change.
     Only minima per node are joined back, and those are written before, so that a hot centre's rows can be split.
     """
@@ -248,4 +249,6 @@ def components(edges: DataFrame, most_rounds: int = 40) -> DataFrame:
         if mark == before:
             break
         before = mark
+    else:
+        raise RuntimeError(f"components did not come to an end in {most_rounds} rounds")
     return e.select(F.col("a").alias("id"), F.col("b").alias("component")).union(e.select(F.col("b"), F.col("b")).distinct())

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import by_batch, rolling, store, table, text_bytes, word_hashes
+from .common import by_batch, release, rolling, store, table, text_bytes, word_hashes
 
 SYMBOLS = b"#*$%&|<>"
 BLANK = b" \t\n\x0b\x0c\r"
@@ -171,7 +171,9 @@ def _sums(kept: DataFrame) -> DataFrame:
 def _concentrated(far: DataFrame) -> DataFrame:
     """Rows with their distance ``d`` per group and start ``k`` -> the estimates of the part with the least distances."""
     quantile = store(far.groupBy("grp", "k").agg(F.percentile_approx("d", KEPT_PART, 2000).alias("q")), "quantile")
-    return store(_sums(_beside(far, quantile, "grp", "k").where("d <= q")).mapInArrow(_fitted, STATE), "state")
+    out = store(_sums(_beside(far, quantile, "grp", "k").where("d <= q")).mapInArrow(_fitted, STATE), "state")
+    release(quantile)
+    return out
 
 
 def determinants(rows: DataFrame) -> DataFrame:
@@ -234,6 +236,7 @@ def rules(docs: DataFrame) -> DataFrame:
     far = _beside(rows, state.select("grp", "centre", "inverse"), "grp").withColumn("d", _distance())
     median = far.groupBy("grp").agg(F.percentile_approx("d", 0.5, 2000).alias("median"))
     terms = store(state.join(median, "grp").mapInArrow(_scaled, "grp string, centre array<double>, inverse array<double>"), "terms")
+    release(rows)
     verdict = groups.join(terms, "grp", "left")
     out = b.join(F.broadcast(verdict) if few else verdict, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source")), "left")
     out = out.withColumn("distance", F.when(~F.col("base_failed"), _distance()))

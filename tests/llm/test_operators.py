@@ -522,3 +522,37 @@ def test_quality_against_brute_force(spark):
         d = brute_verdicts(x, np.array([b.per_word for b in of]), np.array([b.per_char for b in of]), np.array([b.draw == 0 for b in of]))
         assert np.allclose(d, [got[b.doc_id].distance for b in of], rtol=1e-6, atol=1e-9)
         assert [got[b.doc_id].kept for b in of] == (d <= quality.MOST_DISTANCE).tolist() and 0 < (d > quality.MOST_DISTANCE).sum() < len(of) / 3
+
+
+def test_clashing_names_and_empty_tables(spark, sf, tmp_path):
+    names = ["cut_id", "cut_text", "gone_id", "stay_id", "tox_score", "tox_text", "mix_shard", "mix_doc", "row", "root", "doc", "twice", "found", "copy", "kept_text", "label", "node"]
+    r = random.Random(17)
+    text = " ".join("w%d" % r.randrange(500) for _ in range(90))
+    rows = [(0, text, "en", "a", len(text)), (1, text, "en", "a", len(text)), (2, "x y " + text, "de", None, None), (3, None, None, "b", None), (4, "", "en", "b", 0)]
+    df = spark.createDataFrame([(*x, *["c"] * len(names)) for x in rows], "doc_id long, text string, lang string, source string, n_chars int, " + ", ".join(f"`{n}` string" for n in names))
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, df, sf)
+        assert out.columns == df.columns and out.select("doc_id", "root", "mix_doc").count() >= 3, name
+    assert substring_dedup.deduped(df).where("doc_id = 2").first()["text"] == "x y"
+    for t in ("documents", "labels"):
+        spark.read.parquet(f"{sf}/{t}.parquet").limit(0).write.parquet(f"file://{tmp_path}/{t}.parquet")
+    assert corpus_pipeline.run(spark, f"file://{tmp_path}").count() == 0
+
+
+def test_very_long_texts(spark):
+    """One text of 400,000 words beside short ones, through what reads whole texts."""
+    long_ = " ".join(f"q{i * 7919 % 30011}" for i in range(400_000))
+    passage = " ".join(f"p{i}" for i in range(70))
+    rows = [(0, long_, "en", "a"), (1, long_ + " tail", "en", "a"), (2, passage, "en", "b"), (3, long_[:100_000] + " " + passage, "en", "b")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    got = {x.doc_id: x for x in jaccard_join.join(df).collect()}
+    assert got[1].component_id == 0 and got[3].component_id == 3
+    cut = {x.doc_id: x.n_removed for x in substring_dedup.dedup(df).collect()}
+    assert cut[0] == 0 and cut[1] >= 400_000 and cut[3] >= 14_000
+    assert {x.doc_id: x.n_words for x in quality.rules(df).collect()}[0] == 400_000
+    path = tokenizer_path("word_bpe_49k.json")
+    at = folder(spark)
+    token_store.write(df, at, path)
+    assert token_store.read(spark, at).where("doc_id = 1").first()["n_tokens"] > 400_000
+    assert packing.pack(df.where("doc_id < 2")).agg(F.sum("length")).first()[0] > 800_000
+    assert mixing.draws(df).where("doc_id = 0").first()["mix_size"] == 400_000
