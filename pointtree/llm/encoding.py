@@ -15,10 +15,10 @@ from collections.abc import Callable
 import numpy as np
 import regex
 
-from .common import ENTRY_BYTES, Bounded, begin
+from .common import Bounded, begin
 
-#: Bytes of a cache generation of words and of pieces in a Python worker; two generations are kept.
-WORD_BYTES, PIECE_BYTES = 64 << 20, 24 << 20
+#: Bytes of a cache generation of words and of pieces in a Python worker, and what an entry takes besides its texts; two generations are kept.
+WORD_BYTES, PIECE_BYTES, ENTRY_BYTES = 72 << 20, 24 << 20, 120
 #: Code points up to here have the same classes in every Unicode version that the libraries may carry.
 PLAIN = regex.compile(r"[\n\x20-\x7e¡-ɏ]*")
 #: How the two vocabularies cut a text into pieces.
@@ -45,7 +45,7 @@ class Generations(Bounded):
         if self.held >= self.most:
             self.old, self.held = dict(self), 0
             self.clear()
-        self.held += 2 * ENTRY_BYTES + len(key) + len(v or b"")
+        self.held += ENTRY_BYTES + len(key) + len(v or b"")  # measured: 150 bytes a word
         self[key] = v
         return v
 

@@ -45,18 +45,18 @@ def train(docs: DataFrame, tokenizer: str, sample: int = SAMPLE_DOCS) -> bytes:
     The sample is chosen by hashes alone, its texts are encoded where they lie, and the driver gets at most
     ``SAMPLE_IDS`` ids of each.
     """
-    keyed = docs.select("text", F.xxhash64("doc_id", "text").alias("h"))
     n = docs.count()
-    part = min(1.0, 4 * sample / max(1, n))  # tasks send no more hashes than are likely to be wanted
-    few = keyed.select("h").where(F.col("h") <= F.lit(int(part * (1 << 63)) * 2 - (1 << 63) - 1)).distinct().orderBy("h").limit(sample)
+    part = min(1.0, 2 * sample / max(1, n))  # so many hashes are likely to be enough, and a few more
+    most = int(part * (1 << 63)) * 2 - (1 << 63) - 1
+    keyed = docs.select("text", F.xxhash64("doc_id", "text").alias("h")).where(F.col("h") <= F.lit(most))
 
     def run(b: pa.RecordBatch) -> pa.RecordBatch:
         arrays = [spread(a) for a in encoder(tokenizer).encode([t or "" for t in b.column(1).to_pylist()])]
         return pa.RecordBatch.from_arrays([b.column(0), pa.array([a.astype("<u2" if a.max(initial=0) < 1 << 16 else "<u4").tobytes() for a in arrays], pa.binary())], names=["h", "ids"])
 
-    wanted = keyed.join(F.broadcast(few), "h").select("h", "text").mapInArrow(by_batch(run, 256), "h long, ids binary")
-    rows = wanted.groupBy("h").agg(F.min("ids").alias("ids")).collect()  # equal rows are one document here
-    arrays = [bytes(r["ids"]) for r in sorted(rows, key=lambda r: r["h"]) if len(r["ids"]) >= 8]
+    # equal rows are one document here; the texts are so few that two tasks encode them
+    rows = keyed.groupBy("h").agg(F.min("text").alias("text")).coalesce(2).mapInArrow(by_batch(run, 256), "h long, ids binary").orderBy("h").limit(sample).collect()
+    arrays = [bytes(r["ids"]) for r in rows if len(r["ids"]) >= 8]
     try:
         return zstandard.train_dictionary(min(DICTIONARY_BYTES, max(256, sum(map(len, arrays)) // 4)), arrays, level=LEVEL).as_bytes()
     except (zstandard.ZstdError, ValueError):
