@@ -142,7 +142,11 @@ def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = END_ID) -> N
 
 
 def read(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
-    """Documents of a store: ``doc_id, start, n_tokens, ids_crc32`` and, if asked for, ``ids``; frames are checked against the dictionary's hash."""
+    """Documents of a store: ``doc_id, start, n_tokens, ids_crc32`` and, if asked for, ``ids``.
+
+    Frames are checked against the dictionary's hash and the index; rows come as they were written, null ids and
+    repeated ones included, and a store without documents gives no rows.
+    """
     found = spark.read.parquet(f"{path}/dictionary").first()
     frames_hash, shared = found["dictionary_hash"], spark.sparkContext.broadcast(bytes(found["dictionary"]))
     index = spark.read.parquet(f"{path}/index").groupBy("task", "block").agg(F.sort_array(F.collect_list(F.struct("at", "size", "doc_id", "start", "n_tokens", "dictionary_hash"))).alias("docs"))
