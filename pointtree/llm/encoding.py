@@ -23,6 +23,7 @@ WORD_BYTES, PIECE_BYTES, ENTRY_BYTES = 72 << 20, 24 << 20, 120
 PLAIN = regex.compile(r"[\n\x20-\x7e¡-ɏ]*")
 #: How the two vocabularies cut a text into pieces.
 BYTE_PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
+MARKS = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 WORD_RULE = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 WORD_PIECES = regex.compile(WORD_RULE)
 _encoders: dict[str, Encoder] = {}
@@ -84,12 +85,14 @@ class Encoder:
         self.alphabet = {b: seen.pre_tokenize_str(chr(b))[0][0] for b in range(128)} | {
             b: s[1] for b in range(128, 192) if (s := seen.pre_tokenize_str(bytes([0xC3, b]).decode())[0][0])} | {
             b: s[0] for b in range(0xC3, 0xCA) if (s := seen.pre_tokenize_str(bytes([b, 0x81]).decode())[0][0])} | {0xC2: seen.pre_tokenize_str("¡")[0][0][0]}
+        self.space, self.tokenize = self.alphabet[32], self.model.tokenize
         self.four = [i.to_bytes(4, "little") for i in range(self.tokenizer.get_vocab_size())]
         self.word, self.piece = Generations(self._word, WORD_BYTES, False), Generations(self._piece, PIECE_BYTES, False)
 
     def _piece(self, piece: str) -> bytes:
-        raw = piece.replace(" ", self.alphabet[32]) if piece.isascii() and piece.isprintable() else piece.encode().decode("latin-1").translate(self.alphabet)
-        return b"".join([self.four[t.id] for t in self.model.tokenize(raw)])
+        raw = piece.replace(" ", self.space) if piece.isascii() and piece.isprintable() else piece.encode().decode("latin-1").translate(self.alphabet)
+        four = self.four
+        return b"".join([four[t.id] for t in self.tokenize(raw)])
 
     def _stretch(self, text: str) -> bytes:
         if not PLAIN.fullmatch(text):
@@ -103,10 +106,11 @@ class Encoder:
         if not word.isascii() and max(word) > "\u024f":
             return self._stretch(" " + word)
         low, lead = (word.lower(), "") if self.lower else (word, " ")
-        if low.isalpha():
-            return self._piece(lead + low)
-        if low[:-1].isalpha() and not low[-1].isalnum() and low.isascii():
-            return self.piece[lead + low[:-1]] + self.piece[low[-1]]
+        letters = low.rstrip(MARKS)
+        if letters.isalpha():  # letters, then marks if any: one piece each
+            if len(letters) == len(low):
+                return self._piece(lead + low)
+            return self.piece[lead + letters] + self.piece[low[len(letters) :]]
         return self._stretch(" " + word)
 
     def _slowly(self, text: str) -> bytes:

@@ -119,10 +119,19 @@ def test_statistics(text):
     assert quality.statistics(text.encode()) == brute_statistics(text)
 
 
-def test_spans_and_kept_words():
-    assert substring_dedup.spans([3, 4, 5, 90], [1, 1, 1, 2], 50) == [(3, 52, 1), (90, 50, 2)]
-    words = [str(i).encode() for i in range(60)]
-    assert substring_dedup._kept(words, [2, 3], 50) == words[:2] + words[53:]
+def test_spans_join_at_one_distance_from_one_source():
+    found = [(3, 50, 1, 9, 20), (4, 50, 1, 9, 21), (5, 50, 1, 9, 22), (6, 50, 1, 9, 40), (90, 50, 2, 8, 0), (56, 50, 1, 9, 73)]
+    assert sorted(substring_dedup.spans(found)) == [(3, 52, 1, 9, 20), (6, 50, 1, 9, 40), (56, 50, 1, 9, 73), (90, 50, 2, 8, 0)]
+
+
+def test_nodes_and_stretches_of_equal_words_are_equal():
+    rng = np.random.default_rng(4)
+    run = rng.integers(0, 1 << 62, 300).astype(np.uint64)
+    texts = [np.concatenate([rng.integers(0, 1 << 62, n).astype(np.uint64), run, rng.integers(0, 1 << 62, n).astype(np.uint64)]) for n in (7, 40)]
+    known = np.intersect1d(*[sliding_min(rolling(h, 16), 35) for h in texts])
+    (p, a, s, d), (q, b, t, e) = (substring_dedup.nodes(h, known, 50, 16) for h in texts)
+    assert len(p) > 8 and (q - p == 33).all() and (a == b).all() and (s == t).all() and (d == e).all()
+    assert (s[:-1] != 0).all() and s[-1] == 0 and (d[:-1] == np.diff(p)).all()
 
 
 def test_trees_and_calibration():
