@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of words and their hashes that a Python worker keeps before it starts over, and what an entry takes besides its key.
-HASH_BYTES, ENTRY_BYTES = 32 << 20, 180
+HASH_BYTES, ENTRY_BYTES = 24 << 20, 180
 #: A setting of the session that may be changed at any time.
 ARROW_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
 _MASK = (1 << 64) - 1
@@ -44,9 +44,9 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def small_arrow(spark: SparkSession) -> None:
-    """Whole texts go to Python: unless the session says otherwise, in batches of fewer rows than Spark's usual 10,000."""
+    """Whole texts go to Python: unless the session says otherwise, in batches of far fewer rows than Spark's usual 10,000."""
     if spark.conf.get(ARROW_ROWS, "10000") == "10000":
-        spark.conf.set(ARROW_ROWS, "2000")
+        spark.conf.set(ARROW_ROWS, "500")
 
 
 def store(df: DataFrame, name: str = "table") -> DataFrame:

@@ -132,27 +132,32 @@ def _outside(window: int, edge: int):
     return by_batch(run)
 
 
-def spans(found: list[tuple[int, int, int, int, int]]) -> list[tuple[int, int, int, int, int]]:
-    """(start, words, source, its row, start there), joined where they overlap or touch at the same distance from one source."""
-    out: list[tuple[int, int, int, int, int]] = []
-    for start, words, doc, row, there in sorted(found, key=lambda f: (f[2], f[3], f[4] - f[0], f[0])):
-        if out and out[-1][2:4] == (doc, row) and out[-1][4] - out[-1][0] == there - start and start <= out[-1][0] + out[-1][1]:
-            out[-1] = (out[-1][0], max(out[-1][1], start + words - out[-1][0]), doc, row, out[-1][4])
-        else:
-            out.append((start, words, doc, row, there))
-    return out
+def spans(row: np.ndarray, start: np.ndarray, words: np.ndarray, source: np.ndarray, source_row: np.ndarray, there: np.ndarray) -> list[np.ndarray]:
+    """Matches of several rows, joined where they overlap or touch at the same distance from one source; the same columns."""
+    if not len(row):
+        return [row, start, words, source, source_row, there]
+    order = np.lexsort((start, there - start, source_row, source, row))
+    row, start, words, source, source_row, there = (c[order] for c in (row, start, words, source, source_row, there))
+    new = np.ones(len(row), bool)
+    new[1:] = np.any([c[1:] != c[:-1] for c in (row, source, source_row, there - start)], axis=0)
+    end, far = start + words, np.int64(1) << 32
+    reach = np.maximum.accumulate(np.cumsum(new) * far + end) - np.cumsum(new) * far  # the furthest end so far of one source and distance
+    new[1:] |= start[1:] > reach[:-1]
+    first = np.flatnonzero(new)
+    return [row[first], start[first], np.maximum.reduceat(end, first) - start[first], source[first], source_row[first], there[first]]
 
 
 SPAN = "start int, words int, source long, source_row long, there int"
 
 
 def _joined(b: pa.RecordBatch) -> pa.RecordBatch:
-    rows = []
-    for doc, row, found in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
-        rows += [(doc, row, *s) for s in spans([(f["start"], f["words"], f["source"], f["source_row"], f["there"]) for f in found])]
-    kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int32()]
-    columns = list(zip(*rows)) or [[]] * 7
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=[*ROW, "start", "words", "source", "source_row", "there"])
+    found = b.column(2)
+    flat = found.flatten()
+    at = np.repeat(np.arange(b.num_rows), found.value_lengths().to_numpy())
+    columns = [flat.field(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("start", "words", "source", "source_row", "there")]
+    at, *columns = spans(at, *columns)
+    kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int32()]
+    return pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), *[pa.array(c).cast(k) for c, k in zip(columns, kinds, strict=True)]], names=[*ROW, "start", "words", "source", "source_row", "there"])
 
 
 def _pieces(b: pa.RecordBatch) -> pa.RecordBatch:
@@ -244,7 +249,7 @@ def dedup(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     copies of a document are removed whole and have null spans, as have rows that repeat nothing.
     """
     heads, found = repeats(docs, window)
-    cut = found.mapInArrow(by_batch(_result), RESULT).drop("kept_text")
+    cut = found.mapInArrow(by_batch(_result, 128), RESULT).drop("kept_text")
     out = heads.join(cut, ROW, "left")
     none = F.coalesce("n_removed", F.lit(0)).cast("long")
     return out.select("doc_id", "n_words", F.when(F.col("copy"), F.col("n_words")).otherwise(none).alias("n_removed"),
@@ -257,7 +262,7 @@ def deduped(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     ``n_chars`` follows the text where ``docs`` has that column. Nulls, ties and empty tables are as in ``dedup``.
     """
     heads, found = repeats(docs, window)
-    cut = found.mapInArrow(by_batch(_result), RESULT).where("n_removed > 0").select(*ROW, "kept_text")
+    cut = found.mapInArrow(by_batch(_result, 128), RESULT).where("n_removed > 0").select(*ROW, "kept_text")
     gone = heads.where("copy").select(*ROW).distinct()
     whole = docs.select("doc_id", F.xxhash64("text").alias("row"), F.struct(*docs.columns).alias("doc"))
     left = whole.join(gone, ROW, "left_anti").join(cut.hint("merge"), ROW, "left").where(F.col("kept_text").isNull() | (F.col("kept_text") != ""))

@@ -120,8 +120,9 @@ def test_statistics(text):
 
 
 def test_spans_join_at_one_distance_from_one_source():
-    found = [(3, 50, 1, 9, 20), (4, 50, 1, 9, 21), (5, 50, 1, 9, 22), (6, 50, 1, 9, 40), (90, 50, 2, 8, 0), (56, 50, 1, 9, 73)]
-    assert sorted(substring_dedup.spans(found)) == [(3, 52, 1, 9, 20), (6, 50, 1, 9, 40), (56, 50, 1, 9, 73), (90, 50, 2, 8, 0)]
+    found = [(0, 3, 50, 1, 9, 20), (0, 4, 50, 1, 9, 21), (0, 5, 50, 1, 9, 22), (0, 6, 50, 1, 9, 40), (0, 90, 50, 2, 8, 0), (0, 56, 50, 1, 9, 73), (1, 4, 50, 1, 9, 21), (1, 54, 60, 1, 9, 71), (1, 60, 10, 1, 9, 77)]
+    got = list(zip(*[c.tolist() for c in substring_dedup.spans(*np.array(found).T)], strict=True))
+    assert sorted(got) == [(0, 3, 52, 1, 9, 20), (0, 6, 50, 1, 9, 40), (0, 56, 50, 1, 9, 73), (0, 90, 50, 2, 8, 0), (1, 4, 110, 1, 9, 21)]
 
 
 def test_nodes_and_stretches_of_equal_words_are_equal():
