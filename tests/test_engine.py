@@ -12,6 +12,7 @@ from pointtree.config import TreeConfig
 from pointtree.functions import quantize
 from pointtree.functions.quantize import Fixed, Frame, Span
 from pointtree.operators import baselines, leaves, query, topology
+from pointtree.plans import book
 from pointtree.plans.workloads import SINGLE, boxes, part_box
 from pointtree.sources import clouds, store
 
@@ -40,6 +41,16 @@ def test_three_ways_to_the_same_leaves(air):
     assert got[0] == got[1] == got[2] and len(got[0]) > 10
 
 
+def test_tree_boxes_without_counts_of_all_levels(spark, sf, air, monkeypatch):
+    p, f = air
+    parts = f.parts(CONFIG)
+    want = rows(topology.classify_nodes(topology.level_histogram(p, parts), len(parts), 20).select("level", "path", "cnt", "kind"))
+    for shard_points in (20, 300, 1 << 30):
+        assert rows(topology.tree_boxes(p, parts, 20, shard_points).select("level", "path", "cnt", "kind")) == want
+    monkeypatch.setattr(topology, "level_histogram", None)  # a row for each cell and level: too many for the disk
+    assert rows(book.nodes_of(spark, sf, "air", CONFIG)[0].select("level", "path", "cnt", "kind")) == want
+
+
 def test_boxes_of_all_structures(spark, air, built):
     p, f = air
     table = leaves.build(p, CONFIG, f.parts(CONFIG), ("intensity",)).cache()
