@@ -257,3 +257,9 @@ def test_repeats_where_every_leaf_is_a_cell(spark, sf, tmp_path):
     t = clouds.table(spark, sf, "lineitem").where("l_quantity in (1, 50) and l_discount in (0, 0.1) and l_tax in (0, 0.08)")
     t.crossJoin(spark.range(200)).drop("id").write.parquet(str(tmp_path / "lineitem.parquet"))
     assert agrees(spark, str(tmp_path), "repeat_census")  # no leaf has coordinates: 0 leaves, not null
+
+
+def test_whole_tree_is_traced_without_one_shard_of_all_points(spark, sf, monkeypatch):
+    built = []
+    monkeypatch.setattr(store, "build", lambda *a, **k: built.append(a))
+    assert agrees(spark, sf, "box_trace_tree") and not built
