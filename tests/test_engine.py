@@ -263,3 +263,9 @@ def test_whole_tree_is_traced_without_one_shard_of_all_points(spark, sf, monkeyp
     built = []
     monkeypatch.setattr(store, "build", lambda *a, **k: built.append(a))
     assert agrees(spark, sf, "box_trace_tree") and not built
+
+
+@pytest.mark.parametrize("name", ["edge_all_equal"])
+def test_edges_are_clouds_of_customers(spark, sf, tmp_path, name):
+    clouds.table(spark, sf, "customer").where("c_custkey < 30").write.parquet(str(tmp_path / "customer.parquet"))
+    assert "customer" in registry.oracle_sql()[name] and agrees(spark, str(tmp_path), name)
