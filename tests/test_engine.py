@@ -265,7 +265,7 @@ def test_whole_tree_is_traced_without_one_shard_of_all_points(spark, sf, monkeyp
     assert agrees(spark, sf, "box_trace_tree") and not built
 
 
-@pytest.mark.parametrize("name", ["edge_all_equal", "edge_empty_cloud", "edge_fanout_four", "edge_height_one", "edge_limit_one"])
+@pytest.mark.parametrize("name", ["edge_all_equal", "edge_empty_cloud", "edge_fanout_four", "edge_height_one", "edge_limit_one", "edge_one_point"])
 def test_edges_are_clouds_of_customers(spark, sf, tmp_path, name):
     clouds.table(spark, sf, "customer").where("c_custkey < 30").write.parquet(str(tmp_path / "customer.parquet"))
     assert "customer" in registry.oracle_sql()[name] and agrees(spark, str(tmp_path), name)
