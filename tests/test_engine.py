@@ -269,3 +269,8 @@ def test_whole_tree_is_traced_without_one_shard_of_all_points(spark, sf, monkeyp
 def test_edges_are_clouds_of_customers(spark, sf, tmp_path, name):
     clouds.table(spark, sf, "customer").where("c_custkey < 30").write.parquet(str(tmp_path / "customer.parquet"))
     assert "customer" in registry.oracle_sql()[name] and agrees(spark, str(tmp_path), name)
+
+
+def test_rejects_are_counted_in_customers(spark, sf, tmp_path):
+    clouds.table(spark, sf, "customer").where("c_custkey < 31").write.parquet(str(tmp_path / "customer.parquet"))
+    assert registry.queries()["rejects"](spark, str(tmp_path)).first().asDict() == {"rejected": 20, "kept": 11} and agrees(spark, str(tmp_path), "rejects")
