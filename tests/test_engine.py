@@ -274,3 +274,12 @@ def test_edges_are_clouds_of_customers(spark, sf, tmp_path, name):
 def test_rejects_are_counted_in_customers(spark, sf, tmp_path):
     clouds.table(spark, sf, "customer").where("c_custkey < 31").write.parquet(str(tmp_path / "customer.parquet"))
     assert registry.queries()["rejects"](spark, str(tmp_path)).first().asDict() == {"rejected": 20, "kept": 11} and agrees(spark, str(tmp_path), "rejects")
+
+
+@pytest.mark.parametrize("method", ["histogram"])
+def test_leaf_levels_plan_shards_not_leaves(air, monkeypatch, method):
+    p, f = air
+    planned, plan = [], topology.plan_boxes
+    monkeypatch.setattr(topology, "plan_boxes", lambda points, parts, most, *a, **k: planned.append(most) or plan(points, parts, most, *a, **k))
+    topology.leaf_levels(p, CONFIG, f.parts(CONFIG), method)
+    assert planned == [CONFIG.shard_points]  # boxes of the leaf limit were rows for each cell and level
