@@ -276,7 +276,7 @@ def test_rejects_are_counted_in_customers(spark, sf, tmp_path):
     assert registry.queries()["rejects"](spark, str(tmp_path)).first().asDict() == {"rejected": 20, "kept": 11} and agrees(spark, str(tmp_path), "rejects")
 
 
-@pytest.mark.parametrize("method", ["histogram"])
+@pytest.mark.parametrize("method", ["histogram", "iterative"])
 def test_leaf_levels_plan_shards_not_leaves(air, monkeypatch, method):
     p, f = air
     planned, plan = [], topology.plan_boxes
