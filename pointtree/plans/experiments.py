@@ -114,7 +114,7 @@ def growth(spark: SparkSession, d: str) -> DataFrame:
     for n in _GROWN:
         p, f = cloud(spark, d, n)
         parts = f.parts(CONFIG)
-        nodes = topology.classify_nodes(topology.level_histogram(p, parts), len(parts), CONFIG.leaf_limit)
+        nodes = topology.tree_boxes(p, parts, CONFIG.leaf_limit, count=f.count)
         out.append(nodes.agg(F.lit(n).alias("cloud"), F.lit(f.count).alias("points"), (F.count(F.when(F.col("kind") == "branch", 1)) + 1).alias("branches"), F.count(F.when(F.col("kind") != "branch", 1)).alias("leaves"), F.max("level").alias("deepest")))
     return reduce(DataFrame.unionByName, out)
 

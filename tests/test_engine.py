@@ -283,3 +283,11 @@ def test_leaf_levels_plan_shards_not_leaves(air, monkeypatch, method):
     monkeypatch.setattr(topology, "plan_boxes", lambda points, parts, most, *a, **k: planned.append(most) or plan(points, parts, most, *a, **k))
     topology.leaf_levels(p, CONFIG, f.parts(CONFIG), method)
     assert planned == [CONFIG.shard_points]  # boxes of the leaf limit were rows for each cell and level
+
+
+def test_growth_fits_one_frame_and_counts_no_level_of_all_cells(spark, sf, monkeypatch):
+    fitted, fit = [], book.fit_frame
+    monkeypatch.setattr(topology, "level_histogram", None)
+    monkeypatch.setattr(book, "_built", {})
+    monkeypatch.setattr(book, "fit_frame", lambda *a: fitted.append(a) or fit(*a))
+    assert agrees(spark, sf, "growth") and len(fitted) == 1  # four clouds on one grid
