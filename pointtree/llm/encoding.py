@@ -101,7 +101,9 @@ class Encoder:
 
     def _word(self, word: str) -> bytes | None:
         """Ids of " word"; None if white space at an end makes the cut depend on what stands beside it."""
-        if word == "" or word[0].isspace() or word[-1].isspace():
+        if word == "":
+            return b"" if self.lower else None
+        if not self.lower and (word[0].isspace() or word[-1].isspace()):
             return None
         if not word.isascii() and max(word) > "\u024f":
             return self._stretch(" " + word)
@@ -110,9 +112,14 @@ class Encoder:
         if letters.isalpha():  # letters, then marks if any: one piece each
             if len(letters) == len(low):
                 return self._piece(lead + low)
-            return self.piece[lead + letters] + self.piece[low[len(letters) :]]
+            return (self.word[letters] if self.lower else self.piece[lead + letters]) + self.piece[low[len(letters) :]]
         return self._stretch(" " + word)
 
+    def _words(self, text: str) -> list[str]:
+        """What stands between spaces and line ends, which are in no piece of this style; in lower case where that depends on no neighbours."""
+        plain = text.isascii() or PLAIN.fullmatch(text)
+        return (text.lower() if plain else text).replace("\n", " ").split(" ")
+
     def _slowly(self, text: str) -> bytes:
         """Stretches are glued where white space stands beside a single space."""
         first, *rest = text.split(" ")
@@ -132,6 +139,9 @@ class Encoder:
             if any(s in t for s in self.special):  # their strings are cut out before anything else
                 out.append(np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint32))
                 continue
+            if self.lower:
+                out.append(np.frombuffer(b"".join(map(get, self._words(t))), np.uint32))
+                continue
             first, *rest = t.split(" ")
             try:
                 if first == "" or first[-1].isspace():

@@ -68,6 +68,8 @@ class Frames:
 
     def __init__(self, dictionary: bytes):
         known = {"dict_data": zstandard.ZstdCompressionDict(dictionary)} if dictionary else {}
+        for d in known.values():
+            d.precompute_compress(level=LEVEL)  # else it is loaded again for each frame
         self.hash = hashlib.sha256(dictionary).hexdigest()[:16]
         self.packer = zstandard.ZstdCompressor(level=LEVEL, write_checksum=False, **known)
         self.unpacker = zstandard.ZstdDecompressor(**known)
