@@ -8,12 +8,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import TreeConfig
-from ..functions.quantize import fit_frame
+from ..functions.quantize import Frame, fit_frame
 from ..operators import baselines, measures, query, topology
 from ..sources import clouds
+from ..sources import store as stores
 from ..sources.clouds import CLOUDS, grid_sql
 from ..sources.shared import cut
-from .book import CONFIG, cloud, once, sql_tree, store_of
+from .book import CONFIG, cloud, once, sql_tree, store_of, together
 from .book import query as registered
 from .workloads import BOXES_SQL, boxes
 
@@ -25,12 +26,16 @@ BLOCKS = (5_000, 50_000)
 I1020 = [("intensity", 10, 20)]
 
 
+def strips_of(f: Frame, block: int) -> int:
+    """About as many strips as blocks along one."""
+    return max(1, round((f.count / block) ** 0.5))
+
+
 def acquired_blocks(spark: SparkSession, d: str, name: str, block: int = 5_000) -> baselines.Blocks:
     """Delta-coded blocks in acquisition order (flight strips), with all attributes of the cloud."""
     def make() -> baselines.Blocks:
         p, f = cloud(spark, d, name)
-        wide = max(1, round((f.count / block) ** 0.5))  # about as many strips as blocks along one
-        return baselines.build_block_delta(baselines.strips(p, f.extent, wide), f.parts(CONFIG), baselines.ACQUIRED, CLOUDS[name].attributes, block)
+        return baselines.build_block_delta(baselines.strips(p, f.extent, strips_of(f, block)), f.parts(CONFIG), baselines.ACQUIRED, CLOUDS[name].attributes, block)
 
     return once(spark, ("acquired", d, name, block), make)
 
@@ -94,13 +99,20 @@ def space_raw_clouds(spark: SparkSession, d: str) -> DataFrame:
 @registered("space_table")
 def space_table(spark: SparkSession, d: str) -> DataFrame:
     """Bytes, bits a point and saving against raw records, of three formats with the same attributes on five clouds."""
-    out = []
+    by_table: dict[tuple, list[str]] = {}
     for n in FIVE:
-        points = cloud(spark, d, n)[1].count
-        sizes = {"raw": 20 * points, "octree": measures.space(store_of(spark, d, n)).agg(F.sum("bytes")).first()[0]}
-        for block in BLOCKS:
-            sizes[f"block_{block // 1000}k"] = measures.block_space(acquired_blocks(spark, d, n, block)).agg(F.sum("bytes")).first()[0]
-        out += [(n, form, points, int(size), round(8 * size / max(1, points), 3), round(measures.saving(size, sizes["raw"]), 3), round(measures.saving(size, sizes["octree"]), 3)) for form, size in sizes.items()]
+        by_table.setdefault((CLOUDS[n].load, CLOUDS[n].policy), []).append(n)
+    out = []
+    for names in by_table.values():
+        p, frames = together(spark, d, names)
+        whole, attributes = frames[names[0]], CLOUDS[names[0]].attributes
+        ways = [(n, block) for n in names for block in BLOCKS]
+        blocks = dict(zip(ways, baselines.block_bytes(p, whole.extent, attributes, [baselines.Way(CLOUDS[n].tiles, strips_of(frames[n], b), b) for n, b in ways]), strict=True))
+        for n in names:
+            own, points = p if CLOUDS[n].tiles is None else p.where(F.col("tile") < CLOUDS[n].tiles), frames[n].count
+            s = once(spark, ("store", d, n, CONFIG), lambda own=own, n=n: stores.build(own, frames[n], CONFIG, attributes))
+            sizes = {"raw": 20 * points, "octree": measures.space(s).agg(F.sum("bytes")).first()[0]} | {f"block_{b // 1000}k": blocks[n, b] for b in BLOCKS}
+            out += [(n, form, points, int(size), round(8 * size / max(1, points), 3), round(measures.saving(size, sizes["raw"]), 3), round(measures.saving(size, sizes["octree"]), 3)) for form, size in sizes.items()]
     return spark.createDataFrame(out, "cloud string, format string, points long, bytes long, bits_per_point double, smaller_than_raw double, smaller_than_octree double")
 
 

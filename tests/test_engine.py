@@ -11,8 +11,8 @@ from pointtree import registry
 from pointtree.config import TreeConfig
 from pointtree.functions import quantize
 from pointtree.functions.quantize import Fixed, Frame, Span
-from pointtree.operators import baselines, leaves, query, topology
-from pointtree.plans import book
+from pointtree.operators import baselines, leaves, measures, query, topology
+from pointtree.plans import book, experiments
 from pointtree.plans.workloads import SINGLE, boxes, part_box
 from pointtree.sources import clouds, store
 
@@ -291,3 +291,25 @@ def test_growth_fits_one_frame_and_counts_no_level_of_all_cells(spark, sf, monke
     monkeypatch.setattr(book, "_built", {})
     monkeypatch.setattr(book, "fit_frame", lambda *a: fitted.append(a) or fit(*a))
     assert agrees(spark, sf, "growth") and len(fitted) == 1  # four clouds on one grid
+
+
+def test_bytes_of_blocks_are_those_of_the_blocks(spark, sf):
+    names = ("air_s", "air_l")
+    points, frames = book.together(spark, sf, names)
+    whole, attributes = frames["air_s"], clouds.CLOUDS["air_s"].attributes
+    ways = [baselines.Way(clouds.CLOUDS[n].tiles, experiments.strips_of(frames[n], b), b) for n in names for b in (300, 1000)]
+    want = []
+    for n, w in zip([n for n in names for _ in range(2)], ways, strict=True):
+        p, f = clouds.gridded(spark, sf, n)
+        assert f == frames[n]
+        blocks = baselines.build_block_delta(baselines.strips(p, f.extent, w.strips), f.parts(TreeConfig()), baselines.ACQUIRED, attributes, w.block)
+        want.append(measures.block_space(blocks).agg(F.sum("bytes")).first()[0])
+    assert baselines.block_bytes(points, whole.extent, attributes, ways) == want
+    # bins smaller than blocks, and cells that are left to Spark's sort between them
+    assert baselines.block_bytes(points, whole.extent, attributes, ways, 170, 60) == want
+
+
+def test_space_table_builds_no_blocks(spark, sf, monkeypatch):
+    monkeypatch.setattr(baselines, "build_block_delta", None)
+    got = {(r.cloud, r.format): r for r in experiments.space_table(spark, sf).collect()}
+    assert len(got) == 20 and all(r.bytes > 0 for r in got.values())
